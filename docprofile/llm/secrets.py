@@ -91,7 +91,8 @@ def scan(docs: DataFrame, example_owners: int = EXAMPLE_OWNERS, **cols) -> DataF
     """doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_live, n_example: one row a row of docs."""
     rows = judged(candidates(docs, **cols), example_owners)
     count = lambda cond: F.size(F.filter("judged", cond)).cast("long")
-    return rows.select("doc_id", *[count(lambda s, k=k: s["kind"] == k).alias(f"n_{KINDS[k]}") for k in range(3)], F.sha2(_text(F.filter("judged", lambda s: s["kind"] < 3)).cast("binary"), 256).alias("base_sha256"), _text(F.col("judged")).alias("spans"), count(lambda s: s["live"]).alias("n_live"), count(lambda s: ~s["live"]).alias("n_example"))
+    of = lambda k: count(lambda s: s["kind"] == k)
+    return rows.select("doc_id", *[of(k).alias(f"n_{KINDS[k]}") for k in range(3)], F.sha2(_text(F.filter("judged", lambda s: s["kind"] < 3)).cast("binary"), 256).alias("base_sha256"), _text(F.col("judged")).alias("spans"), count(lambda s: s["live"]).alias("n_live"), count(lambda s: ~s["live"]).alias("n_example"))
 
 
 def redact(docs: DataFrame, mark: str = "[SECRET]", id_col: str = "doc_id", text_col: str = "text", **cols) -> DataFrame:
