@@ -55,6 +55,8 @@ def entity_types(docs: DataFrame) -> list[dict]:
             rest = sorted(s - common)
             groups.setdefault(root(rest[0]) if rest else None, set()).add(s)
         # a record with common keys only belongs to each type of its location
+        plain = groups.pop(None, set()) if len(groups) > 1 else set()
+        groups = {k: g | plain for k, g in groups.items()}
         for _, group in sorted(groups.items(), key=lambda g: str(g[0])):
             maximal = [s for s in group if not any(s < t for t in group)]
             for m in sorted(maximal, key=sorted):

@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .flatten import MAX_DEPTH, Equivalence, flatten, flatten_arrow, parse_documents
-from .monoids import Choice, choose, merge_bins
+from .monoids import Choice, choose
 
 #: What tells a row of the profile, besides its typed path; functions of it, so any value of a group will do.
 IDENTITY = ("path", "parent_typed_path", "step", "kind", "tag")
@@ -160,7 +160,7 @@ def bloom_size(expected: int = BLOOM_EXPECTED, fpp: float = BLOOM_FPP) -> tuple[
 
 def bloom_positions(value: Column, bits: int, hashes: int) -> Column:
     """Bit positions of a value by two hashes."""
-    a, b = F.xxhash64(value), F.xxhash64(value, F.lit(1))
+    a, b = F.pmod(F.xxhash64(value), F.lit(bits)), F.pmod(F.xxhash64(value, F.lit(1)), F.lit(bits))
     return F.array(*[F.pmod(a + b * i, F.lit(bits)) for i in range(hashes)])
 
 
@@ -177,8 +177,8 @@ def bloom_contains(bloom: DataFrame, values: DataFrame, expected: int = BLOOM_EX
     asked = values.withColumn("p", F.explode(bloom_positions(F.col("text"), bits, hashes)))
     asked = asked.withColumn("bucket", F.bitmap_bucket_number("p")).withColumn("at", F.bitmap_bit_position("p"))
     hit = asked.join(bloom, ["typed_path", "bucket"], "left")
-    byte = F.conv(F.hex(F.substring("bits", (F.col("at") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    is_set = F.coalesce(F.shiftright(byte, F.lit(0)).bitwiseAND(F.expr("shiftleft(1, cast(at % 8 as int))")) > 0, F.lit(False))
+    byte = F.conv(F.hex(F.substring(F.col("bits"), (F.col("at") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("long")
+    is_set = F.coalesce(F.getbit(byte, (F.col("at") % 8).cast("int")) == 1, F.lit(False))
     return hit.withColumn("_set", is_set).groupBy(*values.columns).agg(F.bool_and("_set").alias("member"))
 
 
@@ -193,8 +193,6 @@ def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind
     if sample_fraction is not None:
         docs = sampled(docs, sample_fraction, seed)
     f = facts_of(docs, choice.needs, equivalence, engine, tuples, max_depth) if facts is None else facts
-    if tuples:
-        f = f.withColumn("step", F.col("step"))
     ids = [F.first(c).alias(c) for c in IDENTITY]
     parts = [c.alias(k) for m in choice.columns for k, c in m.partial().items()]
     nodes = f.groupBy("typed_path").agg(*ids, *parts) if not tree_fanin else reduce_states(f.groupBy("typed_path", F.pmod(F.xxhash64("doc_id"), F.lit(tree_fanin)).alias("_salt")).agg(*ids, *parts).drop("_salt"), choice)
@@ -218,8 +216,6 @@ def settle_tuples(nodes: DataFrame, facts: DataFrame) -> DataFrame:
     fixed = [r.typed_path for r in sizes.where("_lo = _hi and _lo > 0 and _lo <= 64").collect()]  # schema-sized
     # a row goes if some step of its typed path is of the kind that its array gave up
     paths = F.array(*map(F.lit, fixed)) if fixed else F.array().cast("array<string>")
-    array_of = F.regexp_extract_all("typed_path", F.lit(r"\[(?:\*|\d+)\]"), F.lit(0))
-    del array_of
     tp = F.col("typed_path")
     star_gone = F.exists(paths, lambda a: tp.startswith(F.concat(a, F.lit("[*]"))))
     # positional steps stay only below a fixed array: every [i] in the path must follow one
@@ -287,6 +283,3 @@ def attribute_groups(keysets: DataFrame) -> list[tuple[str, list[str]]]:
             seen[r.typed_path, k] = a
     return sorted({(p, tuple(sorted(g))) for (p, _), g in seen.items()})
 
-
-def merged_histogram(bins: Column, most: int) -> Column:
-    return merge_bins(bins, most)

@@ -116,12 +116,15 @@ def histogram(bins: int = 100) -> Monoid:
 
 def merge_bins(bins: Column, most: int) -> Column:
     """Bins sorted by value, then the nearest neighbours joined (counts added, values averaged by count) until `most` are left."""
-    ordered = F.array_sort(F.transform(bins, lambda b: F.struct(b["x"].cast("double").alias("x"), b["y"].cast("double").alias("y"))))
+    every = F.array_sort(F.transform(bins, lambda b: F.struct(b["x"].cast("double").alias("x"), b["y"].cast("double").alias("y"))))
 
     def join(a, b):
         y = a["y"] + b["y"]
         return F.struct(((a["x"] * a["y"] + b["x"] * b["y"]) / y).alias("x"), y.alias("y"))
 
+    # equal values are one bin
+    ordered = F.aggregate(every, F.array().cast("array<struct<x:double,y:double>>"), lambda acc, b: F.when((F.size(acc) > 0) & (F.try_element_at(acc, F.lit(-1))["x"] == b["x"]), F.array_append(F.slice(acc, F.lit(1), F.size(acc) - 1), join(F.try_element_at(acc, F.lit(-1)), b))).otherwise(F.array_append(acc, b)))
+
     def shrink(acc, _):
         gaps = F.zip_with(F.slice(acc, F.lit(2), F.greatest(F.size(acc) - 1, F.lit(0))), F.slice(acc, F.lit(1), F.greatest(F.size(acc) - 1, F.lit(0))), lambda b, a: b["x"] - a["x"])
         at = F.array_position(gaps, F.array_min(gaps)).cast("int")
