@@ -1,11 +1,12 @@
 """Quality classifier by compression.
 
 Two zstandard dictionaries are built, from good and from bad labelled text. A text is cut into blocks, each compressed
-with either dictionary; (bytes with the bad one - bytes with the good one) / their sum, over the whole text, is its
-normalised difference, and a logistic curve fitted on other labelled documents turns that into a score from 0 to 1.
+with either dictionary; (bytes with the bad one - bytes with the good one) / bytes of the text, over the whole text, is its
+normalised difference, and a logistic curve fitted on other labelled documents turns that into a score from 0 to 1. The
+curve weighs the classes as they stand in all labels, so that good documents, the most, are rarely rejected.
 
 Fitting takes a bounded sample: DOCS labelled documents of each class (those with the smallest hashes), of whose blocks
-at most BLOCKS a class build the dictionaries (from half of the documents) while the other half fits the curve.
+at most BLOCKS a class build the dictionaries (from half of the documents) while the other half, whole, fits the curve.
 
 Defined cases: null and empty texts score as difference 0; repeated rows each get a row; a document labelled twice counts
 with its larger label; with labels of one class only (or none) every score is that class's share (0.5); other columns are
@@ -22,10 +23,11 @@ from pyspark.sql import functions as F
 
 from .common import crc_mod, slices, utf8
 
-DOCS, BLOCKS, BLOCK, DICT_BYTES, LEVEL = 1500, 2000, 4096, 65536, 3
+DOCS, BLOCKS, BLOCK, DICT_BYTES, LEVEL = 1500, 16000, 512, 65536, 3
 
 
-def _blocks(data: bytes, size: int = BLOCK) -> list[bytes]:
+def _blocks(data: bytes, size: int = 0) -> list[bytes]:
+    size = size or BLOCK
     return [data[i : i + size] for i in range(0, len(data), size)]
 
 
@@ -58,21 +60,21 @@ class Scorer:
                 z.precompute_compress(level=LEVEL)
                 self._open.append(zstandard.ZstdCompressor(level=LEVEL, dict_data=z, write_content_size=False, write_checksum=False, write_dict_id=False))
         good, bad = (sum(len(z.compress(b)) for b in _blocks(data)) for z in self._open)
-        return (bad - good) / (bad + good) if data else 0.0
+        return (bad - good) / len(data) if data else 0.0
 
     def score(self, data: bytes) -> float:
         x = self.slope * self.difference(data) + self.shift
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, x))))
 
 
-def fit_curve(x: list[float], y: list[int], rounds: int = 50) -> tuple[float, float]:
-    """Slope and shift of a logistic curve, by Newton's steps with a small ridge on standardised x; classes weigh alike."""
+def fit_curve(x: list[float], y: list[int], share: float = 0.5, rounds: int = 50) -> tuple[float, float]:
+    """Slope and shift of a logistic curve, by Newton's steps with a small ridge on standardised x; share: weight of class 1."""
     import numpy as np
 
     x, y = np.array(x, float), np.array(y, float)
     mean, std = x.mean(), x.std() or 1.0
     z = np.stack([(x - mean) / std, np.ones(len(x))], 1)
-    weight = np.where(y == 1, 0.5 / max(1, y.sum()), 0.5 / max(1, (1 - y).sum()))
+    weight = np.where(y == 1, share / max(1, y.sum()), (1 - share) / max(1, (1 - y).sum()))
     w = np.zeros(2)
     for _ in range(rounds):
         p = 1 / (1 + np.exp(-np.clip(z @ w, -30, 30)))
@@ -92,15 +94,25 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     rows = docs.join(drawn, F.col(id_col) == F.col("_id")).select("_id", "_y", body.alias("body"))
     half = F.xxhash64("_id", F.lit(1)) % 2 == 0
     pieces = rows.where("octet_length(body) > 0").select("_id", "_y", half.alias("_train"), F.posexplode(cut).alias("_no", "_block"))
-    pick = lambda y, train: pieces.where((F.col("_y") == y) & (F.col("_train") == train)).orderBy(F.xxhash64("_id", "_no"), "_id", "_no").limit(BLOCKS)
-    got = {True: {0: [], 1: []}, False: {0: [], 1: []}}
-    for r in pick(0, True).unionByName(pick(1, True)).unionByName(pick(0, False)).unionByName(pick(1, False)).toArrow().to_pylist():
-        got[r["_train"]][r["_y"]].append(r["_block"])
-    if not got[True][0] or not got[True][1]:
+    pick = lambda y: pieces.where((F.col("_y") == y) & F.col("_train")).orderBy(F.xxhash64("_id", "_no"), "_id", "_no").limit(BLOCKS)
+    got: dict = {0: [], 1: []}
+    for r in pick(0).unionByName(pick(1)).select("_y", "_block").toArrow().to_pylist():
+        got[r["_y"]].append(r["_block"])
+    if not got[0] or not got[1]:
         return None
-    s = Scorer(train_dictionary(got[True][1]), train_dictionary(got[True][0]))
-    tests = got[False] if got[False][0] and got[False][1] else got[True]
-    s.slope, s.shift = fit_curve([s.difference(b) for y in (0, 1) for b in tests[y]], [y for y in (0, 1) for _ in tests[y]])
+    s = Scorer(train_dictionary(got[1]), train_dictionary(got[0]))
+
+    def measure(batches):
+        for b in slices(batches):
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s.difference(t) for t in utf8(b.column(1))], pa.float64())], ["y", "x"])
+
+    # at most 2 * per_class rows, and as many labels' counts as there are classes
+    apart = rows.where(~half).select("_y", "body").mapInArrow(measure, "y int, x double").toArrow()
+    n = {r["_y"]: r["count"] for r in known.groupBy("_y").count().collect()}
+    x, y = apart.column(1).to_pylist(), apart.column(0).to_pylist()
+    if len(set(y)) < 2:
+        x, y = [s.difference(b) for k in (0, 1) for b in got[k]], [k for k in (0, 1) for _ in got[k]]
+    s.slope, s.shift = fit_curve(x, y, n[1] / (n[0] + n[1]))
     return s
 
 
