@@ -7,10 +7,12 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .flatten import MAX_DEPTH, Equivalence, flatten, flatten_arrow, parse_documents
+from .fold import FOLDED, fold_states
 from .monoids import Choice, choose
 
 #: What tells a row of the profile, besides its typed path; functions of it, so any value of a group will do.
@@ -192,14 +194,14 @@ def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind
     choice = choose(monoids)
     if sample_fraction is not None:
         docs = sampled(docs, sample_fraction, seed)
+    if engine == "arrow" and isinstance(equivalence, str) and not tuples and facts is None and examples_engine == "slots":
+        return _folded(docs, choice, equivalence, tree_fanin, seed, scale)
     f = facts_of(docs, choice.needs, equivalence, engine, tuples, max_depth) if facts is None else facts
-    ids = [F.first(c).alias(c) for c in IDENTITY]
-    parts = [c.alias(k) for m in choice.columns for k, c in m.partial().items()]
-    nodes = f.groupBy("typed_path").agg(*ids, *parts) if not tree_fanin else reduce_states(f.groupBy("typed_path", F.pmod(F.xxhash64("doc_id"), F.lit(tree_fanin)).alias("_salt")).agg(*ids, *parts).drop("_salt"), choice)
+    nodes = _nodes(f, choice, tree_fanin)
     if tuples:
         nodes = settle_tuples(nodes, f)
     p = Profile(nodes, choice, options={"scale": scale, "equivalence": equivalence})
-    if set(choice.side) & {"required", "dependencies", "attribute_counts"}:
+    if set(choice.side) & KEYED:
         p.keysets = keysets_of(f)
     if "examples" in choice.side:
         p.examples = slots(f, seed=seed) if examples_engine == "slots" else bottom_k(f, seed=seed, distinct=examples_engine == "distinct")
@@ -210,6 +212,48 @@ def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind
     return p
 
 
+KEYED = {"required", "dependencies", "attribute_counts"}
+
+
+def _nodes(facts: DataFrame, choice: Choice, tree_fanin: int | None) -> DataFrame:
+    ids = [F.first(c).alias(c) for c in IDENTITY]
+    parts = [c.alias(k) for m in choice.columns for k, c in m.partial().items()]
+    if not tree_fanin:
+        return facts.groupBy("typed_path").agg(*ids, *parts)
+    return reduce_states(facts.groupBy("typed_path", F.pmod(F.xxhash64("doc_id"), F.lit(tree_fanin)).alias("_salt")).agg(*ids, *parts).drop("_salt"), choice)
+
+
+def _folded(docs: DataFrame, choice: Choice, equivalence: str, tree_fanin: int | None, seed: int, scale: int) -> Profile:
+    """The profile by the local fold; what it can't build comes from facts in one more pass."""
+    own = [m for m in choice.columns if m.name in FOLDED]
+    other = [m for m in choice.columns if m.name not in FOLDED]
+    side = [s for s in choice.side if s != "bloom"]
+    states = fold_states(docs, (*(m.name for m in own), *side), equivalence, EXAMPLES, seed, scale)
+    if side:
+        # schema-sized rows that up to four tables read: kept, so that documents are parsed once
+        states = states.persist(StorageLevel.MEMORY_AND_DISK)
+    part = lambda name: states.where(F.col("part") == name)
+    keep = [k for m in own for k in m.merge()]
+    p = Profile(reduce_states(part("node").select("typed_path", *IDENTITY, *keep), Choice(choice.names, own), tree_fanin), choice, options={"scale": scale, "equivalence": equivalence})
+    if set(side) & KEYED:
+        p.keysets = part("keyset").groupBy("typed_path", "keys").agg(F.sum("n").alias("n"))
+    if "examples" in side:
+        p.examples = part("example").groupBy("typed_path", "slot").agg(F.min(F.struct("key", "example")).alias("e")).select("typed_path", "slot", "e.key", "e.example")
+    if "multiple" in side:
+        p.divisors = merge_divisors(part("divisor").select("typed_path", "divisor", "integers"))
+    if other or "bloom" in choice.side:
+        rest = Choice(choice.names, other)
+        needs = tuple(sorted({n for m in other for n in m.needs} | ({"text"} if "bloom" in choice.side else set())))
+        f = facts_of(docs, needs, equivalence)
+        if other:
+            leaves = f if any(not m.applies_to or set(m.applies_to) & {"object", "array"} for m in other) else f.where("kind in ('number', 'string', 'boolean', 'null')")
+            more = _nodes(leaves, rest, tree_fanin).drop(*IDENTITY)
+            p.nodes = p.nodes.join(more, "typed_path", "left")
+        if "bloom" in choice.side:
+            p.bloom = bloom_of(f)
+    return p
+
+
 def settle_tuples(nodes: DataFrame, facts: DataFrame) -> DataFrame:
     """Arrays whose lengths were all equal (and not zero) keep their positional rows, the others their [*] rows."""
     sizes = facts.where("kind = 'array'").groupBy("typed_path").agg(F.min("arr_len").alias("_lo"), F.max("arr_len").alias("_hi"))
