@@ -84,6 +84,25 @@ def slices(batches, rows: int = 256):
             yield b.slice(i, rows)
 
 
+class Memo(dict):
+    """make(key) kept in two generations of at most `size` entries: what is in use outlives a change of generations."""
+
+    def __init__(self, make, size: int = 500_000, longest: int = 64):
+        super().__init__()
+        self.make, self.size, self.longest, self.old = make, size, longest, {}
+
+    def __missing__(self, key):
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+        if len(key) <= self.longest:
+            if len(self) >= self.size:
+                self.old = dict(self)
+                self.clear()
+            self[key] = value
+        return value
+
+
 def tokenizer_path(name: str) -> str:
     """Place of a public tokenizer's file on this machine; every worker has the package."""
     import public_tokenizers

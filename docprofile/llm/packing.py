@@ -20,33 +20,48 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, slices, tokenizer_path
+from .common import Memo, materialise, slices, tokenizer_path, utf8
 
-MEMO, KEPT = 400_000, 64
 MEMBER = "struct<doc_id:{kind},piece:int,start:bigint,length:bigint,ids_crc32:bigint>"
+#: Marks at a word's end that the pre-tokeniser parts from its letters.
+MARKS = b".,;:!?*#%$&|"
 
 
 class WordTokens:
-    """Ids by a tokenizers file whose normaliser and pre-tokeniser never look past white space: words are encoded once."""
+    """Ids by a tokenizers file whose normaliser and pre-tokeniser never look past white space: words are encoded once.
+
+    A word of ASCII letters with marks behind is two pieces to the pre-tokeniser, so it is put together from both; letters
+    are the same in either case.
+    """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
-        self.tok, self.memo = Tokenizer.from_file(path), {}
+        self.tok = Tokenizer.from_file(path)
         self.tok.no_truncation()
         self.tok.no_padding()
+        self.memo = Memo(self.word)
+
+    def word(self, word: bytes) -> bytes:
+        stem = word.rstrip(MARKS)
+        if stem.isalpha():  # of bytes: ASCII letters only
+            if len(stem) < len(word):
+                return self.memo[stem.lower()] + self.memo[word[len(stem) :]]
+            if not stem.islower():
+                return self.memo[stem.lower()]
+        return array.array("I", self.tok.encode(word.decode(), add_special_tokens=False).ids).tobytes()
+
+    def encode(self, text: bytes) -> bytes:
+        # bytes.split() cuts at ASCII white space only, which every part of the tokenizer takes for white space
+        return b"".join(map(self.memo.__getitem__, text.split()))
+
+
+_OPEN: dict[str, WordTokens] = {}
 
-    def word(self, word: str) -> bytes:
-        if (got := self.memo.get(word)) is None:
-            got = array.array("I", self.tok.encode(word, add_special_tokens=False).ids).tobytes()
-            if len(self.memo) >= MEMO:
-                self.memo.clear()
-            if len(word) <= KEPT:
-                self.memo[word] = got
-        return got
 
-    def encode(self, text: str) -> bytes:
-        return b"".join(map(self.word, text.split()))
+def word_tokens(path: str) -> WordTokens:
+    """This process's encoder: it serves all tasks that a worker runs."""
+    return _OPEN.get(path) or _OPEN.setdefault(path, WordTokens(path))
 
 
 def pieces(docs: DataFrame, file: str, room: int, end: int, id_col: str, text_col: str) -> DataFrame:
@@ -54,11 +69,11 @@ def pieces(docs: DataFrame, file: str, room: int, end: int, id_col: str, text_co
     kind = dict(docs.dtypes)[id_col]
 
     def run(batches):
-        words, tail = WordTokens(tokenizer_path(file)), end.to_bytes(4, "little")
+        words, tail = word_tokens(tokenizer_path(file)), end.to_bytes(4, "little")
         for b in slices(batches):
             rows = []
-            for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                ids = words.encode(t or "") + tail
+            for d, t in zip(b.column(0).to_pylist(), utf8(b.column(1)), strict=True):
+                ids = words.encode(t) + tail
                 rows += [(d, i, i * room, len(p) // 4, zlib.crc32(p)) for i in range(-(-len(ids) // (4 * room))) for p in (ids[4 * room * i : 4 * room * (i + 1)],)]
             cols = zip(*rows, strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, (b.column(0).type, pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], ["doc_id", "piece", "start", "length", "ids_crc32"])

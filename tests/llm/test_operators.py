@@ -375,3 +375,16 @@ def test_kneser_ney(spark, docs, odd, keys, monkeypatch):
     empty = kneser_ney.score(odd, kneser_ney.fit(odd.select("text").limit(0)))
     assert all(r.score == 0 and r.train_tokens == 0 for r in empty.collect())
     assert kneser_ney.fit_score(odd.limit(0)).count() == 0
+
+
+def test_word_tokens_random_texts():
+    import random
+
+    from tokenizers import Tokenizer
+
+    rng, path = random.Random(2), tokenizer_path("word_bpe_49k.json")
+    tok, own = Tokenizer.from_file(path), packing.WordTokens(path)
+    letters = ["a", "Z", "bc", "é", "É", "é", "Σ", "'s", "'", " ", "  ", "\n", " ", "　", "\x1c", "\x85", "9", ".", ",", "**", "|", "<|endoftext|>", "<|", "ß", "İ"]
+    for _ in range(4000):
+        t = "".join(rng.choices(letters, k=rng.randrange(20)))
+        assert np.frombuffer(own.encode(t.encode()), "<u4").tolist() == tok.encode(t, add_special_tokens=False).ids, repr(t)
