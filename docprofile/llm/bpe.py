@@ -20,12 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices, tokenizer_path
+from .common import Memo, slices, tokenizer_path
 
-#: Entries of a worker's memo; it starts anew when full.
-MEMO = 400_000
-#: Longest fragment that the memo keeps.
-KEPT = 64
 FRAGMENT = re.compile(r"\s*\S+|\s+")
 
 
@@ -52,8 +48,7 @@ class ByteBpe:
         if any(re.search(r"\S\s", self.bytes[i].decode("utf-8", "replace")) for i in range(size) if i not in added):
             raise ValueError("this vocabulary has tokens with a blank after a letter or mark: no certain cut in texts")
         assert len(ByteLevel.alphabet()) == len(letters)
-        self.memo: dict[str, bytes] = {}
-        self.parts: dict[str, list[int]] = {}
+        self.memo, self.parts = Memo(self.fragment), Memo(self.tokens, 50_000)
 
     def _mapped(self, b: bytes) -> str:
         return self.tok.pre_tokenizer.pre_tokenize_str(b.decode())[0][0]
@@ -72,51 +67,47 @@ class ByteBpe:
         missing = [b for b in range(128, 256) if b not in out.values()]
         return out | dict(zip(sorted(rest), missing, strict=True))
 
+    def tokens(self, bit: str) -> list[int]:
+        return [t.id for t in self.model.tokenize(bit)]
+
     def part(self, piece: str) -> list[int]:
         """Ids of a pre-token (mapped characters): cut wherever the vocabulary lacks the pair."""
-        ids, start = [], 0
-        for i in range(1, len(piece) + 1):
-            if i == len(piece) or piece[i - 1 : i + 1] not in self.pairs:
-                bit = piece[start:i]
-                if (got := self.parts.get(bit)) is None:
-                    got = [t.id for t in self.model.tokenize(bit)]
-                    if len(self.parts) >= MEMO:
-                        self.parts.clear()
-                    if len(bit) <= KEPT:
-                        self.parts[bit] = got
-                ids += got
-                start = i
-        return ids
+        pairs = self.pairs
+        cuts = [i for i in range(1, len(piece)) if piece[i - 1 : i + 1] not in pairs]
+        if not cuts:
+            return self.parts[piece]
+        return [t for a, b in zip([0, *cuts], [*cuts, len(piece)], strict=True) for t in self.parts[piece[a:b]]]
 
     def fragment(self, text: str) -> bytes:
         """Ids of a fragment as little-endian unsigned 32-bit integers."""
-        if (got := self.memo.get(text)) is not None:
-            return got
         if self.special and self.special.search(text):
             ids = self.tok.encode(text, add_special_tokens=False).ids
         else:
             ids = [i for p, _ in self.pre.pre_tokenize_str(text) for i in self.part(p)]
-        got = array.array("I", ids).tobytes()
-        if len(self.memo) >= MEMO:
-            self.memo.clear()
-        if len(text) <= KEPT:
-            self.memo[text] = got
-        return got
+        return array.array("I", ids).tobytes()
 
     def encode(self, text: str) -> bytes:
-        return b"".join(map(self.fragment, FRAGMENT.findall(text)))
+        return b"".join(map(self.memo.__getitem__, FRAGMENT.findall(text)))
 
     def decode(self, ids: bytes) -> str:
         table = self.bytes
         return b"".join([table[i] for i in array.array("I", ids)]).decode("utf-8", "replace")
 
 
+_OPEN: dict[str, ByteBpe] = {}
+
+
+def byte_bpe(path: str) -> ByteBpe:
+    """This process's coder: it serves all tasks that a worker runs."""
+    return _OPEN.get(path) or _OPEN.setdefault(path, ByteBpe(path))
+
+
 def encode_decode(docs: DataFrame, file: str = "byte_bpe_50k.json", id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256 (and ids binary, decoded string if asked): one row a row of docs."""
     kind = dict(docs.dtypes)[id_col]
 
     def run(batches):
-        bpe = ByteBpe(tokenizer_path(file))
+        bpe = byte_bpe(tokenizer_path(file))
         for b in slices(batches):
             ids = [bpe.encode(t or "") for t in b.column(1).to_pylist()]
             back = [bpe.decode(i) for i in ids]
