@@ -32,7 +32,9 @@ def normalised(text):
 def sort_names(rows: DataFrame, keys: list[str]) -> DataFrame:
     """keys, n, name: one row a distinct key; the names increase in sort order."""
     distinct = rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"))
-    ordered = distinct.repartitionByRange(*keys).sortWithinPartitions(*keys)
+    # ranges are of the blocks' first bytes: what is sampled for their bounds stays small, and the order is the same
+    bounds = [F.substring(k, 1, 32) if kind == "binary" else F.col(k) for k, kind in distinct.dtypes if k in keys]
+    ordered = distinct.repartitionByRange(*bounds).sortWithinPartitions(*keys)
     return materialise(ordered.withColumn("name", F.monotonically_increasing_id()), "names")
 
 
@@ -40,6 +42,7 @@ def name_texts(texts: DataFrame, block_bytes: int = 4096) -> DataFrame:
     """texts(uid, body binary) to (uid, level, name): equal (level, name) if and only if the bodies are equal."""
     nb = F.greatest(F.lit(1), F.ceil(F.length("body") / F.lit(block_bytes))).cast("int")
     rows = texts.select("uid", nb.alias("nb"), "body").select("uid", "nb", F.posexplode(F.expr(f"transform(sequence(0, nb - 1), i -> substring(body, i * {block_bytes} + 1, {block_bytes}))")).alias("pos", "block"))
+    rows = materialise(rows, "blocks")
     names, keys, level, done = sort_names(rows, ["block"]), ["block"], 0, []
     while True:
         total = names.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
