@@ -196,7 +196,8 @@ def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind
         docs = sampled(docs, sample_fraction, seed)
     if engine == "arrow" and isinstance(equivalence, str) and not tuples and facts is None and examples_engine == "slots":
         return _folded(docs, choice, equivalence, tree_fanin, seed, scale)
-    f = facts_of(docs, choice.needs, equivalence, engine, tuples, max_depth) if facts is None else facts
+    needs = tuple(sorted({*choice.needs, "arr_len"})) if tuples else choice.needs
+    f = facts_of(docs, needs, equivalence, engine, tuples, max_depth) if facts is None else facts
     nodes = _nodes(f, choice, tree_fanin)
     if tuples:
         nodes = settle_tuples(nodes, f)

@@ -106,7 +106,7 @@ def stats() -> Monoid:
 
 def hll(lg_k: int = 12) -> Monoid:
     """Distinct values by HyperLogLog over canonical texts, so that equal numbers count once."""
-    return Monoid("hll", ("text",), lambda: {"hll": F.hll_sketch_agg("text", F.lit(lg_k))}, lambda: {"hll": F.hll_union_agg("hll")}, lambda: {"distinct": F.hll_sketch_estimate("hll")}, ("number", "string"))
+    return Monoid("hll", ("text",), lambda: {"hll": F.hll_sketch_agg("text", F.lit(lg_k))}, lambda: {"hll": F.hll_union_agg("hll")}, lambda: {"distinct": F.when(F.col("kind").isin("number", "string"), F.hll_sketch_estimate("hll"))}, ("number", "string"))
 
 
 def histogram(bins: int = 100) -> Monoid:
