@@ -34,14 +34,19 @@ NAMES = {
 SYLLABLES = {"latin": ("ba", "den", "fel", "gar", "hol", "kin", "lan", "mer", "nor", "ros", "sten", "ter", "vik", "wald"), "cyrillic": ("ба", "вол", "гор", "дан", "зим", "кол", "лев", "мор", "нов", "пет", "сок")}
 
 WORD = r"[^\W\d_]+(?:[-'][^\W\d_]+)?"
-PATTERN = re.compile("|".join((
-    r"(?P<email>[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,})",
+#: Left of an @, and right of it.
+LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
+DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}")
+#: A run in which numbers may lie, and the kinds of numbers.
+RUN = re.compile(r"\d[\d.() +-]*")
+NUMBER = re.compile("|".join((
     r"(?P<ip>(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![\d]|\.\d))",
     r"(?P<ssn>(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-]))",
     r"(?P<card>(?<![\d.-])\d(?:[ -]?\d){12,18}(?![\d-]))",
     r"(?P<phone>(?<![\w.])(?:\+\d{1,3}[ .-]?)?(?:\(\d{1,4}\)[ .-]?|\d{2,4}[ .-])(?:\d{2,4}[ .-])*\d{3,4}(?![\w]))",
-    rf"(?P<name>\b(?:{'|'.join(t for g in TITLES.values() for t in g)})\.?\x20(?=[^\W\d_a-z]){WORD}(?:\x20(?=[^\W\d_a-z]){WORD})?)",
 )))
+ALL_TITLES = tuple(t for g in TITLES.values() for t in g)
+NAME = re.compile(rf"\b(?:{'|'.join(ALL_TITLES)})\.?\x20(?=[^\W\d_a-z]){WORD}(?:\x20(?=[^\W\d_a-z]){WORD})?")
 KINDS = ("email", "ip", "ssn", "card", "phone", "name")
 
 
@@ -50,13 +55,31 @@ def luhn(digits: str) -> bool:
     return (sum(d[::2]) + sum(sum(divmod(2 * x, 10)) for x in d[1::2])) % 10 == 0
 
 
-def find(text: str):
-    """(kind, start, end, value) of each detection, left to right."""
-    for m in PATTERN.finditer(text):
-        kind, value = m.lastgroup, m.group()
-        if kind == "card" and not luhn(re.sub(r"\D", "", value)):
-            continue
-        yield kind, m.start(), m.end(), value
+def find(text: str) -> list[tuple[str, int, int, str]]:
+    """(kind, start, end, value) of each detection, left to right; cheap tests first, since most texts hold none."""
+    found = []
+    at = text.find("@")
+    while at >= 0:
+        start = at
+        while start and text[start - 1] in LOCAL:
+            start -= 1
+        m = DOMAIN.match(text, at + 1) if start < at else None
+        if m:
+            found.append(("email", start, m.end()))
+        at = text.find("@", at + 1)
+    for run in RUN.finditer(text):
+        if run.end() - run.start() >= 7:
+            for m in NUMBER.finditer(text, max(0, run.start() - 2), min(len(text), run.end() + 2)):
+                if m.lastgroup != "card" or luhn(re.sub(r"\D", "", m.group())):
+                    found.append((m.lastgroup, m.start(), m.end()))
+    if any(t in text for t in ALL_TITLES):
+        found += [("name", m.start(), m.end()) for m in NAME.finditer(text)]
+    out, last = [], 0
+    for kind, start, end in sorted(found, key=lambda f: (f[1], -f[2])):
+        if start >= last:
+            out.append((kind, start, end, text[start:end]))
+            last = end
+    return out
 
 
 def canonical(kind: str, value: str) -> str:
