@@ -30,8 +30,8 @@ MARKS = b".,;:!?*#%$&|"
 class WordTokens:
     """Ids by a tokenizers file whose normaliser and pre-tokeniser never look past white space: words are encoded once.
 
-    A word of ASCII letters with marks behind is two pieces to the pre-tokeniser, so it is put together from both; letters
-    are the same in either case.
+    A word of letters with marks behind is two pieces to the pre-tokeniser, so it is put together from both. Small ASCII
+    letters are what the normaliser and the byte mapping leave as they are: such a piece goes to the merges directly.
     """
 
     def __init__(self, path: str):
@@ -40,7 +40,7 @@ class WordTokens:
         self.tok = Tokenizer.from_file(path)
         self.tok.no_truncation()
         self.tok.no_padding()
-        self.memo = Memo(self.word)
+        self.memo, self.merge = Memo(self.word, 250_000), self.tok.model.tokenize
 
     def word(self, word: bytes) -> bytes:
         stem = word.rstrip(MARKS)
@@ -49,6 +49,12 @@ class WordTokens:
                 return self.memo[stem.lower()] + self.memo[word[len(stem) :]]
             if not stem.islower():
                 return self.memo[stem.lower()]
+            return array.array("I", [t.id for t in self.merge(stem.decode())]).tobytes()
+        if stem and len(stem) < len(word):
+            text = stem.decode()
+            # letters only, in small letters too: then no piece spans the place before the marks
+            if text.isalpha() and text.lower().isalpha():
+                return self.memo[stem] + self.memo[word[len(stem) :]]
         return array.array("I", self.tok.encode(word.decode(), add_special_tokens=False).ids).tobytes()
 
     def encode(self, text: bytes) -> bytes:
