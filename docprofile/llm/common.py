@@ -47,24 +47,33 @@ def join_unique(left: DataFrame, right: DataFrame, keys: list[str], n: str, tota
     """left LEFT JOIN right, where right has one row a key.
 
     Keys with a large share of left's rows are joined by broadcast (at most HOT_SHARE rows, whatever the input),
-    so no task gets a hot key's rows; the others are joined by shuffle, as `hint` says. Keys compare null-safe.
+    so no task gets a hot key's rows; the others are joined by shuffle, as `hint` says. Keys are never null.
     """
     hot, cold = split_hot(right, n, total)
     extra = [c for c in right.columns if c not in keys and c != n]
-    hot = hot.select(*[F.col(k).alias(f"_h_{k}") for k in keys], *[F.col(c).alias(f"_h_{c}") for c in extra], F.lit(True).alias("_hot"))
-    cold = cold.select(*[F.col(k).alias(f"_c_{k}") for k in keys], *[F.col(c).alias(f"_c_{c}") for c in extra])
-    same = lambda p: [F.col(k).eqNullSafe(F.col(f"{p}{k}")) for k in keys]
-    step = left.join(F.broadcast(hot), _all(same("_h_")), "left")
-    # hot rows get no partner by shuffle: their key is replaced by a salt
-    salt = [F.when(F.col("_hot"), F.lit(None)).otherwise(F.col(k)).alias(f"_k_{k}") for k in keys]
-    step = step.select("*", *salt, F.when(F.col("_hot"), F.xxhash64(*[F.col(c) for c in left.columns if c not in keys] or [F.lit(0)])).otherwise(F.lit(0)).alias("_salt"))
-    cold = cold.withColumn("_c_salt", F.lit(0).cast("long"))
+    named = lambda df, p: df.select(*[F.col(k).alias(f"{p}{k}") for k in keys], *[F.col(c).alias(f"{p}{c}") for c in extra], F.xxhash64(*keys).alias(f"{p}join64"))
+    hot, cold = named(hot, "_h_").withColumn("_hot", F.lit(True)), named(cold, "_c_")
+    equal = lambda p: [same(F.col(k), F.col(f"{p}{k}")) for k in keys]
+    step = left.withColumn("_join64", F.xxhash64(*keys)).join(F.broadcast(hot), _all([F.col("_join64") == F.col("_h_join64"), *equal("_h_")]), "left")
+    # hot rows have no partner among the others: a hash of what else they hold deals them out evenly
+    rest = [F.col(c) for c in left.columns if c not in keys] or [F.lit(0)]
+    step = step.withColumn("_join64", F.when(F.col("_hot"), F.xxhash64(*rest)).otherwise(F.col("_join64")))
     cold = cold.hint(hint) if hint else cold
-    cond = _all([F.col(f"_k_{k}").eqNullSafe(F.col(f"_c_{k}")) for k in keys] + [F.col("_salt") == F.col("_c_salt"), F.col("_hot").isNull()])
-    out = step.join(cold, cond, "left")
+    out = step.join(cold, _all([F.col("_join64") == F.col("_c_join64"), *equal("_c_")]), "left")
     return out.select(*left.columns, *[F.coalesce(f"_h_{c}", f"_c_{c}").alias(c) for c in extra])
 
 
+def same(a: Column, b: Column) -> Column:
+    """Null-safe equality that the planner keeps as a condition beside the join key."""
+    return F.coalesce(~(a < b) & ~(a > b), a.isNull() & b.isNull())
+
+
+def matched(left: list[Column], right: list[Column]) -> Column:
+    """Null-safe equality of rows, joined by one 64-bit key: hash tables of one long take a fraction of the memory of
+    those of several columns, and what the hash brings together is compared whole."""
+    return _all([F.xxhash64(*left) == F.xxhash64(*right), *[same(a, b) for a, b in zip(left, right, strict=True)]])
+
+
 def _all(conds: list[Column]) -> Column:
     out = conds[0]
     for c in conds[1:]:
@@ -87,7 +96,7 @@ def slices(batches, rows: int = 256):
 class Memo(dict):
     """make(key) kept in two generations of at most `size` entries: what is in use outlives a change of generations."""
 
-    def __init__(self, make, size: int = 500_000, longest: int = 64):
+    def __init__(self, make, size: int = 150_000, longest: int = 64):
         super().__init__()
         self.make, self.size, self.longest, self.old = make, size, longest, {}
 

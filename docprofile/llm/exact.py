@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_unique, materialise
+from .common import join_unique, matched, materialise
 
 #: What normalisation deletes: [\x20\x09-\x0D].
 BLANKS = (" ", "\t", "\n", "\x0b", "\x0c", "\r")
@@ -32,9 +32,11 @@ def normalised(text):
 def sort_names(rows: DataFrame, keys: list[str]) -> DataFrame:
     """keys, n, name: one row a distinct key; the names increase in sort order."""
     distinct = rows.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"))
-    # ranges are of the blocks' first bytes: what is sampled for their bounds stays small, and the order is the same
-    bounds = [F.substring(k, 1, 32) if kind == "binary" else F.col(k) for k, kind in distinct.dtypes if k in keys]
-    ordered = distinct.repartitionByRange(*bounds).sortWithinPartitions(*keys)
+    # blocks are in order of their first bytes, then of a hash, then of all bytes: what is sampled for the ranges' bounds
+    # stays small, and many blocks that begin alike don't fall to one task
+    first = [F.substring(k, 1, 32) if kind == "binary" else F.col(k) for k, kind in distinct.dtypes if k in keys]
+    first += [F.xxhash64(*keys)] if dict(distinct.dtypes)[keys[0]] == "binary" else []
+    ordered = distinct.repartitionByRange(*first).sortWithinPartitions(*first, *keys)
     return materialise(ordered.withColumn("name", F.monotonically_increasing_id()), "names")
 
 
@@ -73,7 +75,7 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", blo
     groups = base.groupBy("h", "len").agg(F.count(F.lit(1)).alias("n"))
     shared = materialise(join_unique(base, groups.where("n > 1").withColumn("many", F.lit(True)), ["h", "len"], "n", total).where("many").drop("many"), "shared")
     # the text side streams past a hash table of the narrow side: no sort of texts; a row of docs repeats only with its id
-    texts = plain.join(shared.select(F.col("doc_id").alias("_id"), F.col("n_points").alias("_p"), F.col("h").alias("_h"), F.col("len").alias("_l"), "uid").hint("shuffle_hash"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("n_points") == F.col("_p")) & (F.xxhash64("body") == F.col("_h")) & (F.octet_length("body") == F.col("_l")))
+    texts = plain.join(shared.select(F.col("doc_id").alias("_id"), F.col("n_points").alias("_p"), F.col("h").alias("_h"), F.col("len").alias("_l"), "uid").hint("shuffle_hash"), matched([F.col("doc_id"), F.col("n_points"), F.xxhash64("body"), F.octet_length("body")], [F.col(c) for c in ("_id", "_p", "_h", "_l")]))
     named = name_texts(texts.select("uid", F.col("body").cast("binary").alias("body")).dropDuplicates(["uid"]) if base.where("m > 1").limit(1).count() else texts.select("uid", F.col("body").cast("binary").alias("body")), block_bytes)
     member = named.join(shared.select("uid", "doc_id", "n_points", "m"), "uid")
     member = materialise(member, "members")
@@ -90,7 +92,7 @@ def keep_first(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     """docs without the rows that `classes` drops; all columns stay."""
     kept = classes(docs, id_col, text_col).where("kept").groupBy(F.col("doc_id").alias("_id"), F.col("n_points").alias("_p"), F.col("text_sha256").alias("_s")).agg(F.max("group_size").alias("_size"))
     text = F.coalesce(F.col(text_col), F.lit(""))
-    hit = docs.join(kept.hint("shuffle_hash"), F.col(id_col).eqNullSafe(F.col("_id")) & (F.char_length(text).cast("long") == F.col("_p")) & (F.sha2(normalised(F.col(text_col)).cast("binary"), 256) == F.col("_s")))
+    hit = docs.join(kept.hint("shuffle_hash"), matched([F.col(id_col), F.char_length(text).cast("long"), F.sha2(normalised(F.col(text_col)).cast("binary"), 256)], [F.col(c) for c in ("_id", "_p", "_s")]))
     # only rows of groups can repeat with their id
     again = hit.where("_size > 1").dropDuplicates([id_col, "_p", "_s"])
     return hit.where("_size = 1").unionByName(again).select(*docs.columns)

@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_unique, materialise
+from .common import join_unique, matched, materialise
 
 # The patterns, in the order in which kinds are listed, and the least lengths.
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -104,7 +104,7 @@ def redact(docs: DataFrame, mark: str = "[SECRET]", id_col: str = "doc_id", text
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     step = lambda acc, s: F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(s["start"] >= acc["at"], F.concat(acc["out"], F.substring(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))).otherwise(acc["out"]).alias("out"))
     clean = F.aggregate("_live", start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.char_length(text))))
-    out = docs.join(live.hint("shuffle_hash"), F.col(id_col) == F.col("_id"), "left").withColumn(text_col, F.when(F.col("_live").isNull(), text).otherwise(clean))
+    out = docs.join(live.hint("shuffle_hash"), matched([F.col(id_col)], [F.col("_id")]), "left").withColumn(text_col, F.when(F.col("_live").isNull(), text).otherwise(clean))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("_live").isNull(), F.col("n_chars")).otherwise(F.char_length(text_col)).cast(docs.schema["n_chars"].dataType))
     return out.select(*docs.columns)
