@@ -103,12 +103,6 @@ def native(docs: DataFrame) -> DataFrame:
     return docs.agg(F.expr("schema_of_variant_agg(try_parse_json(json))").alias("type"))
 
 
-def native_reader(docs: DataFrame, spark=None):
-    """The schema that spark.read.json infers from the texts."""
-    spark = spark or docs.sparkSession
-    return spark.read.json(docs.select("json").rdd.map(lambda r: r.json)).schema
-
-
 def adhoc(docs: DataFrame, questions: dict[str, str]) -> DataFrame:
     """Each property by a scan of its own, as an analyst would: name, presence, distinct, least and greatest text of a JSON path."""
     out = None

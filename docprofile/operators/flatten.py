@@ -243,7 +243,6 @@ def flatten_arrow(docs: DataFrame, equivalence: str = "kind", values: tuple[str,
     give no row; parse_documents tells why. A node's texts are built only if asked for.
     """
     import hashlib
-    import json
 
     import pyarrow as pa
 
@@ -328,5 +327,4 @@ def flatten_arrow(docs: DataFrame, equivalence: str = "kind", values: tuple[str,
                 ids = part.column(0).take(pa.array(rows_doc, pa.int32()))
                 yield pa.RecordBatch.from_arrays([ids, pa.array(ordinal, pa.int32()), *text, *[pa.array(cols[v], arrow[v]) for v in values]], names)
 
-    del json
     return docs.select("doc_id", F.col(json_col)).mapInArrow(run, schema)

@@ -11,7 +11,7 @@ from ..functions.texts import bucket
 from . import baselines
 from .discover import Profile, discover, facts_of
 from .generate import generate
-from .validate import NEEDS, RULES, rejects, schema_rows, validate, validate_facts
+from .validate import RULES, validate
 
 #: Rows of the accuracy report: minimum and one monoid, by the validation rules that each enables.
 VARIANTS = {
@@ -128,5 +128,3 @@ def sketch_error(docs: DataFrame, equivalence="kind") -> DataFrame:
     each = facts.groupBy("typed_path").agg(F.count_distinct("text").alias("exact"), F.hll_sketch_estimate(F.hll_sketch_agg("text", F.lit(12))).alias("estimate"))
     return each.withColumn("error", F.abs(F.col("estimate") - F.col("exact")) / F.col("exact"))
 
-
-__all__ = ["NEEDS", "accuracy", "acceptance", "baseline_report", "bench_batch", "ground_truth_filter", "linearity", "overfit", "rejects", "schema_rows", "schema_size", "sketch_error", "soundness", "split", "validate_facts"]

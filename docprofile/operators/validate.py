@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.formats import FORMATS, label
+from ..functions.formats import label
 from .discover import Profile, dependencies, facts_of, required_keys
 
 #: Rules in the order of their bits.
@@ -18,7 +18,6 @@ NEEDS = ("num", "whole", "str", "keys", "arr_len", "uniq")
 #: Typed paths that a schema may have for its rows to be broadcast; larger ones are joined by shuffle.
 BROADCAST_ROWS = 50_000
 COLUMNS = "typed_path string, parent_typed_path string, step string, kind string, required array<string>, depends array<struct<a:string,b:array<string>>>, number_min double, number_max double, string_min int, string_max int, array_min int, array_max int, divisor long, integers boolean, prefix string, suffix string, format string, all_unique boolean"
-NAMES = [c.split()[0] for c in COLUMNS.split(", ") if c[0].isalpha() and " " in c and not c.startswith("b:")]
 
 
 def schema_rows(p: Profile) -> DataFrame:
@@ -99,7 +98,3 @@ def validate(docs: DataFrame, schema: Profile | DataFrame, closed: bool = True,
 def rejects(validated: DataFrame, enabled: list[str] | tuple[str, ...]) -> DataFrame:
     """validated with `rejected`: one of the enabled rules (and of the structure's, always on) fired."""
     return validated.withColumn("rejected", F.arrays_overlap("rules", F.array(*map(F.lit, ("type", "unknown", *enabled)))))
-
-
-def rule_formats() -> list[str]:
-    return list(FORMATS)

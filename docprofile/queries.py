@@ -6,7 +6,7 @@ import json
 import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions import formats, portable
@@ -19,7 +19,7 @@ from .operators.validate import validate
 from .plans.ground_truth import manifest_schema
 from .plans.json_schema import to_json_schema
 from .sources import workloads as W
-from .sources.readers import rows, table
+from .sources.readers import table
 from .streaming import stream as S
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -668,5 +668,3 @@ def entry(spark: SparkSession, d: str) -> DataFrame:
     p = discover(W.docs_events(spark, d), "all")
     return p.finished().select("typed_path", "path", "kind", "n", "number_min", "number_max", "string_min", "string_max", "prefix", "suffix", "format", "mean", "stddev", "distinct", "divisor")
 
-
-__all__ = ["ORACLE_SQL", "QUERIES", "Window", "entry", "rows"]

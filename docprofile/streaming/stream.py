@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
-from ..operators.discover import IDENTITY, Profile, discover, facts_of, merge_all, reduce_states
+from ..operators.discover import IDENTITY, Profile, discover, facts_of, merge_all
 from ..operators.monoids import choose
 
 
@@ -102,4 +102,4 @@ def publish(stream: DataFrame, sink: Callable[[DataFrame, int], None]) -> Stream
     return stream.writeStream.outputMode("complete").foreachBatch(sink).trigger(availableNow=True).start()
 
 
-__all__ = ["Fold", "discover_hybrid", "discover_stream", "fold_stream", "publish", "read_stream", "reduce_states", "running", "running_keysets", "windowed"]
+__all__ = ["Fold", "discover_hybrid", "discover_stream", "fold_stream", "publish", "read_stream", "running", "running_keysets", "windowed"]
