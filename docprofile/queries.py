@@ -20,6 +20,7 @@ from .plans.ground_truth import manifest_schema
 from .plans.json_schema import to_json_schema
 from .sources import workloads as W
 from .sources.readers import table
+from .sql import alternatives, profile_view, register
 from .streaming import stream as S
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -663,6 +664,36 @@ def widened_bounds(spark, d):
     return extensions.widen_bounds(discover(W.docs_events(spark, d), ["maxmin", "histogram"]))
 
 
+# --- SQL surface ---
+@query(facts(PROPS) + "select typed_path, kind, count(*) as n, min(num) as number_min, max(num) as number_max from node group by all")
+def sql_profile_view(spark, d):
+    table(spark, d, "events").createOrReplaceTempView("events_raw")
+    profile_view(spark, "events_raw", "props", "event_id", "events_profile", ["maxmin_number"])
+    return spark.sql("SELECT typed_path, kind, n, number_min, number_max FROM events_profile")
+
+
+@query("select event_type, 'object' as kind, count(*) as n from events where ('0x' || substr(md5(event_id || ':0'), 1, 8))::bigint % 100 < 50 group by 1")
+def sql_functions(spark, d):
+    register(spark)
+    table(spark, d, "events").createOrReplaceTempView("events_raw")
+    return spark.sql("SELECT event_type, json_kind(parse_json(props)) AS kind, count(*) AS n FROM events_raw WHERE md5_bucket(CAST(event_id AS STRING), 0) < 50 GROUP BY 1, 2")
+
+
+@query()
+def sketch_alternatives(spark, d):
+    return alternatives(W.docs_events(spark, d))
+
+
+@query("select user_id, count(*) as n from events group by user_id")
+def stream_sessions(spark, d):
+    name = f"sessions_{uuid.uuid4().hex}"
+    whole = table(spark, d, "events")
+    e = spark.readStream.schema(whole.schema).parquet(f"{d}/event[s].parquet").select("user_id", F.col("ts").cast("timestamp").alias("ts"))
+    q = S.sessions(e, "user_id").writeStream.outputMode("complete").format("memory").queryName(name).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.table(name).groupBy("user_id").agg(F.sum("n").alias("n"))
+
+
 def entry(spark: SparkSession, d: str) -> DataFrame:
     """The flagship: every monoid of the events collection, read out."""
     p = discover(W.docs_events(spark, d), "all")

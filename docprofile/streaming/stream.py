@@ -49,6 +49,16 @@ def windowed(stream: DataFrame, ts: str = "ts", width: str = "1 day", late: str
     return timed.groupBy(at.alias("window"), F.expr("schema_of_variant(try_parse_json(json))").alias("shape")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def sessions(stream: DataFrame, key: str, ts: str = "ts", gap: str = "30 minutes", late: str = "1 hour") -> DataFrame:
+    """Documents by key and session of a feed with columns key and ts."""
+    return stream.withWatermark(ts, late).groupBy(F.session_window(ts, gap).alias("session"), key).agg(F.count(F.lit(1)).alias("n"))
+
+
+def deduplicated(stream: DataFrame, ts: str = "ts", late: str = "1 hour") -> DataFrame:
+    """A feed that may deliver a document twice, each doc_id once within the watermark."""
+    return stream.withWatermark(ts, late).dropDuplicatesWithinWatermark(["doc_id"])
+
+
 class Fold:
     """A fold of batches: the profile of each batch merged with the stored one, each version at a new path.
 
@@ -102,4 +112,4 @@ def publish(stream: DataFrame, sink: Callable[[DataFrame, int], None]) -> Stream
     return stream.writeStream.outputMode("complete").foreachBatch(sink).trigger(availableNow=True).start()
 
 
-__all__ = ["Fold", "discover_hybrid", "discover_stream", "fold_stream", "publish", "read_stream", "running", "running_keysets", "windowed"]
+__all__ = ["Fold", "discover_hybrid", "discover_stream", "fold_stream", "publish", "read_stream", "running", "running_keysets", "sessions", "deduplicated", "windowed"]
