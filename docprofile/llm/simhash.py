@@ -13,14 +13,12 @@ rows each get a row; other columns are ignored; a null id takes part, and is nob
 
 from __future__ import annotations
 
-from itertools import islice
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_unique, materialise, slices, utf8
+from .common import join_unique, matched, materialise, slices, utf8
 from .graph import components
 
 CROWD = 24
@@ -68,15 +66,17 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def links(fps: DataFrame, crowd: int = CROWD) -> DataFrame:
     """Distinct fingerprints fp to edges (u, v) that connect what lies within two bits."""
-    halves = F.array(*[F.struct(F.lit(s).alias("seg"), F.shiftrightunsigned("fp", 32 * s).bitwiseAND(F.lit(0xFFFFFFFF)).alias("key")) for s in (0, 1)])
-    table = fps.select("fp", F.inline(halves))
-    size = table.groupBy("seg", "key").agg(F.count(F.lit(1)).alias("n"))
-    crowded = size.where(F.col("n") > crowd).select("seg", "key", F.lit(None).cast("long").alias("found"))
+    # a table's key is the segment's number above its 32 bits
+    halves = F.array(*[F.shiftrightunsigned("fp", 32 * s).bitwiseAND(F.lit(0xFFFFFFFF)).bitwiseOR(F.lit(s << 32)) for s in (0, 1)])
+    table = fps.select("fp", F.explode(halves).alias("key"))
+    size = table.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
+    crowded = size.where(F.col("n") > crowd).select("key", F.lit(None).cast("long").alias("found"))
     # at most `crowd` fingerprints a value: what is listed is bounded
-    few = table.join(size.where(F.col("n") <= crowd).select("seg", "key"), ["seg", "key"]).select("seg", "key", F.col("fp").alias("found"))
+    # the planner takes exploded rows for as many as went in and might broadcast them: both joins are told to shuffle
+    few = table.join(size.where(F.col("n") <= crowd).select("key").hint("merge"), "key").select("key", F.col("fp").alias("found"))
     flips = F.expr("array_append(transform(filter(sequence(0, 31), b -> (key & shiftleft(1L, b)) = 0), b -> key | shiftleft(1L, b)), key)")
-    asked = table.select("fp", "seg", F.explode(flips).alias("key"))
-    hits = asked.join(few.unionByName(crowded), ["seg", "key"])
+    asked = table.select("fp", F.explode(flips).alias("key"))
+    hits = asked.join(few.unionByName(crowded).hint("merge"), "key")
     near = F.bit_count(F.col("fp").bitwiseXOR(F.col("found"))) <= 2
     hits = materialise(hits.where(F.col("found").isNull() | (near & (F.col("fp") != F.col("found")))).select(F.col("fp").alias("u"), F.col("found").alias("v")).distinct(), "hits")
     rest = hits.where("v is null").select(F.col("u").alias("fp")).distinct()
@@ -105,5 +105,5 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **
     """docs with one row of each group, that of the smallest id (any one of its repeated rows); all columns stay."""
     groups = near_groups(docs, id_col, text_col, **kind).groupBy(F.col("doc_id").alias("_id")).agg(F.min("component_id").alias("_keep"), F.count(F.lit(1)).alias("_m"))
     groups = groups.where(F.col("_id").eqNullSafe(F.col("_keep")) | F.col("_keep").isNull())
-    hit = docs.join(groups.select("_id", "_m").hint("shuffle_hash"), F.col(id_col).eqNullSafe(F.col("_id")))
+    hit = docs.join(groups.select("_id", "_m").hint("shuffle_hash"), matched([F.col(id_col)], [F.col("_id")]))
     return hit.where("_m = 1").unionByName(hit.where("_m > 1").dropDuplicates([id_col])).select(*docs.columns)
