@@ -33,8 +33,11 @@ def manifest_schema(spark: SparkSession) -> DataFrame:
         _row(root, ".size", "number", number_min=1.0, integers=True),
     ]
     out += [_row(root, ".dependencies", "object"), *[_row(deps, f".{b}", "string") for b in DEPENDENCY_KEYS]]
+    out += [_row(root, ".scripts", "object"), *[_row(f"{root}.scripts<object>", f".task{i}", "string", string_min=1) for i in range(TASKS)]]
     return rules(spark, out)
 
 
+#: Numbered task names that its scripts can have.
+TASKS = 120
 #: Names that the dependencies of a manifest can have.
 DEPENDENCY_KEYS = tuple(f"lib{i}" for i in range(25))

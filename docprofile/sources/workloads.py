@@ -110,6 +110,10 @@ def docs_manifests(spark: SparkSession, d: str, corrupt: bool = True) -> DataFra
     name = F.concat(F.lit("pkg-"), F.lower(F.regexp_replace("p_name", "[^A-Za-z0-9]+", "-")), F.lit("-"), k.cast("string"))
     version = F.concat_ws(".", (k % 7).cast("string"), (k % 13).cast("string"), (k % 29).cast("string"))
     libs = F.map_from_entries(F.transform(F.sequence(F.lit(0), (k % 4).cast("int")), lambda i: F.struct(F.concat(F.lit("lib"), ((k * 7 + i * 11) % 25).cast("string")).alias("k"), F.concat(F.lit("^"), ((k + i) % 9).cast("string"), F.lit(".0.0")).alias("v"))))
+    # many task names, each in few documents, with commands of any length: what bounds of observed lengths overfit to
+    task = lambda i: F.concat(F.lit("task"), ((k * 13 + i * 31) % 120).cast("string"))
+    command = lambda i: F.concat(F.lit("node "), F.expr(f"substring(md5(concat(p_partkey, '/', {i})), 1, 1 + cast(conv(substring(md5(concat(p_partkey, ':', {i})), 1, 2), 16, 10) as int) % 30)"))
+    scripts = F.when(k % 2 == 0, F.map_from_arrays(F.array(task(0), task(1)), F.array(command(0), command(1)))).when(k % 3 == 0, F.map_from_arrays(F.array(task(0)), F.array(command(0))))
     h = F.conv(F.substring(F.md5(F.concat(F.lit("corrupt:"), k.cast("string"))), 1, 8), 16, 10).cast("long") % 1000 if corrupt else F.lit(999)
     bad = lambda i, x, y: F.when(h == i, x).otherwise(y)
     url = F.concat(F.lit("https://registry.example.org/"), name, F.lit("/-/"), name, F.lit(".tgz"))
@@ -118,7 +122,7 @@ def docs_manifests(spark: SparkSession, d: str, corrupt: bool = True) -> DataFra
     oses = bad(5, F.array(F.lit("linux"), F.lit("linux")), oses)
     site = F.concat(F.lit("https://funding.example.org/"), name)
     fund = F.when(k % 5 == 0, F.to_json(F.struct(site.alias("url")))).when(k % 5 == 1, F.concat(F.lit('"'), site, F.lit('"')))
-    body = F.to_json(F.struct(bad(2, F.lit(None).cast("string"), name).alias("name"), bad(1, F.lit(" v 1"), version).alias("version"), dist.alias("dist"), oses.alias("os"), F.split(F.lower("p_type"), " ").alias("keywords"), F.when(k % 4 != 3, libs).alias("dependencies"), bad(4, F.lit(None).cast("int"), F.col("p_size")).alias("size")))
+    body = F.to_json(F.struct(bad(2, F.lit(None).cast("string"), name).alias("name"), bad(1, F.lit(" v 1"), version).alias("version"), dist.alias("dist"), oses.alias("os"), F.split(F.lower("p_type"), " ").alias("keywords"), F.when(k % 4 != 3, libs).alias("dependencies"), scripts.alias("scripts"), bad(4, F.lit(None).cast("int"), F.col("p_size")).alias("size")))
     more = F.concat(F.coalesce(F.concat(F.lit(',"funding":'), fund), F.lit("")), bad(3, F.lit(',"surprise":true'), F.lit("")), bad(4, F.lit(',"size":"5"'), F.lit("")))
     return p.select(k.alias("doc_id"), body.alias("b"), more.alias("m")).select("doc_id", F.concat(F.expr("substring(b, 1, length(b) - 1)"), "m", F.lit("}")).alias("json"))
 
