@@ -48,7 +48,7 @@ class ByteBpe:
         if any(re.search(r"\S\s", self.bytes[i].decode("utf-8", "replace")) for i in range(size) if i not in added):
             raise ValueError("this vocabulary has tokens with a blank after a letter or mark: no certain cut in texts")
         assert len(ByteLevel.alphabet()) == len(letters)
-        self.memo, self.parts = Memo(self.fragment), Memo(self.tokens, 50_000)
+        self.memo, self.parts = Memo(self.fragment, 500_000), Memo(self.tokens, 50_000)
 
     def _mapped(self, b: bytes) -> str:
         return self.tok.pre_tokenizer.pre_tokenize_str(b.decode())[0][0]
