@@ -6,7 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from docprofile.llm import exact, packing, quality, secrets, simhash
+from docprofile.llm import exact, near, packing, quality, secrets
 from docprofile.llm.common import scratch
 from docprofile.llm.queries import quality_scorer
 
@@ -22,8 +22,8 @@ def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest id stays."""
-    return simhash.keep_one(docs)
+    """Of each group of near copies (sets of five-word shingles similar by 0.8) the document with the smallest id stays."""
+    return near.keep_one(docs)
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -74,6 +74,11 @@ def matched(left: list[Column], right: list[Column]) -> Column:
     return _all([F.xxhash64(*left) == F.xxhash64(*right), *[same(a, b) for a, b in zip(left, right, strict=True)]])
 
 
+def text_digest(text: Column) -> Column:
+    """With its id this tells a row whose id is null or stands for several texts."""
+    return F.sha2(F.coalesce(text, F.lit("")).cast("binary"), 256)
+
+
 def _all(conds: list[Column]) -> Column:
     out = conds[0]
     for c in conds[1:]:
