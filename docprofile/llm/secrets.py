@@ -18,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_unique, matched, materialise
+from .common import join_unique, matched, materialise, text_digest
 
 # The patterns, in the order in which kinds are listed, and the least lengths.
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -46,8 +46,8 @@ def _mixed(v: Column) -> Column:
     return v.rlike(PREFIX) | (v.rlike("[A-Z]") & v.rlike("[a-z]") & v.rlike("[0-9]"))
 
 
-def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_col: str = "source", repo_cols: tuple[str, ...] = ("source", "lang")) -> DataFrame:
-    """uid, doc_id, owner, repo, spans array<struct<start, kind, end, value>>: all base matches kept, and the further candidates."""
+def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", owner_col: str = "source", repo_cols: tuple[str, ...] = ("source", "lang"), digest: bool = False) -> DataFrame:
+    """uid, doc_id, owner, repo, spans array<struct<start, kind, end, value>>: all base matches kept, and the further candidates; on demand the text's digest."""
     none = F.array().cast("array<string>")
     text = F.coalesce(F.col(text_col), F.lit(""))
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(owner_col).cast("string").alias("owner"), F.to_json(F.struct(*[F.col(c).cast("string").alias(f"c{i}") for i, c in enumerate(repo_cols)])).alias("repo"), text.alias("text"))
@@ -60,8 +60,9 @@ def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     spans = F.concat(at(0, ASSIGN, lambda s: F.char_length(s["value"]) >= 12, secret), at(1, ACCESS, yes), at(2, HEX, yes), owned)
     # a further candidate that is a base match counts as that only
     inside = lambda s, all_: F.exists(all_, lambda b: (b["kind"] < 3) & (b["start"] <= s["start"]) & (b["end"] >= s["end"]))
-    rows = rows.select("doc_id", "owner", "repo", spans.alias("spans"))
-    rows = rows.select("doc_id", "owner", "repo", F.when(F.size("spans") > 0, F.filter("spans", lambda s: (s["kind"] < 3) | ~inside(s, F.col("spans")))).otherwise(F.col("spans")).alias("spans"))
+    row = ["doc_id", "owner", "repo"] + (["digest"] if digest else [])
+    rows = (rows.withColumn("digest", text_digest(F.col("text"))) if digest else rows).select(*row, spans.alias("spans"))
+    rows = rows.select(*row, F.when(F.size("spans") > 0, F.filter("spans", lambda s: (s["kind"] < 3) | ~inside(s, F.col("spans")))).otherwise(F.col("spans")).alias("spans"))
     return materialise(rows.withColumn("uid", F.monotonically_increasing_id()), "candidates")
 
 
@@ -97,14 +98,15 @@ def scan(docs: DataFrame, example_owners: int = EXAMPLE_OWNERS, **cols) -> DataF
 
 def redact(docs: DataFrame, mark: str = "[SECRET]", id_col: str = "doc_id", text_col: str = "text", **cols) -> DataFrame:
     """docs with each live span replaced by `mark` (overlapping ones by one); no row goes, all columns stay."""
-    rows = judged(candidates(docs, id_col, text_col, **cols))
-    live = rows.select(F.col("doc_id").alias("_id"), F.filter("judged", lambda s: s["live"]).alias("_live")).where("size(_live) > 0").withColumn("_key", F.to_json("_live"))
-    live = live.groupBy("_id").agg(F.max(F.struct("_key", "_live")).alias("_l")).select("_id", F.col("_l._live").alias("_live"))
+    # spans are those of the text alone: rows are told by id and text, since an id may be null or stand for several texts
+    rows = judged(candidates(docs, id_col, text_col, digest=True, **cols))
+    live = rows.select(F.col("doc_id").alias("_id"), F.col("digest").alias("_d"), F.filter("judged", lambda s: s["live"]).alias("_live")).where("size(_live) > 0")
+    live = live.groupBy("_id", "_d").agg(F.first("_live").alias("_live"))
     text = F.col(text_col)
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     step = lambda acc, s: F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(s["start"] >= acc["at"], F.concat(acc["out"], F.substring(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))).otherwise(acc["out"]).alias("out"))
     clean = F.aggregate("_live", start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.char_length(text))))
-    out = docs.join(live.hint("shuffle_hash"), matched([F.col(id_col)], [F.col("_id")]), "left").withColumn(text_col, F.when(F.col("_live").isNull(), text).otherwise(clean))
+    out = docs.join(live.hint("shuffle_hash"), matched([F.col(id_col), text_digest(text)], [F.col("_id"), F.col("_d")]), "left").withColumn(text_col, F.when(F.col("_live").isNull(), text).otherwise(clean))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("_live").isNull(), F.col("n_chars")).otherwise(F.char_length(text_col)).cast(docs.schema["n_chars"].dataType))
     return out.select(*docs.columns)
