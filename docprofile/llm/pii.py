@@ -3,10 +3,12 @@
 Detected kinds: e-mail addresses, IPv4 addresses, payment card numbers (Luhn-valid, 13 to 19 digits), telephone numbers,
 social security numbers and names after a title (whose gender it tells). A surrogate comes from a keyed hash of the kind
 and the value: addresses keep their shape and letter classes, digits stay digits at their places, cards stay valid, names
-are drawn from a list of the same gender and script. The first pass gathers the distinct values of the corpus and gives
+are drawn from a list of the same gender and script. Forms of one value that tell unlike things (titles of two genders or
+of none, a number with and without +) get the surrogate of one form, settled over the corpus, in their own marks; a name
+under titles of both genders gets a given name of neither. The first pass gathers the distinct values of the corpus and gives
 each its surrogate; where two values share one, or one is itself a value of the corpus, all but the first try again with
-the next number of tries until none is left. What took more than one try is a table in the shared folder, which the
-second pass's workers read; they replace texts where they are read, so no text is shuffled.
+the next number of tries until none is left. What took more than one try, or has unlike forms, is a table in the shared folder, which the
+second pass's workers read, with the values whose forms tell unlike things; they replace texts where they are read, so no text is shuffled.
 
 Defined cases: null text stays null; empty texts stay; repeated rows each get a row; other columns are ignored; a null id
 stays null; with overlapping detections the one that starts first, then the longer one, counts.
@@ -47,6 +49,7 @@ NUMBER = re.compile("|".join((
 )))
 ALL_TITLES = tuple(t for g in TITLES.values() for t in g)
 NAME = re.compile(rf"\b(?:{'|'.join(ALL_TITLES)})\.?\x20(?=[^\W\d_a-z]){WORD}(?:\x20(?=[^\W\d_a-z]){WORD})?")
+GENDERS = ("n", "m", "f")
 KINDS = ("email", "ip", "ssn", "card", "phone", "name")
 
 
@@ -115,6 +118,22 @@ def _spread(value: str, digits: str) -> str:
     return "".join(next(it) if c.isdigit() else c for c in value)
 
 
+def told(kind: str, value: str) -> int:
+    """What a form tells besides its canonical value: of a name the gender's place in GENDERS, of a phone the digits after + that stay."""
+    if kind == "name":
+        title = value.partition(" ")[0].rstrip(".")
+        return next(k for k, g in enumerate(GENDERS) if title in TITLES[g])
+    m = re.match(r"\+(\d{1,3})[ .(-]", value) if kind == "phone" else None
+    return len(m[1]) if m else 0
+
+
+def dressed(kind: str, value: str, out: str) -> str:
+    """out, the surrogate of another form of value's entity, with the title or marks of value."""
+    if kind == "name":
+        return f"{value.partition(' ')[0]} {out.partition(' ')[2]}"
+    return _spread(value, canonical(kind, out)) if kind in ("ssn", "card", "phone") else out
+
+
 def surrogate(key: bytes, kind: str, value: str, tries: int = 0) -> str:
     same = canonical(kind, value)
     s = Stream(key, kind, same, str(tries))
@@ -129,10 +148,10 @@ def surrogate(key: bytes, kind: str, value: str, tries: int = 0) -> str:
     if kind == "ssn":
         return _spread(value, "9" + _digits(s, len(same) - 1))
     if kind == "phone":
-        keep = len(re.match(r"\+(\d{1,3})", value)[1]) if value.startswith("+") and re.match(r"\+\d{1,3}[ .(-]", value) else 0
+        keep = told(kind, value)
         return _spread(value, same[:keep] + _digits(s, len(same) - keep))
     title, _, rest = value.partition(" ")
-    gender = next(g for g, t in TITLES.items() if title.rstrip(".") in t)
+    gender = GENDERS[told(kind, value)]
     script = "cyrillic" if re.search("[Ѐ-ӿ]", rest) else "latin"
     given = NAMES[gender][script][s.below(len(NAMES[gender][script]))]
     family = "".join(SYLLABLES[script][s.below(len(SYLLABLES[script]))] for _ in range(3 + tries // 4)).capitalize()
@@ -140,16 +159,21 @@ def surrogate(key: bytes, kind: str, value: str, tries: int = 0) -> str:
 
 
 def resolve(docs: DataFrame, key: bytes, text_col: str = "text", max_tries: int = 50) -> DataFrame:
-    """kind, value (canonical), tries: of the values whose first surrogate another value has or is. Usually no row."""
+    """kind, value (canonical), form, tries: of the values whose first surrogate another value has or is, or whose forms tell
+    unlike things; form is the one that the surrogate comes from."""
     def values(batches):
         for b in slices(batches):
-            seen = {(k, canonical(k, v), v) for t in b.column(0).to_pylist() if t for k, _, _, v in find(t)}
+            seen = {(k, canonical(k, v), v, told(k, v)) for t in b.column(0).to_pylist() if t for k, _, _, v in find(t)}
             if seen:
                 cols = list(zip(*sorted(seen), strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(c, pa.string()) for c in cols], ["kind", "value", "form"])
-
-    forms = docs.select(F.col(text_col).alias("text")).mapInArrow(values, "kind string, value string, form string")
-    forms = materialise(forms.groupBy("kind", "value").agg(F.min("form").alias("form")).withColumn("tries", F.lit(0)), "values")
+                yield pa.RecordBatch.from_arrays([*[pa.array(c, pa.string()) for c in cols[:3]], pa.array(cols[3], pa.int32())], ["kind", "value", "form", "told"])
+
+    forms = docs.select(F.col(text_col).alias("text")).mapInArrow(values, "kind string, value string, form string, told int")
+    # the form that tells most speaks for all; where names have titles of both genders, one of neither does
+    each = forms.groupBy("kind", "value").agg(F.min(F.struct(-F.col("told"), "form")).alias("most"), (F.min("told") != F.max("told")).alias("mixed"), F.max(F.col("told") == 1).alias("m"), F.max(F.col("told") == 2).alias("f"))
+    both = (F.col("kind") == "name") & F.col("m") & F.col("f")
+    each = materialise(each.select("kind", "value", F.when(both, F.concat(F.lit(f"{TITLES['n'][0]} "), "value")).otherwise(F.col("most.form")).alias("form"), "mixed"), "values")
+    forms = each.select("kind", "value", "form", F.lit(0).alias("tries"))
     taken = forms.select("kind", F.col("value").alias("result"), F.lit("").alias("value"), F.lit(-1).alias("rank"))
 
     def results(batches):
@@ -165,7 +189,7 @@ def resolve(docs: DataFrame, key: bytes, text_col: str = "text", max_tries: int
         rivals = taken if settled is None else taken.unionByName(settled.select("kind", "result", "value", F.lit(0).alias("rank")))
         best = rivals.unionByName(tried.select("kind", "result", "value", F.lit(1).alias("rank"))).groupBy("kind", "result").agg(F.min(F.struct("rank", "value")).alias("b"))
         ruled = materialise(tried.join(best, ["kind", "result"]).withColumn("won", (F.col("b.rank") == 1) & (F.col("b.value") == F.col("value"))).drop("b"), "ruled")
-        won = ruled.where("won").select("kind", "value", "tries", "result")
+        won = ruled.where("won").select("kind", "value", "form", "tries", "result")
         settled = won if settled is None else settled.unionByName(won)
         open_ = ruled.where("not won").select("kind", "value", "form", (F.col("tries") + 1).alias("tries"))
         if open_.isEmpty():
@@ -173,7 +197,9 @@ def resolve(docs: DataFrame, key: bytes, text_col: str = "text", max_tries: int
             break
     if final is None:
         raise ValueError(f"values without a surrogate of their own after {max_tries} tries")
-    return final.where("tries > 0").select("kind", "value", "tries")
+    mixed = each.where("mixed").select("kind", "value", "form")
+    again = final.where("tries > 0").select("kind", "value", "form", "tries")
+    return again.unionByName(mixed.withColumn("tries", F.lit(0))).groupBy("kind", "value", "form").agg(F.max("tries").alias("tries"))
 
 
 def replace(docs: DataFrame, key: bytes, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -186,13 +212,14 @@ def replace(docs: DataFrame, key: bytes, id_col: str = "doc_id", text_col: str =
         import pyarrow.dataset as ds
 
         fs, path = file_system(at)
-        again = {(r["kind"], r["value"]): r["tries"] for b in ds.dataset(path, filesystem=fs, format="parquet").to_batches() for r in b.to_pylist()}
+        again = {(r["kind"], r["value"]): (r["form"], r["tries"]) for b in ds.dataset(path, filesystem=fs, format="parquet").to_batches() for r in b.to_pylist()}
         for b in slices(batches):
             texts, counts = [], []
             for t in b.column(1).to_pylist():
                 out, last, n = [], 0, dict.fromkeys(KINDS, 0)
                 for k, i, j, v in find(t or ""):
-                    out += [t[last:i], surrogate(key, k, v, again.get((k, canonical(k, v)), 0))]
+                    form, tries = again.get((k, canonical(k, v)), (v, 0))
+                    out += [t[last:i], dressed(k, v, surrogate(key, k, form, tries))]
                     last = j
                     n[k] += 1
                 texts.append(t if not out else "".join(out) + t[last:])
