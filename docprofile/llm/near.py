@@ -123,7 +123,12 @@ def links(rows: DataFrame, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFram
     near = lambda a, b: (5 * a >= 4 * b) & (5 * b >= 4 * a)
     few = shared.where("not many").groupBy("key").agg(F.array_sort(F.collect_list(F.struct("uid", "n"))).alias("all"))
     few = few.select(F.explode("all").alias("a"), "all").select("a", F.explode("all").alias("b")).where((F.col("a.uid") < F.col("b.uid")) & near(F.col("a.n"), F.col("b.n")))
-    edges = verified(materialise(few.select(F.col("a.uid").alias("u"), F.col("b.uid").alias("v")).distinct(), "pairs"), rows)
+    few = few.groupBy(F.col("a.uid").alias("u"), F.col("b.uid").alias("v"), F.col("a.n").alias("nu"), F.col("b.n").alias("nv")).agg(F.count(F.lit(1)).alias("c"))
+    # up to where the first prefix of the two ends they share these c; beyond it at most what that set has left. Pairs
+    # that also share a crowded key are met there, whatever c is here
+    left_of = lambda n: F.col(n) - F.floor(F.col(n) / 5) - 1
+    few = few.where(9 * (F.col("c") + F.greatest(left_of("nu"), left_of("nv"))) >= 4 * (F.col("nu") + F.col("nv")))
+    edges = verified(materialise(few.select("u", "v"), "pairs"), rows)
     crowded = shared.where("many").select("key", "uid", "n")
     if crowded.isEmpty():
         return edges
