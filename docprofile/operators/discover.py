@@ -11,14 +11,17 @@ from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .flatten import MAX_DEPTH, Equivalence, flatten, flatten_arrow, parse_documents
+from .flatten import MAX_DEPTH, Equivalence, flatten, flatten_arrow, parse_documents, tags_of
 from .fold import FOLDED, fold_states
 from .monoids import Choice, choose
+from .sketches import BLOCK_BITS, bloom_size
 
 #: What tells a row of the profile, besides its typed path; functions of it, so any value of a group will do.
 IDENTITY = ("path", "parent_typed_path", "step", "kind", "tag")
-#: Slots of examples, of a path, and documents that a bloom filter is sized for.
-EXAMPLES, BLOOM_EXPECTED, BLOOM_FPP = 100, 100_000, 0.01
+#: Slots of examples of a path; distinct values that a bloom filter is sized for, and its rate of false positives then.
+EXAMPLES, BLOOM_EXPECTED, BLOOM_FPP = 100, 1_000_000, 0.01
+#: Partitions of states whose rows of one path are merged in one go; more make another level.
+LEVEL = 256
 
 
 @dataclass
@@ -32,6 +35,8 @@ class Profile:
     divisors: DataFrame | None = None
     bloom: DataFrame | None = None
     options: dict = field(default_factory=dict)
+    #: What the tables were made from, kept while they are in use.
+    states: DataFrame | None = None
 
     def finished(self) -> DataFrame:
         """nodes with what their states say: pattern, format, mean, distinct, divisor and so on."""
@@ -43,14 +48,21 @@ class Profile:
             out = out.join(self.divisors.select("typed_path", "divisor", "integers"), "typed_path", "left")
         return out
 
+    def release(self) -> None:
+        """Let go of the states that the tables share; they are computed anew if asked for again."""
+        if self.states is not None:
+            self.states.unpersist()
+
 
 def facts_of(docs: DataFrame, needs: tuple[str, ...], equivalence: Equivalence = "kind", engine: str = "arrow", tuples: bool = False, max_depth: int = MAX_DEPTH) -> DataFrame:
     """Facts of (doc_id, json). engine: "arrow" (one Python pass, any depth) or "variant" (engine expressions only)."""
-    if engine == "arrow" and isinstance(equivalence, str):
-        return flatten_arrow(docs, equivalence, needs, tuples)
+    if engine == "arrow" and (not callable(equivalence) or not docs.isStreaming):
+        return flatten_arrow(docs, tags_of(docs, equivalence) if callable(equivalence) else equivalence, needs, tuples)
     good, _ = parse_documents(docs)
     want = tuple(n for n in needs if n != "whole")
     rows = flatten(good, equivalence, want, max_depth, tuples)
+    too_deep = F.raise_error(F.lit(f"documents nest deeper than max_depth = {max_depth}: raise it, or use engine='arrow'"))
+    rows = rows.withColumn("typed_path", F.when(F.col("truncated"), too_deep).otherwise(F.col("typed_path")))
     if "whole" in needs:
         rows = rows.withColumn("whole", F.when((F.col("num") == F.floor("num")) & (F.abs("num") < 2.0**63), F.col("num").cast("long")))
     return rows
@@ -62,9 +74,16 @@ def reduce_states(states: DataFrame, choice: Choice, fanin: int | None = None) -
     ids = [F.first(c).alias(c) for c in IDENTITY]
     if fanin:
         states = states.groupBy("typed_path", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(fanin)).alias("_salt")).agg(*ids, *[c.alias(k) for k, c in merged.items()])
+    elif {m.name for m in choice.columns} & {"stats", "histogram"}:
+        # these gather a path's states in one row: LEVEL partitions of them at a time
+        states = states.groupBy("typed_path", _level().alias("_salt")).agg(*ids, *[c.alias(k) for k, c in merged.items()])
     return states.groupBy("typed_path").agg(*ids, *[c.alias(k) for k, c in merged.items()])
 
 
+def _level() -> Column:
+    return F.floor(F.spark_partition_id() / LEVEL)
+
+
 def keysets_of(facts: DataFrame) -> DataFrame:
     """typed_path, keys, n: the distinct key sets of objects; all that key monoids need, whatever the number of documents."""
     return facts.where("kind = 'object'").groupBy("typed_path", "keys").agg(F.count(F.lit(1)).alias("n"))
@@ -114,10 +133,12 @@ def merge_reservoirs(a: list, total_a: int, b: list, total_b: int, k: int, seed:
 
 
 def divisors_of(facts: DataFrame, scale: int = 0) -> DataFrame:
-    """typed_path, divisor, integers: greatest common divisor of a path's numbers; null if one isn't whole (times 10^scale).
+    """typed_path, divisor, integers: greatest common divisor of a path's numbers; null if one isn't whole (times 10^scale)."""
+    return merge_divisors(divisor_rows(facts, scale))
 
-    Each Arrow batch is reduced on its own, so a task sends one row a path and batch.
-    """
+
+def divisor_rows(facts: DataFrame, scale: int = 0) -> DataFrame:
+    """Each Arrow batch reduced on its own, so a task sends one row a path and batch."""
 
     def fold(batches):
         for b in batches:
@@ -142,46 +163,50 @@ def divisors_of(facts: DataFrame, scale: int = 0) -> DataFrame:
             good = np.logical_and.reduceat(ok[order], first)
             yield pa.RecordBatch.from_arrays([codes.dictionary.take(pa.array(at[order][first])), pa.array(np.where(good, g, 0), pa.int64()), pa.array(good)], ["typed_path", "divisor", "integers"])
 
-    rows = facts.where("kind = 'number'").select("typed_path", "num", "whole").mapInArrow(fold, "typed_path string, divisor long, integers boolean")
-    return merge_divisors(rows)
+    return facts.where("kind = 'number'").select("typed_path", "num", "whole").mapInArrow(fold, "typed_path string, divisor long, integers boolean")
 
 
-def merge_divisors(rows: DataFrame) -> DataFrame:
-    """Rows of one path as one: their distinct divisors are few, since each divides all that came before it in its batch."""
+def gcd_of_all(rows: DataFrame, *keys: str) -> DataFrame:
+    """Rows of one key as one: the common divisor of their distinct divisors."""
     gcd = F.aggregate("all", F.lit(0).cast("long"), lambda acc, x: F.aggregate(F.sequence(F.lit(1), F.lit(92)), F.struct(acc.alias("a"), x.alias("b")), lambda s, _: F.when(s["b"] == 0, s).otherwise(F.struct(s["b"].alias("a"), (s["a"] % s["b"]).alias("b"))), lambda s: s["a"]))
-    return rows.groupBy("typed_path").agg(F.collect_set("divisor").alias("all"), F.bool_and("integers").alias("integers")).select("typed_path", F.when(F.col("integers"), gcd).alias("divisor"), "integers")
-
+    return rows.groupBy(*keys).agg(F.collect_set("divisor").alias("all"), F.bool_and("integers").alias("integers")).select("typed_path", F.when(F.col("integers"), gcd).alias("divisor"), "integers")
 
-def bloom_size(expected: int = BLOOM_EXPECTED, fpp: float = BLOOM_FPP) -> tuple[int, int]:
-    """Bits and hash functions for a false positive rate."""
-    import math
 
-    bits = math.ceil(-expected * math.log(fpp) / math.log(2) ** 2)
-    return bits, max(1, round(bits / expected * math.log(2)))
+def merge_divisors(rows: DataFrame) -> DataFrame:
+    """Rows of one path as one, LEVEL partitions at a time first."""
+    return gcd_of_all(gcd_of_all(rows.withColumn("_salt", _level()), "typed_path", "_salt"), "typed_path")
 
 
-def bloom_positions(value: Column, bits: int, hashes: int) -> Column:
-    """Bit positions of a value by two hashes."""
-    a, b = F.pmod(F.xxhash64(value), F.lit(bits)), F.pmod(F.xxhash64(value, F.lit(1)), F.lit(bits))
-    return F.array(*[F.pmod(a + b * i, F.lit(bits)) for i in range(hashes)])
+def bloom_positions(h: Column, size: int, places: int) -> tuple[Column, Column]:
+    """Block (from 1) and places in it of a value with 64-bit hash h."""
+    part = lambda shift, mask: F.shiftrightunsigned(h, shift).bitwiseAND(F.lit(mask).cast("long"))
+    a, b = part(0, BLOCK_BITS - 1), part(15, BLOCK_BITS - 1).bitwiseOR(F.lit(1).cast("long"))
+    return part(40, size - 1) + 1, F.array(*[(a + b * i).bitwiseAND(F.lit(BLOCK_BITS - 1).cast("long")) for i in range(places)])
 
 
 def bloom_of(facts: DataFrame, expected: int = BLOOM_EXPECTED, fpp: float = BLOOM_FPP) -> DataFrame:
     """typed_path, bucket, bits: bitmap blocks of each string and number path."""
-    bits, hashes = bloom_size(expected, fpp)
-    rows = facts.where("kind in ('string', 'number') and text is not null").select("typed_path", F.explode(bloom_positions(F.col("text"), bits, hashes)).alias("p"))
-    return rows.groupBy("typed_path", F.bitmap_bucket_number("p").alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("p")).alias("bits"))
+    block, places = bloom_positions(F.xxhash64("text"), *bloom_size(expected, fpp))
+    rows = facts.where("kind in ('string', 'number') and text is not null").select("typed_path", block.alias("bucket"), F.explode(places).alias("p"))
+    return rows.groupBy("typed_path", "bucket").agg(F.bitmap_construct_agg("p").alias("bits"))
 
 
 def bloom_contains(bloom: DataFrame, values: DataFrame, expected: int = BLOOM_EXPECTED, fpp: float = BLOOM_FPP) -> DataFrame:
     """values(typed_path, text) with `member`: all bits of the value are set."""
-    bits, hashes = bloom_size(expected, fpp)
-    asked = values.withColumn("p", F.explode(bloom_positions(F.col("text"), bits, hashes)))
-    asked = asked.withColumn("bucket", F.bitmap_bucket_number("p")).withColumn("at", F.bitmap_bit_position("p"))
-    hit = asked.join(bloom, ["typed_path", "bucket"], "left")
-    byte = F.conv(F.hex(F.substring(F.col("bits"), (F.col("at") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("long")
-    is_set = F.coalesce(F.getbit(byte, (F.col("at") % 8).cast("int")) == 1, F.lit(False))
-    return hit.withColumn("_set", is_set).groupBy(*values.columns).agg(F.bool_and("_set").alias("member"))
+    block, places = bloom_positions(F.xxhash64("text"), *bloom_size(expected, fpp))
+    hit = values.withColumn("bucket", block).withColumn("at", places).join(bloom, ["typed_path", "bucket"], "left")
+    byte = lambda p: F.conv(F.hex(F.substring(F.col("bits"), F.floor(p / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("long")
+    # a number's bits as text, the last one first
+    bit = lambda p: F.substring(F.reverse(F.lpad(F.bin(byte(p)), 8, "0")), (p % 8).cast("int") + 1, F.lit(1)) == "1"
+    return hit.select(*values.columns, F.coalesce(F.forall("at", bit), F.lit(False)).alias("member"))
+
+
+def bloom_rates(p: Profile) -> DataFrame:
+    """typed_path, distinct_values, rate: the chance that a value which a path lacks passes its filter, from the bits that are set.
+
+    A block answers for the values whose hashes lead to it, so the rate is the blocks' mean; blocks that aren't there have none."""
+    size, places = bloom_size(p.options["bloom_expected"], p.options["bloom_fpp"])
+    return p.bloom.groupBy("typed_path").agg((F.sum(F.pow(F.bitmap_count("bits") / BLOCK_BITS, F.lit(places))) / size).alias("rate"), (-F.sum(F.log(F.greatest(1 - F.bitmap_count("bits") / BLOCK_BITS, F.lit(1e-9)))) * BLOCK_BITS / places).alias("distinct_values"))
 
 
 def sampled(docs: DataFrame, fraction: float, seed: int = 0) -> DataFrame:
@@ -189,19 +214,29 @@ def sampled(docs: DataFrame, fraction: float, seed: int = 0) -> DataFrame:
     return docs.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1_000_000)) < int(fraction * 1_000_000))
 
 
-def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind", engine: str = "arrow", tuples: bool = False, tree_fanin: int | None = None, sample_fraction: float | None = None, seed: int = 0, max_depth: int = MAX_DEPTH, examples_engine: str = "slots", scale: int = 0, facts: DataFrame | None = None) -> Profile:
-    """The profile of (doc_id, json)."""
+def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind", engine: str = "arrow", tuples: bool = False, tree_fanin: int | None = None, sample_fraction: float | None = None, seed: int = 0, max_depth: int = MAX_DEPTH, examples_engine: str = "slots", scale: int = 0, facts: DataFrame | None = None, bloom_expected: int | str = BLOOM_EXPECTED, bloom_fpp: float = BLOOM_FPP) -> Profile:
+    """The profile of (doc_id, json).
+
+    bloom_expected: distinct values of a path that membership filters are sized for; "estimate": those of the path with
+    most, by a pass of HyperLogLog before. bloom_rates tells what rate a filter came to.
+    """
     choice = choose(monoids)
     if sample_fraction is not None:
         docs = sampled(docs, sample_fraction, seed)
-    if engine == "arrow" and isinstance(equivalence, str) and not tuples and facts is None and examples_engine == "slots":
-        return _folded(docs, choice, equivalence, tree_fanin, seed, scale)
+    if bloom_expected == "estimate":
+        most = discover(docs, ["hll"], equivalence).finished().agg(F.max("distinct")).first()[0] if "bloom" in choice.side else None
+        bloom_expected = max(1000, int(1.1 * (most or 0)))
+    options = {"scale": scale, "equivalence": equivalence, "bloom_expected": bloom_expected, "bloom_fpp": bloom_fpp}
+    if engine == "arrow" and not tuples and facts is None and examples_engine == "slots":
+        return _folded(docs, choice, tags_of(docs, equivalence) if callable(equivalence) else equivalence, tree_fanin, seed, options)
+    if engine == "arrow" and callable(equivalence) and facts is None:
+        equivalence = tags_of(docs, equivalence)
     needs = tuple(sorted({*choice.needs, "arr_len"})) if tuples else choice.needs
     f = facts_of(docs, needs, equivalence, engine, tuples, max_depth) if facts is None else facts
     nodes = _nodes(f, choice, tree_fanin)
     if tuples:
         nodes = settle_tuples(nodes, f)
-    p = Profile(nodes, choice, options={"scale": scale, "equivalence": equivalence})
+    p = Profile(nodes, choice, options=options)
     if set(choice.side) & KEYED:
         p.keysets = keysets_of(f)
     if "examples" in choice.side:
@@ -209,7 +244,7 @@ def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind
     if "multiple" in choice.side:
         p.divisors = divisors_of(f, scale)
     if "bloom" in choice.side:
-        p.bloom = bloom_of(f)
+        p.bloom = bloom_of(f, bloom_expected, bloom_fpp)
     return p
 
 
@@ -224,34 +259,29 @@ def _nodes(facts: DataFrame, choice: Choice, tree_fanin: int | None) -> DataFram
     return reduce_states(facts.groupBy("typed_path", F.pmod(F.xxhash64("doc_id"), F.lit(tree_fanin)).alias("_salt")).agg(*ids, *parts).drop("_salt"), choice)
 
 
-def _folded(docs: DataFrame, choice: Choice, equivalence: str, tree_fanin: int | None, seed: int, scale: int) -> Profile:
-    """The profile by the local fold; what it can't build comes from facts in one more pass."""
+def _folded(docs: DataFrame, choice: Choice, equivalence: str | dict, tree_fanin: int | None, seed: int, options: dict) -> Profile:
+    """The profile by the local fold; monoids that it doesn't know come from facts in one more pass."""
     own = [m for m in choice.columns if m.name in FOLDED]
     other = [m for m in choice.columns if m.name not in FOLDED]
-    side = [s for s in choice.side if s != "bloom"]
-    states = fold_states(docs, (*(m.name for m in own), *side), equivalence, EXAMPLES, seed, scale)
-    if side:
-        # schema-sized rows that up to four tables read: kept, so that documents are parsed once
+    states = fold_states(docs, (*(m.name for m in own), *choice.side), equivalence, EXAMPLES, seed, options["scale"], (options["bloom_expected"], options["bloom_fpp"]))
+    if choice.side:
+        # schema-sized rows that up to five tables read: kept until release(), so that documents are parsed once
         states = states.persist(StorageLevel.MEMORY_AND_DISK)
     part = lambda name: states.where(F.col("part") == name)
     keep = [k for m in own for k in m.merge()]
-    p = Profile(reduce_states(part("node").select("typed_path", *IDENTITY, *keep), Choice(choice.names, own), tree_fanin), choice, options={"scale": scale, "equivalence": equivalence})
-    if set(side) & KEYED:
+    p = Profile(reduce_states(part("node").select("typed_path", *IDENTITY, *keep), Choice(choice.names, own), tree_fanin), choice, options=options, states=states if choice.side else None)
+    if set(choice.side) & KEYED:
         p.keysets = part("keyset").groupBy("typed_path", "keys").agg(F.sum("n").alias("n"))
-    if "examples" in side:
+    if "examples" in choice.side:
         p.examples = part("example").groupBy("typed_path", "slot").agg(F.min(F.struct("key", "example")).alias("e")).select("typed_path", "slot", "e.key", "e.example")
-    if "multiple" in side:
+    if "multiple" in choice.side:
         p.divisors = merge_divisors(part("divisor").select("typed_path", "divisor", "integers"))
-    if other or "bloom" in choice.side:
-        rest = Choice(choice.names, other)
-        needs = tuple(sorted({n for m in other for n in m.needs} | ({"text"} if "bloom" in choice.side else set())))
-        f = facts_of(docs, needs, equivalence)
-        if other:
-            leaves = f if any(not m.applies_to or set(m.applies_to) & {"object", "array"} for m in other) else f.where("kind in ('number', 'string', 'boolean', 'null')")
-            more = _nodes(leaves, rest, tree_fanin).drop(*IDENTITY)
-            p.nodes = p.nodes.join(more, "typed_path", "left")
-        if "bloom" in choice.side:
-            p.bloom = bloom_of(f)
+    if "bloom" in choice.side:
+        p.bloom = part("bloom").groupBy("typed_path", F.col("slot").alias("bucket")).agg(F.bitmap_or_agg("bits").alias("bits"))
+    if other:
+        f = facts_of(docs, tuple(sorted({n for m in other for n in m.needs})), equivalence)
+        leaves = f if any(not m.applies_to or set(m.applies_to) & {"object", "array"} for m in other) else f.where("kind in ('number', 'string', 'boolean', 'null')")
+        p.nodes = p.nodes.join(_nodes(leaves, Choice(choice.names, other), tree_fanin).drop(*IDENTITY), "typed_path", "left")
     return p
 
 
@@ -273,6 +303,8 @@ def merge_profiles(a: Profile, b: Profile) -> Profile:
     """The profile of both inputs; exact but for histograms."""
     if a.choice.names != b.choice.names:
         raise ValueError("profiles of different monoids")
+    if a.bloom is not None and any(a.options.get(k) != b.options.get(k) for k in ("bloom_expected", "bloom_fpp")):
+        raise ValueError("membership filters of different sizes")
     both = lambda x, y: None if x is None else x.unionByName(y)
     p = Profile(reduce_states(a.nodes.unionByName(b.nodes), a.choice), a.choice, options=a.options)
     if a.keysets is not None:

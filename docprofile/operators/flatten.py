@@ -14,7 +14,11 @@ from pyspark.sql import functions as F
 
 from ..functions.texts import key_step
 
-MAX_DEPTH, MAX_TUPLE = 8, 64
+MAX_DEPTH, MAX_TUPLE = 16, 64
+#: Hexadecimal digits of a key set's hash in its label: 64 bits.
+LABEL_DIGITS = 16
+#: Distinct key sets whose tags an equivalence of the user's own may give on the Arrow path.
+MAX_TAGS = 200_000
 #: Fact fields that monoids may ask for beyond those of the structure.
 VALUES = ("num", "exact", "str", "text", "keys", "arr_len", "uniq")
 Equivalence = str | Callable[[Column, Column], Column]
@@ -40,7 +44,7 @@ def _tag(n: Column, kind: Column, equivalence: Equivalence) -> Column:
     if equivalence == "kind":
         return kind
     if equivalence == "label":
-        return F.when(kind == "object", F.concat(F.lit("object#"), F.substring(F.md5(F.concat_ws("\x1f", keys)), 1, 8))).otherwise(kind)
+        return F.when(kind == "object", F.concat(F.lit("object#"), F.substring(F.md5(F.concat_ws("\x1f", keys)), 1, LABEL_DIGITS))).otherwise(kind)
     return F.concat(kind, F.coalesce(F.concat(F.lit("#"), equivalence(kind, keys)), F.lit("")))
 
 
@@ -70,7 +74,8 @@ def _canonical(v: Column) -> Column:
 def flatten(docs: DataFrame, equivalence: Equivalence = "kind", values: tuple[str, ...] = VALUES, max_depth: int = MAX_DEPTH, tuples: bool = False, max_tuple: int = MAX_TUPLE) -> DataFrame:
     """(doc_id, doc VARIANT) to doc_id, ordinal, path, typed_path, parent_typed_path, step, kind, tag, truncated and the asked values.
 
-    Nodes below max_depth are not visited; the containers at the limit are marked `truncated`. tuples: also positional
+    Nodes below max_depth are not visited; the containers at the limit are marked `truncated` (facts_of then raises, so
+    no profile silently lacks them; the Arrow pass has no such limit). tuples: also positional
     steps [0]...[max_tuple - 1] next to [*]; they are typed paths of their own.
     """
     root = _named(F.array(_open(F.col("doc"), F.lit(""), F.lit(""), F.lit("$"))), equivalence)
@@ -117,41 +122,43 @@ def flatten(docs: DataFrame, equivalence: Equivalence = "kind", values: tuple[st
 def flatten_typed(df: DataFrame, id_col: str) -> DataFrame:
     """Facts (doc_id, path, typed_path, kind, num, str) of a columnar table, from its schema: nothing is parsed.
 
-    Null fields are absent attributes. Arrays are exploded; of structs the fields are walked on the driver (schema-sized).
+    Null fields are absent attributes, null elements of arrays are nulls. Structs are walked on the driver (schema-sized);
+    arrays, and maps as objects with their keys as attributes, are walked by the engine, however they nest.
     """
     from pyspark.sql import types as T
 
-    def walk(col, kind, path, tp):
-        if isinstance(kind, T.StructType):
-            yield (F.when(col.isNotNull(), F.array(_fact(path, f"{tp}<object>", "object"))), None)
-            for f in kind.fields:
-                yield from walk(col[f.name], f.dataType, f"{path}.{f.name}", f"{tp}<object>.{f.name}")
-        elif isinstance(kind, T.ArrayType):
-            yield (F.when(col.isNotNull(), F.array(_fact(path, f"{tp}<array>", "array"))), None)
-            name = _leaf(kind.elementType)
-            yield (F.transform(col, lambda x: _fact(f"{path}[*]", f"{tp}<array>[*]<{name}>", name, x)), None)
-        else:
-            name = _leaf(kind)
-            yield (F.when(col.isNotNull(), F.array(_fact(path, f"{tp}<{name}>", name, col))), None)
-
-    def _leaf(kind):
-        return "boolean" if isinstance(kind, T.BooleanType) else "number" if isinstance(kind, T.NumericType) else "string"
+    none = F.array().cast("array<struct<path:string,typed_path:string,kind:string,num:double,str:string>>")
 
-    def _fact(path, tp, kind, col=None):
+    def fact(path, tp, kind, col=None):
         num = col.cast("double") if kind == "number" and col is not None else F.lit(None).cast("double")
         text = col.cast("string") if kind == "string" and col is not None else F.lit(None).cast("string")
-        return F.struct(F.lit(path).alias("path"), F.lit(tp).alias("typed_path"), F.lit(kind).alias("kind"), num.alias("num"), text.alias("str"))
+        return F.struct(path.alias("path"), F.concat(tp, F.lit(f"<{kind}>")).alias("typed_path"), F.lit(kind).alias("kind"), num.alias("num"), text.alias("str"))
 
-    whole = F.struct(*[F.col(c) for c in df.columns])
-    parts = [c for c, _ in walk(whole, df.schema, "$", "$")]
-    none = F.array().cast("array<struct<path:string,typed_path:string,kind:string,num:double,str:string>>")
-    return df.select(F.col(id_col).alias("doc_id"), F.inline(F.flatten(F.array(*[F.coalesce(p, none) for p in parts]))))
+    def below(col, kind, path, tp):
+        """Facts of a value and of what it holds; null has none."""
+        if isinstance(kind, T.StructType):
+            inside = [below(col[f.name], f.dataType, F.concat(path, key_step(F.lit(f.name))), F.concat(tp, F.lit("<object>"), key_step(F.lit(f.name)))) for f in kind.fields]
+            facts = F.concat(F.array(fact(path, tp, "object")), *inside)
+        elif isinstance(kind, T.ArrayType):
+            star, deeper = F.concat(path, F.lit("[*]")), F.concat(tp, F.lit("<array>[*]"))
+            each = F.transform(col, lambda x: F.when(x.isNull(), F.array(fact(star, deeper, "null"))).otherwise(below(x, kind.elementType, star, deeper)))
+            facts = F.concat(F.array(fact(path, tp, "array")), F.flatten(each))
+        elif isinstance(kind, T.MapType):
+            deeper = F.concat(tp, F.lit("<object>"))
+            step = lambda e: key_step(e["key"].cast("string"))
+            each = F.transform(F.map_entries(col), lambda e: below(e["value"], kind.valueType, F.concat(path, step(e)), F.concat(deeper, step(e))))
+            facts = F.concat(F.array(fact(path, tp, "object")), F.flatten(each))
+        else:
+            name = "boolean" if isinstance(kind, T.BooleanType) else "number" if isinstance(kind, T.NumericType) else "string"
+            facts = F.array(fact(path, tp, name, col))
+        return F.when(col.isNotNull(), facts).otherwise(none)
+
+    whole = F.struct(*[F.col(f"`{c}`") for c in df.columns])
+    return df.select(F.col(id_col).alias("doc_id"), F.inline(below(whole, df.schema, F.lit("$"), F.lit("$"))))
 
 
 def fold_arrow(docs: DataFrame, json_col: str = "json") -> DataFrame:
     """Counts by typed path (kind equivalence) by a local fold: at most one row a path and task, no depth limit."""
-    import json
-
     import pyarrow as pa
 
     def run(batches):
@@ -160,15 +167,12 @@ def fold_arrow(docs: DataFrame, json_col: str = "json") -> DataFrame:
         def kind(v):
             return "null" if v is None else "boolean" if isinstance(v, bool) else "number" if isinstance(v, int | float) else "string" if isinstance(v, str) else "array" if isinstance(v, list) else "object"
 
-        def step(k):
-            return f".{k}" if k.isascii() and k.isidentifier() else "." + json.dumps(k, ensure_ascii=False)
-
         steps: dict = {}
         for b in batches:
             for text in b.column(0).to_pylist():
                 try:
-                    todo = [("$", "$", json.loads(text))]
-                except (ValueError, TypeError):
+                    todo = [("$", "$", parse_strict(text))]
+                except ValueError:
                     continue
                 while todo:
                     path, tp, v = todo.pop()
@@ -178,7 +182,7 @@ def fold_arrow(docs: DataFrame, json_col: str = "json") -> DataFrame:
                     n[at] = n.get(at, 0) + 1
                     if k == "object":
                         for key, x in v.items():
-                            s = steps.get(key) or steps.setdefault(key, step(key))
+                            s = steps.get(key) or steps.setdefault(key, step_text(key))
                             todo.append((path + s, tp + s, x))
                     elif k == "array":
                         todo += [(path + "[*]", tp + "[*]", x) for x in v]
@@ -190,6 +194,36 @@ def fold_arrow(docs: DataFrame, json_col: str = "json") -> DataFrame:
     return parts.groupBy("typed_path").agg(F.first("path").alias("path"), F.first("kind").alias("kind"), F.sum("n").alias("n"))
 
 
+def label_tag(keys) -> str:
+    """The label of an object with these sorted keys."""
+    import hashlib
+
+    return "object#" + hashlib.md5("\x1f".join(keys).encode()).hexdigest()[:LABEL_DIGITS]
+
+
+def step_text(key: str) -> str:
+    return f".{key}" if key.isascii() and key.isidentifier() else '."' + key.replace("\\", "\\\\").replace('"', '\\"') + '"'
+
+
+def tags_of(docs: DataFrame, equivalence: Callable[[Column, Column], Column]) -> dict:
+    """Tags that a user's equivalence gives: by kind, and of objects by the digest of their sorted keys.
+
+    The distinct key sets (schema-sized, at most MAX_TAGS) come from a pass of their own, and the callable is applied to
+    them by the engine; so documents of any depth fold under it.
+    """
+    import hashlib
+
+    from .fold import fold_states
+
+    kinds = docs.sparkSession.createDataFrame([(k, None) for k in ("array", "string", "number", "boolean", "null")], "kind string, keys array<string>")
+    sets = fold_states(docs, ("required",)).where("part = 'keyset'").select(F.lit("object").alias("kind"), "keys").distinct()
+    tag = F.concat("kind", F.coalesce(F.concat(F.lit("#"), equivalence(F.col("kind"), F.col("keys"))), F.lit("")))
+    rows = sets.unionByName(kinds).select("kind", "keys", tag.alias("tag")).limit(MAX_TAGS + 1).collect()
+    if len(rows) > MAX_TAGS:
+        raise ValueError(f"over {MAX_TAGS} distinct key sets: use engine='variant', which applies the equivalence to each node")
+    return {r.kind if r["keys"] is None else hashlib.md5("\x1f".join(r["keys"]).encode()).digest(): r.tag for r in rows}
+
+
 def _unique_keys(pairs):
     d = dict(pairs)
     if len(d) != len(pairs):
@@ -201,13 +235,26 @@ def _no_constant(name):
     raise ValueError(name)
 
 
+def _paired(v):
+    """A value whose texts hold no half of a surrogate pair: such halves become question marks."""
+    if isinstance(v, str):
+        return v.encode("utf-16", "surrogatepass").decode("utf-16", "replace").replace("\ufffd", "?")
+    if isinstance(v, list):
+        return [_paired(x) for x in v]
+    return {_paired(k): _paired(x) for k, x in v.items()} if isinstance(v, dict) else v
+
+
 def parse_strict(text):
-    """A JSON value; ValueError for what try_parse_json refuses too: repeated keys, NaN, broken or empty text."""
+    """A JSON value; ValueError for what try_parse_json refuses too: repeated keys, NaN, broken, empty or too deep text."""
     import json
 
     if text is None:
         raise ValueError("null")
-    return json.loads(text, object_pairs_hook=_unique_keys, parse_constant=_no_constant)
+    try:
+        v = json.loads(text, object_pairs_hook=_unique_keys, parse_constant=_no_constant)
+        return _paired(v) if "\\ud" in text or "\\uD" in text else v
+    except RecursionError:
+        raise ValueError("too deep") from None
 
 
 def canonical_number(v) -> str:
@@ -229,14 +276,14 @@ def canonical(v) -> str:
     if isinstance(v, int | float):
         return canonical_number(v)
     if isinstance(v, list):
-        return "[" + ",".join(map(canonical, v)) + "]"
-    return "{" + ",".join(f"{json.dumps(k, ensure_ascii=False)}:{canonical(v[k])}" for k in sorted(v)) + "}"
+        return "[" + ",".join([canonical(x) for x in v]) + "]"
+    return "{" + ",".join([f"{json.dumps(k, ensure_ascii=False)}:{canonical(v[k])}" for k in sorted(v)]) + "}"
 
 
 _FIELDS = {"num": "num double", "whole": "whole long", "str": "str string", "text": "text string", "keys": "keys array<string>", "arr_len": "arr_len int", "uniq": "uniq boolean"}
 
 
-def flatten_arrow(docs: DataFrame, equivalence: str = "kind", values: tuple[str, ...] = tuple(_FIELDS), tuples: bool = False, max_tuple: int = MAX_TUPLE, json_col: str = "json") -> DataFrame:
+def flatten_arrow(docs: DataFrame, equivalence: str | dict = "kind", values: tuple[str, ...] = tuple(_FIELDS), tuples: bool = False, max_tuple: int = MAX_TUPLE, json_col: str = "json") -> DataFrame:
     """(doc_id, json) to the facts of `flatten`, by one Arrow pass: no depth limit, about five times as fast.
 
     `whole` is the value of a whole number as a long (of others null), which the divisor needs. Documents that don't parse
@@ -250,7 +297,7 @@ def flatten_arrow(docs: DataFrame, equivalence: str = "kind", values: tuple[str,
     names = ["doc_id", "ordinal", "path", "typed_path", "parent_typed_path", "step", "kind", "tag", *values]
     arrow = {"num": pa.float64(), "whole": pa.int64(), "str": pa.string(), "text": pa.string(), "keys": pa.list_(pa.string()), "arr_len": pa.int32(), "uniq": pa.bool_()}
     schema = f"doc_id {kind_of_id}, ordinal int, path string, typed_path string, parent_typed_path string, step string, kind string, tag string" + "".join(f", {_FIELDS[v]}" for v in values)
-    ask = set(values)
+    ask, own = set(values), isinstance(equivalence, dict)
 
     def run(batches):
         steps: dict = {}
@@ -268,7 +315,7 @@ def flatten_arrow(docs: DataFrame, equivalence: str = "kind", values: tuple[str,
         def step_of(key):
             s = steps.get(key)
             if s is None:
-                s = steps[key] = f".{key}" if key.isascii() and key.isidentifier() else '."' + key.replace("\\", "\\\\").replace('"', '\\"') + '"'
+                s = steps[key] = step_text(key)
             return s
 
         for b in batches:
@@ -286,12 +333,14 @@ def flatten_arrow(docs: DataFrame, equivalence: str = "kind", values: tuple[str,
                         parent, step, v = todo.pop()
                         c = v.__class__
                         kind = "string" if c is str else "number" if c is int or c is float else "object" if c is dict else "array" if c is list else "null" if v is None else "boolean"
-                        tag = kind
+                        tag = equivalence[kind] if own and c is not dict else kind
                         keys = None
                         if c is dict:
                             keys = sorted(v)
-                            if equivalence == "label":
-                                tag = "object#" + hashlib.md5("\x1f".join(keys).encode()).hexdigest()[:8]
+                            if own:
+                                tag = equivalence[hashlib.md5("\x1f".join(keys).encode()).digest()]
+                            elif equivalence == "label":
+                                tag = label_tag(keys)
                         p = place(parent, step, kind, tag)
                         places.append(p)
                         rows_doc.append(doc)

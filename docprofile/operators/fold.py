@@ -1,9 +1,9 @@
-"""Local fold: each task folds its documents into one state a typed path, in one pass, for nearly all monoids at once.
+"""Local fold: each task folds its documents into one state a typed path, in one pass, for all monoids at once.
 
 Nodes of a chunk of documents are gathered by typed path (one append a node) and each path's values are then reduced with
-whole-list operations. What leaves a task is schema-sized: states of paths, distinct key sets, example slots, divisors.
-The states are those of `monoids`, so the same merges reduce them. Sketches that only the engine builds (HyperLogLog,
-histograms, bitmaps) and monoids of the user's own are computed from facts instead.
+whole-list operations. What leaves a task is schema-sized: states of paths, distinct key sets, example slots, divisors and
+the blocks of membership filters. The states are those of `monoids`, sketches included, so the same merges reduce them.
+Only monoids of the user's own, or sketches of other sizes, are computed from facts instead.
 """
 
 from __future__ import annotations
@@ -11,25 +11,31 @@ from __future__ import annotations
 import hashlib
 import re
 from collections import Counter
+from json.encoder import encode_basestring
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from ..functions.formats import FORMATS
-from .flatten import canonical, parse_strict
+from .flatten import canonical, canonical_number, label_tag, parse_strict, step_text
+from .sketches import Bins, Bloom, Hll, bloom_size, hash_texts
 
 #: Column monoids that the fold computes.
-FOLDED = ("count", "maxmin_number", "maxmin_string", "maxmin_array", "unique", "pattern", "format", "stats")
-#: Documents of a chunk; paths or key sets after which a task sends what it has and starts anew.
-CHUNK, FLUSH = 2000, 100_000
+FOLDED = ("count", "maxmin_number", "maxmin_string", "maxmin_array", "unique", "pattern", "format", "stats", "hll", "histogram")
+#: Documents of a chunk; paths, key sets or filter blocks after which a task sends what it has and starts anew.
+CHUNK, FLUSH, FLUSH_BLOCKS = 2000, 100_000, 20_000
 STATE = (
     "part string, typed_path string, path string, parent_typed_path string, step string, kind string, tag string, n long, number_min double, number_max double, string_min int, string_max int, array_min int, array_max int, "
-    "all_unique boolean, str_lo string, str_hi string, rev_lo string, rev_hi string, fmt_all long, fmt_n long, fmt_lo string, fmt_hi string, st_n long, st_mean double, st_m2 double, st_m3 double, st_m4 double, "
-    "keys array<string>, slot long, key long, example string, divisor long, integers boolean"
+    "all_unique boolean, str_lo string, str_hi string, rev_lo string, rev_hi string, fmt_all long, fmt_n long, fmt_lo string, fmt_hi string, st_n long, st_mean double, st_m2 double, st_m3 double, st_m4 double, hll binary, "
+    "keys array<string>, slot long, key long, example string, divisor long, integers boolean, bits binary, bins array<struct<x:double,y:double>>"
 )
 NAMES = [c.split()[0] for c in STATE.split(", ")]
-_ARROW = {"string": pa.string(), "long": pa.int64(), "double": pa.float64(), "int": pa.int32(), "boolean": pa.bool_(), "array<string>": pa.list_(pa.string())}
+_ARROW = {
+    "string": pa.string(), "long": pa.int64(), "double": pa.float64(), "int": pa.int32(), "boolean": pa.bool_(), "binary": pa.binary(), "array<string>": pa.list_(pa.string()),
+    "array<struct<x:double,y:double>>": pa.list_(pa.struct([("x", pa.float64()), ("y", pa.float64())])),
+}
 TYPES = [_ARROW[c.split(" ", 1)[1]] for c in STATE.split(", ")]
 
 
@@ -44,10 +50,26 @@ def mix(x: np.ndarray) -> np.ndarray:
 class State:
     """The state of one path in one task."""
 
-    __slots__ = ("n", "num", "string", "array", "uniq", "ends", "fmt", "st", "gcd", "keys", "slots")
+    __slots__ = ("n", "num", "string", "array", "uniq", "ends", "fmt", "st", "gcd", "keys", "slots", "hll", "bloom", "bins")
 
     def __init__(self):
-        self.n, self.num, self.string, self.array, self.uniq, self.ends, self.fmt, self.st, self.gcd, self.keys, self.slots = 0, None, None, None, None, None, None, None, None, Counter(), {}
+        self.n, self.keys, self.slots = 0, Counter(), {}
+        self.num = self.string = self.array = self.uniq = self.ends = self.fmt = self.st = self.gcd = self.hll = self.bloom = self.bins = None
+
+    def fields(self) -> dict:
+        """What a row of state holds, by column."""
+        out = {"n": self.n, "all_unique": self.uniq}
+        for names, values in (
+            (("number_min", "number_max"), self.num), (("string_min", "string_max"), self.string), (("array_min", "array_max"), self.array), (("str_lo", "str_hi", "rev_lo", "rev_hi"), self.ends),
+            (("fmt_all", "fmt_n", "fmt_lo", "fmt_hi"), self.fmt), (("st_n", "st_mean", "st_m2", "st_m3", "st_m4"), self.st),
+        ):
+            if values is not None:
+                out |= zip(names, values, strict=True)
+        if self.hll is not None:
+            out["hll"] = self.hll.image()
+        if self.bins is not None:
+            out["bins"] = [{"x": x, "y": y} for x, y in zip(*(c.tolist() for c in self.bins.settle()), strict=True)]
+        return out
 
 
 def _bounds(old, lo, hi):
@@ -67,15 +89,21 @@ def _moments(a, b):
     )
 
 
-def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str = "kind", examples: int = 100, seed: int = 0, scale: int = 0) -> DataFrame:
-    """States of (doc_id, json): part is `node`, `keyset`, `example` or `divisor`. names: monoids to fold."""
+def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str | dict = "kind", examples: int = 100, seed: int = 0, scale: int = 0, bloom: tuple[int, float] = (1_000_000, 0.01)) -> DataFrame:
+    """States of (doc_id, json): part is `node`, `keyset`, `example`, `divisor` or `bloom`. names: monoids to fold.
+
+    equivalence: "kind", "label" or tags by (kind, sorted keys). Ids may be of any type: only their hashes, with those of
+    the texts, choose examples.
+    """
     ask = set(names)
     if "maxmin" in ask:
         ask |= {"maxmin_number", "maxmin_string", "maxmin_array"}
     with_keys = bool(ask & {"required", "dependencies", "attribute_counts"})
-    numbers, strings = bool(ask & {"maxmin_number", "stats", "multiple"}), bool(ask & {"maxmin_string", "pattern", "format"})
+    hashed = bool(ask & {"hll", "bloom"})
+    numbers, strings = hashed or bool(ask & {"maxmin_number", "stats", "multiple", "histogram"}), hashed or bool(ask & {"maxmin_string", "pattern", "format"})
     arrays = bool(ask & {"maxmin_array", "unique"})
     sampled = "examples" in ask
+    blocks, hashes = bloom_size(*bloom)
 
     def run(batches):
         tests = [(n, re.compile(p, re.A)) for n, p in FORMATS.items()]
@@ -96,68 +124,98 @@ def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str = "kin
             owners.append([])
             return at
 
-        def label_of(v):
+        def tag_of(v):
             k = tuple(v)
             t = tags.get(k)
             if t is None:
-                t = tags[k] = "object#" + hashlib.md5("\x1f".join(sorted(k)).encode()).hexdigest()[:8]
+                keys = tuple(sorted(k))
+                t = tags[k] = label_tag(keys) if equivalence == "label" else equivalence[hashlib.md5("\x1f".join(keys).encode()).digest()]
                 if len(tags) > FLUSH:
                     tags.clear()
             return t
 
         def step_of(k):
-            s = steps[k] = f".{k}" if k.isascii() and k.isidentifier() else '."' + k.replace("\\", "\\\\").replace('"', '\\"') + '"'
+            s = steps[k] = step_text(k)
             if len(steps) > FLUSH:
                 steps.clear()
             return s
 
+        def of_numbers(s, vs):
+            try:
+                x = np.array(vs, np.float64)
+            except OverflowError:
+                x = np.array([float(v) if abs(v) < 10**300 else float("inf") * (1 if v > 0 else -1) for v in vs])
+            if "maxmin_number" in ask:
+                s.num = _bounds(s.num, float(x.min()), float(x.max()))
+            if "stats" in ask:
+                with np.errstate(all="ignore"):
+                    m = x.mean()
+                    d = x - m
+                    d2 = d * d
+                    s.st = _moments(s.st, (len(x), float(m), float(d2.sum()), float((d2 * d).sum()), float((d2 * d2).sum())))
+            if "histogram" in ask:
+                s.bins = s.bins or Bins()
+                s.bins.add(x)
+            if "multiple" in ask:
+                y = x * 10.0**scale
+                near = np.rint(y)
+                ok = bool((np.isfinite(y) & (np.abs(near) < 2.0**63) & ((np.abs(y - near) <= 1e-9 * np.maximum(1, np.abs(y))) if scale else near == y)).all())
+                g = 0
+                if ok:
+                    exact = near.astype(np.int64) if scale or float(np.abs(near).max()) < 2.0**53 else np.array([int(v) for v in vs], object)
+                    g = int(np.gcd.reduce(np.abs(exact)))
+                s.gcd = (int(np.gcd(s.gcd[0], g)), s.gcd[1] and ok) if s.gcd else (g, ok)
+
+        def of_strings(s, vs):
+            if "maxmin_string" in ask:
+                n = list(map(len, vs))
+                s.string = _bounds(s.string, min(n), max(n))
+            if "pattern" in ask:
+                r = [v[::-1] for v in vs]
+                lo, hi, rlo, rhi = min(vs), max(vs), min(r), max(r)
+                s.ends = (lo, hi, rlo, rhi) if s.ends is None else (min(s.ends[0], lo), max(s.ends[1], hi), min(s.ends[2], rlo), max(s.ends[3], rhi))
+            if "format" in ask:
+                # once values have two labels, or one has none, no merge can bring a label back: the rest isn't tested
+                all_, n, lo, hi = s.fmt or (0, 0, None, None)
+                if n == all_ and lo == hi:
+                    for v in vs:
+                        got = next((name for name, t in tests if t.search(v)), None)
+                        if got is None:
+                            break
+                        n, lo, hi = n + 1, got if lo is None else min(lo, got), got if hi is None else max(hi, got)
+                        if lo != hi:
+                            break
+                s.fmt = (all_ + len(vs), n, lo, hi)
+
+        def sketch(s, vs, text):
+            """Returns how many filter blocks there are now."""
+            h = hash_texts(list(map(text, set(vs))))
+            if "hll" in ask:
+                s.hll = s.hll or Hll()
+                s.hll.add(h)
+            if "bloom" not in ask:
+                return 0
+            s.bloom = s.bloom or Bloom(blocks, hashes)
+            s.bloom.add(h)
+            return len(s.bloom.blocks)
+
         def reduce(ids):
-            hashed = mix(ids.astype(np.uint64) ^ np.uint64(seed * 0x9E3779B97F4A7C15 & (1 << 64) - 1)) if sampled else None
+            """Fold the chunk's values; the number of filter blocks that are held."""
+            mixed = mix(ids.astype(np.uint64) ^ np.uint64(seed * 0x9E3779B97F4A7C15 & (1 << 64) - 1)) if sampled else None
+            held = 0
             for at, vs in enumerate(values):
+                s, kind = states[at], paths[at][4]
                 if not vs:
+                    held += len(s.bloom.blocks) if s.bloom else 0
                     continue
-                s, kind = states[at], paths[at][4]
                 if kind == "number" and numbers:
-                    try:
-                        x = np.array(vs, np.float64)
-                    except OverflowError:
-                        x = np.array([float(v) if abs(v) < 10**300 else float("inf") * (1 if v > 0 else -1) for v in vs])
-                    if "maxmin_number" in ask:
-                        s.num = _bounds(s.num, float(x.min()), float(x.max()))
-                    if "stats" in ask:
-                        with np.errstate(all="ignore"):
-                            m = x.mean()
-                            d = x - m
-                            s.st = _moments(s.st, (len(x), float(m), float((d**2).sum()), float((d**3).sum()), float((d**4).sum())))
-                    if "multiple" in ask:
-                        y = x * 10.0**scale
-                        near = np.rint(y)
-                        ok = bool((np.isfinite(y) & (np.abs(near) < 2.0**63) & ((np.abs(y - near) <= 1e-9 * np.maximum(1, np.abs(y))) if scale else near == y)).all())
-                        g = 0
-                        if ok:
-                            exact = near.astype(np.int64) if scale or float(np.abs(near).max()) < 2.0**53 else np.array([int(v) for v in vs], object)
-                            g = int(np.gcd.reduce(np.abs(exact)))
-                        s.gcd = (int(np.gcd(s.gcd[0], g)), s.gcd[1] and ok) if s.gcd else (g, ok)
+                    of_numbers(s, vs)
+                    if hashed:
+                        held += sketch(s, vs, canonical_number)
                 elif kind == "string" and strings:
-                    if "maxmin_string" in ask:
-                        n = list(map(len, vs))
-                        s.string = _bounds(s.string, min(n), max(n))
-                    if "pattern" in ask:
-                        r = [v[::-1] for v in vs]
-                        lo, hi, rlo, rhi = min(vs), max(vs), min(r), max(r)
-                        s.ends = (lo, hi, rlo, rhi) if s.ends is None else (min(s.ends[0], lo), max(s.ends[1], hi), min(s.ends[2], rlo), max(s.ends[3], rhi))
-                    if "format" in ask:
-                        # once values have two labels, or one has none, no merge can bring a label back: the rest isn't tested
-                        all_, n, lo, hi = s.fmt or (0, 0, None, None)
-                        if n == all_ and lo == hi:
-                            for v in vs:
-                                got = next((name for name, t in tests if t.search(v)), None)
-                                if got is None:
-                                    break
-                                n, lo, hi = n + 1, got if lo is None else min(lo, got), got if hi is None else max(hi, got)
-                                if lo != hi:
-                                    break
-                        s.fmt = (all_ + len(vs), n, lo, hi)
+                    of_strings(s, vs)
+                    if hashed:
+                        held += sketch(s, vs, encode_basestring)
                 elif kind == "array" and arrays:
                     if "maxmin_array" in ask:
                         n = list(map(len, vs))
@@ -168,7 +226,7 @@ def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str = "kin
                     d = np.array(owners[at], np.int64)
                     first = np.concatenate(([True], d[1:] != d[:-1]))
                     again = np.arange(len(d)) - np.maximum.accumulate(np.where(first, np.arange(len(d)), 0))
-                    h = mix(hashed[d] + again.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+                    h = mix(mixed[d] + again.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
                     slot = (mix(h) % np.uint64(examples)).astype(np.int64)
                     order = np.lexsort((h, slot))
                     lead = order[np.concatenate(([True], slot[order][1:] != slot[order][:-1]))]
@@ -179,29 +237,47 @@ def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str = "kin
                             s.slots[int(slot[i])] = (k, canonical(vs[i]))
                 values[at] = []
                 owners[at] = []
+            return held
 
         def rows():
-            out = []
-            blank = [None] * 3
-            for p, s in zip(paths, states, strict=True):
-                path, tp, pt, step, kind, tag = p
+            cols: list[list] = [[] for _ in NAMES]
+
+            def put(part, path, **fields):
+                fields |= zip(("part", "path", "typed_path", "parent_typed_path", "step", "kind", "tag"), (part, *path), strict=True)
+                for name, c in zip(NAMES, cols, strict=True):
+                    c.append(fields.get(name))
+
+            def sent():
+                out = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, TYPES, strict=True)], NAMES)
+                for c in cols:
+                    c.clear()
+                return out
+
+            weight = 0
+            for path, s in zip(paths, states, strict=True):
                 if not s.n:
                     continue
-                two = lambda b: b or (None, None)
-                out.append(("node", tp, path, pt, step, kind, tag, s.n, *two(s.num), *two(s.string), *two(s.array), s.uniq, *(s.ends or (None,) * 4), *(s.fmt or ((0, 0, None, None) if "format" in ask else (None,) * 4)), *(s.st or ((0, None, None, None, None) if "stats" in ask else (None,) * 5)), None, *blank, None, None))
-                base = (tp, path, pt, step, kind, tag)
-                nothing = (None,) * 20
-                if with_keys and kind == "object":
+                defaults = {"fmt_all": 0, "fmt_n": 0} if "format" in ask else {}
+                put("node", path, **(defaults | ({"st_n": 0} if "stats" in ask else {}) | s.fields()))
+                if with_keys and path[4] == "object":
                     merged: Counter = Counter()
                     for k, n in s.keys.items():
                         merged[tuple(sorted(k))] += n
-                    out += [("keyset", *base, n, *nothing, list(k), *blank, None, None) for k, n in merged.items()]
-                out += [("example", *base, None, *nothing, None, slot, k, e, None, None) for slot, (k, e) in s.slots.items()]
+                    for k, n in merged.items():
+                        put("keyset", path, n=n, keys=list(k))
+                for slot, (k, e) in s.slots.items():
+                    put("example", path, slot=slot, key=k, example=e)
                 if s.gcd is not None:
-                    out.append(("divisor", *base, None, *nothing, None, *blank, *s.gcd))
-            for i in range(0, len(out), 10_000):
-                cols = zip(*out[i : i + 10_000], strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, TYPES, strict=True)], NAMES)
+                    put("divisor", path, divisor=s.gcd[0], integers=s.gcd[1])
+                for block, bits in (s.bloom.blocks if s.bloom else {}).items():
+                    put("bloom", path, slot=block + 1, bits=bits.tobytes())
+                    weight += 1
+                    if weight % 2000 == 0:
+                        yield sent()
+                if len(cols[0]) > 10_000:
+                    yield sent()
+            if cols[0]:
+                yield sent()
             for x in (places, paths, states, values, owners):
                 x.clear()
 
@@ -221,13 +297,12 @@ def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str = "kin
                             kind = tag = "string"
                         elif c is dict:
                             kind = "object"
-                            tag = label_of(v) if equivalence == "label" else kind
-                        elif c is int or c is float:
-                            kind = tag = "number"
-                        elif c is list:
-                            kind = tag = "array"
+                            tag = kind if equivalence == "kind" else tag_of(v)
                         else:
-                            kind = tag = "null" if v is None else "boolean"
+                            kind = "number" if c is int or c is float else "array" if c is list else "null" if v is None else "boolean"
+                            tag = kind if equivalence.__class__ is str else equivalence[kind]
+                        if c is str and equivalence.__class__ is dict:
+                            tag = equivalence[kind]
                         p = places.get((parent, step, tag))
                         if p is None:
                             p = place(parent, step, tag, kind)
@@ -248,12 +323,13 @@ def fold_states(docs: DataFrame, names: tuple[str, ...], equivalence: str = "kin
                             owners[p].append(doc)
                         elif (strings and c is str) or (numbers and (c is int or c is float)):
                             values[p].append(v)
-                ids = part.column(0).to_numpy(zero_copy_only=False)
-                reduce(ids.astype(np.int64, copy=False))
-                if len(paths) > FLUSH or keysets > FLUSH:
+                held = reduce(part.column(0).to_numpy(zero_copy_only=False))
+                if len(paths) > FLUSH or keysets > FLUSH or held > FLUSH_BLOCKS:
                     yield from rows()
                     keysets = 0
         if paths:
             yield from rows()
 
-    return docs.select("doc_id", "json").mapInArrow(run, STATE)
+    # ids are told with their texts, so that null or repeated ids don't hide each other's values
+    own = F.xxhash64("doc_id", "json") if sampled else F.lit(0).cast("long")
+    return docs.select(own.alias("doc_id"), "json").mapInArrow(run, STATE)

@@ -10,11 +10,15 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from ..functions import formats
 from ..functions.texts import common_prefix
+from .sketches import LG_K, shrunk
 
 Columns = dict[str, Column]
 
@@ -77,6 +81,24 @@ def format_(engine: str = "each") -> Monoid:
     )
 
 
+MOMENTS = ("st_n", "st_mean", "st_m2", "st_m3", "st_m4")
+
+
+def moments_of_both(a: Column, b: Column) -> Column:
+    """Count, mean and central moments of two sets as one."""
+    na, nb = a["st_n"], b["st_n"].cast("double")
+    n, d = na + nb, b["st_mean"] - a["st_mean"]
+    d_n, ab = d / n, na * nb
+    m2, m3, m4 = (a[k] + b[k] for k in MOMENTS[2:])
+    both = (
+        n, a["st_mean"] + d_n * nb, m2 + d * d_n * ab,
+        m3 + d * d_n * d_n * ab * (na - nb) + 3 * d_n * (na * b["st_m2"] - nb * a["st_m2"]),
+        m4 + d * d_n * d_n * d_n * ab * (na * na - ab + nb * nb) + 6 * d_n * d_n * (na * na * b["st_m2"] + nb * nb * a["st_m2"]) + 4 * d_n * (na * b["st_m3"] - nb * a["st_m3"]),
+    )
+    alone = (nb, *(b[c] for c in MOMENTS[1:]))
+    return F.struct(*[F.when(na == 0, y).otherwise(x).alias(c) for c, x, y in zip(MOMENTS, both, alone, strict=True)])
+
+
 def stats() -> Monoid:
     """Count, mean and central moments up to the fourth, kept as the moments themselves so that states can be merged."""
     x, n = F.col("num"), F.count("num")
@@ -86,16 +108,9 @@ def stats() -> Monoid:
         return {"st_n": n, "st_mean": F.avg(x), "st_m2": var * n, "st_m3": F.coalesce(F.when(var > 0, F.skewness(x)), F.lit(0.0)) * n * F.pow(var, F.lit(1.5)), "st_m4": F.coalesce(F.when(var > 0, F.kurtosis(x) + 3), F.lit(0.0)) * n * var * var}
 
     def merge():
-        # sums of n, n*mean and the raw moments about zero are additive; the central ones come back from them
-        n_, m, m2, m3, m4 = (F.col(f"st_{k}") for k in ("n", "mean", "m2", "m3", "m4"))
-        N = F.sum("st_n")
-        mean = F.sum(n_ * m) / N
-        r2, r3 = F.sum(m2 + n_ * m * m), F.sum(m3 + 3 * m * m2 + n_ * m * m * m)
-        r4 = F.sum(m4 + 4 * m * m3 + 6 * m * m * m2 + n_ * m * m * m * m)
-        c2 = r2 - N * mean * mean
-        c3 = r3 - 3 * mean * r2 + 2 * N * mean * mean * mean
-        c4 = r4 - 4 * mean * r3 + 6 * mean * mean * r2 - 3 * N * F.pow(mean, F.lit(4))
-        return {"st_n": N, "st_mean": mean, "st_m2": c2, "st_m3": c3, "st_m4": c4}
+        # pairwise about the two means, so that values far from zero keep their digits
+        got = F.aggregate(F.array_sort(F.collect_list(F.when(F.col("st_n") > 0, F.struct(*MOMENTS)))), F.struct(*[F.lit(0.0).alias(c) for c in MOMENTS]), moments_of_both)
+        return {"st_n": F.sum("st_n")} | {c: F.when(F.sum("st_n") > 0, got[c]) for c in MOMENTS[1:]}
 
     def finish():
         n_, m2 = F.col("st_n"), F.col("st_m2")
@@ -104,34 +119,39 @@ def stats() -> Monoid:
     return Monoid("stats", ("num",), partial, merge, finish, ("number",))
 
 
-def hll(lg_k: int = 12) -> Monoid:
-    """Distinct values by HyperLogLog over canonical texts, so that equal numbers count once."""
-    return Monoid("hll", ("text",), lambda: {"hll": F.hll_sketch_agg("text", F.lit(lg_k))}, lambda: {"hll": F.hll_union_agg("hll")}, lambda: {"distinct": F.when(F.col("kind").isin("number", "string"), F.hll_sketch_estimate("hll"))}, ("number", "string"))
+def hll(lg_k: int = LG_K) -> Monoid:
+    """Distinct values by HyperLogLog over hashes of canonical texts, so that equal numbers count once."""
+    hashed = F.when(F.col("text").isNotNull() & F.col("kind").isin("number", "string"), F.xxhash64("text"))
+    return Monoid(
+        "hll" if lg_k == LG_K else f"hll_{lg_k}", ("text",), lambda: {"hll": F.hll_sketch_agg(hashed, F.lit(lg_k))}, lambda: {"hll": F.hll_union_agg("hll")},
+        lambda: {"distinct": F.when(F.col("kind").isin("number", "string"), F.hll_sketch_estimate("hll"))}, ("number", "string"),
+    )
 
 
 def histogram(bins: int = 100) -> Monoid:
-    """Streaming histogram with nearest-bin merges. States are merged as values repeated by their share: see merge_bins."""
-    return Monoid("histogram", ("num",), lambda: {"bins": F.histogram_numeric("num", F.lit(bins))}, lambda: {"bins": merge_bins(F.flatten(F.collect_list("bins")), bins)}, applies_to=("number",))
+    """Streaming histogram whose nearest bins are joined; states merge by the same rule."""
+    return Monoid("histogram" if bins == 100 else f"histogram_{bins}", ("num",), lambda: {"bins": F.histogram_numeric("num", F.lit(bins))}, lambda: {"bins": merge_bins(F.flatten(F.collect_list("bins")), bins)}, applies_to=("number",))
 
 
 def merge_bins(bins: Column, most: int) -> Column:
-    """Bins sorted by value, then the nearest neighbours joined (counts added, values averaged by count) until `most` are left."""
-    every = F.array_sort(F.transform(bins, lambda b: F.struct(b["x"].cast("double").alias("x"), b["y"].cast("double").alias("y"))))
-
-    def join(a, b):
-        y = a["y"] + b["y"]
-        return F.struct(((a["x"] * a["y"] + b["x"] * b["y"]) / y).alias("x"), y.alias("y"))
-
-    # equal values are one bin
-    ordered = F.aggregate(every, F.array().cast("array<struct<x:double,y:double>>"), lambda acc, b: F.when((F.size(acc) > 0) & (F.try_element_at(acc, F.lit(-1))["x"] == b["x"]), F.array_append(F.slice(acc, F.lit(1), F.size(acc) - 1), join(F.try_element_at(acc, F.lit(-1)), b))).otherwise(F.array_append(acc, b)))
-
-    def shrink(acc, _):
-        gaps = F.zip_with(F.slice(acc, F.lit(2), F.greatest(F.size(acc) - 1, F.lit(0))), F.slice(acc, F.lit(1), F.greatest(F.size(acc) - 1, F.lit(0))), lambda b, a: b["x"] - a["x"])
-        at = F.array_position(gaps, F.array_min(gaps)).cast("int")
-        merged = F.concat(F.slice(acc, F.lit(1), at - 1), F.array(join(F.get(acc, at - 1), F.get(acc, at))), F.slice(acc, at + 2, F.greatest(F.size(acc) - at - 1, F.lit(0))))
-        return F.when(F.size(acc) > most, merged).otherwise(acc)
-
-    return F.aggregate(F.sequence(F.lit(1), F.greatest(F.size(ordered) - most, F.lit(1))), ordered, shrink)
+    """Bins of several states as at most `most` (counts added, values averaged by count), by one vectorised pass over a group's bins."""
+
+    @F.arrow_udf("array<struct<x:double,y:double>>")
+    def join(lists: pa.Array) -> pa.Array:
+        ends, cols = [0], ([], [])
+        flat = lists.flatten()
+        x, y = (flat.field(i).to_numpy(zero_copy_only=False) for i in (0, 1))
+        at = 0
+        for n in pc.fill_null(pc.list_value_length(lists), 0).to_pylist():
+            for c, v in zip(cols, shrunk(x[at : at + n], y[at : at + n], most), strict=True):
+                c.append(v)
+            at += n
+            ends.append(ends[-1] + len(cols[0][-1]))
+        parts = [pa.array(np.concatenate(c) if c else np.zeros(0), pa.float64()) for c in cols]
+        return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.StructArray.from_arrays(parts, ["x", "y"]))
+
+    got = join(bins)
+    return F.when(F.count("bins") > 0, got)
 
 
 #: Names by which discover() takes monoids that are columns of the profile.

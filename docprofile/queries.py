@@ -63,7 +63,7 @@ def docs_names(spark: SparkSession, d: str) -> DataFrame:
 
 
 KIND = "case json_type({0}) when 'OBJECT' then 'object' when 'ARRAY' then 'array' when 'VARCHAR' then 'string' when 'BOOLEAN' then 'boolean' when 'NULL' then 'null' else 'number' end"
-LABEL = "case json_type({0}) when 'OBJECT' then 'object#' || substr(md5(array_to_string(list_sort(json_keys({0})), chr(31))), 1, 8) else " + KIND + " end"
+LABEL = "case json_type({0}) when 'OBJECT' then 'object#' || substr(md5(array_to_string(list_sort(json_keys({0})), chr(31))), 1, 16) else " + KIND + " end"
 
 
 def facts(docs: str, tag: str = KIND, then: str = "") -> str:
@@ -407,7 +407,7 @@ def soundness_label(spark, d):
 
 
 @query(facts(EVENTS, LABEL) + """select 'label' as equivalence, count(distinct typed_path) as typed_paths, count(distinct path) as paths from node
-union all select 'kind', (select count(*) from (select distinct regexp_replace(typed_path, '#[0-9a-f]{8}', '', 'g') from node)), (select count(distinct path) from node)""")
+union all select 'kind', (select count(*) from (select distinct regexp_replace(typed_path, '#[0-9a-f]{16}', '', 'g') from node)), (select count(distinct path) from node)""")
 def schema_size(spark, d):
     docs = W.docs_events(spark, d)
     one = lambda e: measures.schema_size(discover(docs, "minimum", e)).select(F.lit(e).alias("equivalence"), "typed_paths", "paths")

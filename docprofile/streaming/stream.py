@@ -8,8 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
-from ..operators.discover import IDENTITY, Profile, discover, facts_of, merge_all
+from ..operators.discover import BLOOM_EXPECTED, BLOOM_FPP, IDENTITY, Profile, bloom_of, discover, divisor_rows, facts_of, gcd_of_all, merge_all, slots
 from ..operators.monoids import choose
+from ..sources import folders
 
 
 def read_stream(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
@@ -20,7 +21,8 @@ def read_stream(spark: SparkSession, path: str, schema, files_per_trigger: int =
 def running(stream: DataFrame, monoids="minimum", equivalence: str = "kind") -> DataFrame:
     """The running profile of a stream of (doc_id, json) as a streaming aggregation: state of one row a typed path.
 
-    Column monoids only; side tables are streams of their own (see running_keysets, running_examples). Merging is
+    Column monoids only; the others are running tables of their own (running_keysets for required keys, dependencies and
+    counts, running_examples, running_divisors, running_bloom), and a Fold has them all in one pass. Merging is
     commutative, so late documents need no watermark.
     """
     choice = choose(monoids)
@@ -34,6 +36,19 @@ def running_keysets(stream: DataFrame) -> DataFrame:
     return f.where("kind = 'object'").groupBy("typed_path", "keys").agg(F.count(F.lit(1)).alias("n"))
 
 
+def running_examples(stream: DataFrame, k: int = 100, seed: int = 0) -> DataFrame:
+    return slots(facts_of(stream, ("text",)), k, seed)
+
+
+def running_divisors(stream: DataFrame, scale: int = 0) -> DataFrame:
+    """State: the distinct divisors of batches, which are soon one another's."""
+    return gcd_of_all(divisor_rows(facts_of(stream, ("num", "whole")), scale), "typed_path")
+
+
+def running_bloom(stream: DataFrame, expected: int = BLOOM_EXPECTED, fpp: float = BLOOM_FPP) -> DataFrame:
+    return bloom_of(facts_of(stream, ("text",)), expected, fpp)
+
+
 def discover_stream(stream: DataFrame, monoids="minimum", checkpoint: str | None = None, name: str = "profile", available_now: bool = True) -> StreamingQuery:
     """Start the running profile into a table in memory of this name (complete mode)."""
     w = running(stream, monoids).writeStream.outputMode("complete").format("memory").queryName(name)
@@ -62,38 +77,49 @@ def deduplicated(stream: DataFrame, ts: str = "ts", late: str = "1 hour") -> Dat
 class Fold:
     """A fold of batches: the profile of each batch merged with the stored one, each version at a new path.
 
-    A version's path names its batch, so a batch that is replayed after a failure replaces its own result.
+    A version's path names its batch, so a batch that is replayed after a failure replaces its own result. A version counts
+    once its mark is there, and a new Fold on a folder goes on from the versions that it finds. The last `keep` versions
+    stay, older ones go.
     """
 
-    def __init__(self, spark: SparkSession, folder: str, monoids="simple", equivalence: str = "kind"):
-        self.spark, self.folder, self.monoids, self.equivalence = spark, folder.rstrip("/"), monoids, equivalence
-        self.done: list[int] = []
+    PARTS = ("keysets", "examples", "divisors", "bloom", "nodes")
 
-    def _at(self, batch: int, part: str) -> str:
-        return f"{self.folder}/v{batch}/{part}"
+    def __init__(self, spark: SparkSession, folder: str, monoids="simple", equivalence: str = "kind", keep: int = 2, **options):
+        self.spark, self.folder, self.monoids, self.equivalence, self.keep, self.options = spark, folder.rstrip("/"), monoids, equivalence, max(2, keep), options
 
-    def _write(self, p: Profile, batch: int) -> None:
-        for part in ("nodes", "keysets", "examples", "divisors", "bloom"):
-            df = getattr(p, part)
-            if df is not None:
-                df.coalesce(4).write.mode("overwrite").parquet(self._at(batch, part))
+    def _at(self, batch: int, part: str = "") -> str:
+        return f"{self.folder}/v{batch}/{part}".rstrip("/")
+
+    @property
+    def done(self) -> list[int]:
+        """Batches whose versions are whole."""
+        found = [int(n[1:]) for n in folders.names(self.spark, self.folder) if n[:1] == "v" and n[1:].isdigit()]
+        return sorted(b for b in found if folders.exists(self.spark, self._at(b, "WHOLE")))
 
     def load(self, batch: int | None = None) -> Profile | None:
         if batch is None:
-            if not self.done:
+            have = self.done
+            if not have:
                 return None
-            batch = self.done[-1]
-        choice = choose(self.monoids)
-        read = lambda part: self.spark.read.parquet(self._at(batch, part))
-        side = {"keysets": {"required", "dependencies", "attribute_counts"}, "examples": {"examples"}, "divisors": {"multiple"}, "bloom": {"bloom"}}
-        return Profile(read("nodes"), choice, **{k: read(k) for k, names in side.items() if names & set(choice.side)}, options={"equivalence": self.equivalence})
+            batch = have[-1]
+        parts = {k: self.spark.read.parquet(self._at(batch, k)) for k in self.PARTS if folders.exists(self.spark, self._at(batch, k))}
+        sizes = {"bloom_expected": self.options.get("bloom_expected", BLOOM_EXPECTED), "bloom_fpp": self.options.get("bloom_fpp", BLOOM_FPP)}
+        return Profile(parts.pop("nodes"), choose(self.monoids), **parts, options={"equivalence": self.equivalence, **sizes})
 
     def add(self, docs: DataFrame, batch: int) -> None:
-        new = discover(docs, self.monoids, self.equivalence)
-        old = next((b for b in reversed(self.done) if b < batch), None)
-        self._write(new if old is None else merge_all([self.load(old), new]), batch)
-        if batch not in self.done:
-            self.done.append(batch)
+        new = discover(docs, self.monoids, self.equivalence, **self.options)
+        have = self.done
+        old = next((b for b in reversed(have) if b < batch), None)
+        p = new if old is None else merge_all([self.load(old), new])
+        folders.delete(self.spark, self._at(batch))
+        for part in self.PARTS:
+            df = getattr(p, part)
+            if df is not None:
+                df.coalesce(4).write.parquet(self._at(batch, part))  # schema-sized
+        folders.mark(self.spark, self._at(batch, "WHOLE"))
+        new.release()
+        for b in [b for b in have if b < batch][: -(self.keep - 1)]:
+            folders.delete(self.spark, self._at(b))
 
 
 def fold_stream(stream: DataFrame, fold: Fold, checkpoint: str | None = None) -> StreamingQuery:
@@ -112,4 +138,4 @@ def publish(stream: DataFrame, sink: Callable[[DataFrame, int], None]) -> Stream
     return stream.writeStream.outputMode("complete").foreachBatch(sink).trigger(availableNow=True).start()
 
 
-__all__ = ["Fold", "discover_hybrid", "discover_stream", "fold_stream", "publish", "read_stream", "running", "running_keysets", "sessions", "deduplicated", "windowed"]
+__all__ = ["Fold", "discover_hybrid", "discover_stream", "fold_stream", "publish", "read_stream", "running", "running_bloom", "running_divisors", "running_examples", "running_keysets", "sessions", "deduplicated", "windowed"]

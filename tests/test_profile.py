@@ -9,6 +9,7 @@ import re
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry_point
 from docprofile import queries as Q
@@ -16,9 +17,9 @@ from docprofile.functions import formats
 from docprofile.operators import baselines, extensions, measures, monoids, usecases
 from docprofile.operators import discover as D
 from docprofile.operators.discover import discover, facts_of
-from docprofile.operators.flatten import flatten, parse_documents
+from docprofile.operators.flatten import flatten, flatten_typed, parse_documents
 from docprofile.operators.generate import generate
-from docprofile.operators.validate import RULES, rejects, schema_rows, validate
+from docprofile.operators.validate import NEEDS, RULES, rejects, schema_rows, validate, validate_facts
 from docprofile.plans.ground_truth import manifest_schema, rules
 from docprofile.plans.json_schema import to_json_schema
 from docprofile.sources import workloads as W
@@ -66,7 +67,7 @@ def test_engines_agree_on_edge_documents(spark):
 def test_fold_equals_facts(spark, sf, name):
     docs = W.docs_events(spark, sf)
     fold, facts = discover(docs, name), discover(docs, name, engine="variant", max_depth=4)
-    cols = [c for c in fold.finished().columns if c not in ("bins", "hll", "skewness", "kurtosis", "mean", "stddev") and not c.startswith("st_")]
+    cols = [c for c in fold.finished().columns if c not in ("bins", "hll", "distinct", "skewness", "kurtosis", "mean", "stddev") and not c.startswith("st_")]
     a, b = nodes(fold, *cols), nodes(facts, *cols)
     fmt = [cols.index(c) for c in ("fmt_n", "fmt_lo", "fmt_hi", "fmt_all")]
     for k in a:
@@ -74,6 +75,11 @@ def test_fold_equals_facts(spark, sf, name):
     assert sorted(map(str, fold.keysets.collect())) == sorted(map(str, facts.keysets.select(fold.keysets.columns).collect()))
     assert sorted(map(str, fold.divisors.collect())) == sorted(map(str, facts.divisors.collect()))
     if name == "all":
+        assert sorted(map(str, fold.bloom.collect())) == sorted(map(str, facts.bloom.select(fold.bloom.columns).collect()))
+        x, y = nodes(fold, "distinct"), nodes(facts, "distinct")
+        assert all(x[k] == y[k] or abs(x[k][0] - y[k][0]) <= 0.02 * y[k][0] for k in x)
+        both = fold.nodes.select("typed_path", "hll").unionByName(facts.nodes.select("typed_path", "hll")).groupBy("typed_path").agg(F.hll_sketch_estimate(F.hll_union_agg("hll")).alias("d"))
+        assert all(r.d is None or abs(r.d - (x[r.typed_path][0] or 0)) <= 0.02 * r.d for r in both.collect())  # the same registers
         for c in ("mean", "stddev", "skewness", "kurtosis"):
             x, y = nodes(fold, c), nodes(facts, c)
             assert all((x[k][0] is None) == (y[k][0] is None) and (x[k][0] is None or math.isclose(x[k][0], y[k][0], rel_tol=1e-6, abs_tol=1e-9)) for k in x)
@@ -210,7 +216,7 @@ def test_schema_and_validator_agree(spark, sf, equivalence):
         train, test = measures.split(docs, 50)
         p = discover(train, measures.FULL, equivalence)
         schema = to_json_schema(p)
-        everything = test.unionByName(generate(discover(docs, ["examples"]), 60)) if equivalence == "kind" else test
+        everything = test.unionByName(generate(discover(docs, ["examples"]), 60).withColumn("doc_id", F.col("doc_id") + 10**9)) if equivalence == "kind" else test
         texts = {r.doc_id: r.json for r in everything.collect()}
         for r in validate(everything, p).collect():
             assert r.valid == check_value(json.loads(texts[r.doc_id]), schema), (texts[r.doc_id], r.rules)
@@ -280,6 +286,12 @@ def test_bloom_has_no_false_negative(spark):
     assert D.bloom_contains(b, f, 500, 0.01).where("not member").count() == 0
     other = spark.createDataFrame([("$<object>.v<string>", f'"z{i}"') for i in range(2000)], "typed_path string, text string")
     assert D.bloom_contains(b, other, 500, 0.01).where("member").count() < 60
+    for expected in (500, 20_000, 1_000_000, "estimate"):
+        p = discover(spark.range(20_000).selectExpr("id as doc_id", "concat('{\"v\":', id, '}') as json"), ["bloom"], bloom_expected=expected)
+        asked = spark.range(50_000, 70_000).selectExpr("'$<object>.v<number>' as typed_path", "cast(id as string) as text")
+        rate = D.bloom_contains(p.bloom, asked, p.options["bloom_expected"], 0.01).agg(F.avg(F.col("member").cast("int"))).first()[0]
+        told = D.bloom_rates(p).first()
+        assert rate == pytest.approx(told.rate, rel=0.25, abs=0.001) and (rate > 0.5 if expected == 500 else rate < 0.02 and abs(told.distinct_values - 20_000) < 600)
 
 
 def test_outliers_and_drift(spark):
@@ -292,8 +304,6 @@ def test_outliers_and_drift(spark):
 
 
 def test_user_monoid(spark):
-    from pyspark.sql import functions as F
-
     monoids.register_monoid("sum_of_squares", ("num",), lambda: {"sq": F.sum(F.col("num") * F.col("num"))}, lambda: {"sq": F.sum("sq")}, lambda: {"rms": F.sqrt(F.col("sq") / F.col("n"))}, ("number",))
     try:
         docs = rows(spark, [{"v": 3}, {"v": 4}])
@@ -312,7 +322,12 @@ def test_streams(spark, sf, tmp_path):
     S.fold_stream(read(), fold).awaitTermination()
     whole = discover(docs, "simple")
     cols = ["n", "number_min", "string_max", "array_max", "all_unique", "prefix", "format", "divisor"]
-    assert nodes(fold.load(), *cols) == nodes(whole, *cols) and len(fold.done) == 3
+    assert nodes(fold.load(), *cols) == nodes(whole, *cols) and fold.done == [1, 2]
+    again = S.Fold(spark, str(tmp_path / "fold"), "simple")  # a restart goes on from what is stored
+    again.add(docs, 3)
+    assert {k: v[0] for k, v in nodes(again.load(), "n").items()} == {k: 2 * v[0] for k, v in nodes(whole, "n").items()} and again.done == [2, 3]
+    again.add(docs, 3)  # a replay replaces its own version
+    assert nodes(again.load(), "n")["$<object>"] == (2 * docs.count(),)
     two = [S.Fold(spark, str(tmp_path / f"f{k}"), "simple") for k in (0, 1)]
     for k, f in enumerate(two):
         f.add(docs.where(f"doc_id % 2 = {k}"), 0)
@@ -322,6 +337,66 @@ def test_streams(spark, sf, tmp_path):
     assert {r.typed_path: r.n for r in spark.table("running_test").collect()} == {k: v[0] for k, v in nodes(whole, "n").items()}
 
 
+def test_merged_moments_keep_their_digits(spark):
+    vals = [1.7e9 + i % 2 for i in range(4000)]
+    docs = rows(spark, [{"v": v} for v in vals]).repartition(7)
+    for p in (discover(docs, ["stats"]), discover(docs, ["stats"], tree_fanin=4), functools.reduce(D.merge_profiles, [discover(docs.where(f"doc_id % 3 = {k}"), ["stats"]) for k in range(3)])):
+        n, mean, stddev, skewness, kurtosis = nodes(p, "st_n", "mean", "stddev", "skewness", "kurtosis")["$<object>.v<number>"]
+        assert n == 4000 and mean == pytest.approx(1.7e9 + 0.5, rel=1e-15) and stddev == pytest.approx(0.5) and skewness == pytest.approx(0, abs=1e-6) and kurtosis == pytest.approx(-2)
+
+
+def test_nothing_is_lost_silently(spark):
+    deep = "1"
+    for k in range(25):
+        deep = f'{{"k{k}":{deep}}}' if k % 2 else f"[{deep}]"
+    docs = spark.createDataFrame([("a", deep), ("b", deep), (None, '"\\ud800"'), ("a", "[" * 2000 + "]" * 2000)], "doc_id string, json string")
+    by_keys = lambda kind, keys: F.when(kind == "object", F.array_join(keys, "+"))
+    for equivalence in ("kind", "label", by_keys):
+        p = discover(docs, "all", equivalence)
+        assert nodes(p, "n")["$<string>"] == (1,) and p.nodes.count() == 27 and sum(n for (n,) in nodes(p, "n").values()) == 53
+        assert [r.valid for r in validate(docs, p).collect()] == [True, True, True, False]
+    with pytest.raises(Exception, match="max_depth"):
+        discover(docs, "minimum", engine="variant").nodes.collect()
+    examples = {r.example for r in discover(spark.createDataFrame([(None, f'{{"v":{i}}}') for i in range(50)], "doc_id string, json string"), ["examples"]).examples.collect()}
+    assert len(examples) > 25  # null ids don't hide each other
+
+
+def test_labels_of_many_key_sets(spark):
+    docs = spark.range(120_000).select(F.col("id").alias("doc_id"), F.concat(F.lit('{"k'), F.col("id").cast("string"), F.lit('":1}')).alias("json"))
+    p = discover(docs, ["required"], "label")
+    roots = p.nodes.where("path = '$'")
+    assert roots.count() == 120_000 and p.keysets.groupBy("typed_path").count().where("count > 1").isEmpty()
+
+
+def test_typed_route_walks_what_nests(spark):
+    df = spark.sql("select 1L as id, named_struct('a b', array(named_struct('x', 1, 'y', cast(null as string)), named_struct('x', 2, 'y', 'z'))) as s, map('k', array(1.5D), 'l', array()) as m, array(cast(null as int), 7) as n")
+    got = {r.typed_path: r.n for r in flatten_typed(df, "id").groupBy("typed_path").count().withColumnRenamed("count", "n").collect()}
+    docs = df.select(F.col("id").alias("doc_id"), F.to_json(F.struct("*")).alias("json"))
+    assert got == {k: v[0] for k, v in nodes(discover(docs, "minimum"), "n").items()}
+
+
+def test_validators_agree(spark, sf):
+    for docs, equivalence in ((W.docs_manifests(spark, sf), "kind"), (W.docs_threads(spark, sf), "label")):
+        train, test = measures.split(docs, 50)
+        p = discover(train, measures.FULL, equivalence)
+        test = test.unionByName(rows(spark, [{"name": 3}, "{", {"conv_id": -1, "turns": [{"a": 1}, 2]}, [1, 1]]).select(F.col("doc_id") - 9, "json"))
+        for closed in (True, False):
+            by_join = validate_facts(test, facts_of(test, NEEDS, equivalence), schema_rows(p), closed).collect()
+            narrow = {r.doc_id: r.rules for r in validate(test, p, closed).collect()}
+            assert {r.doc_id: r.rules for r in by_join if r.doc_id != -8} == {k: v for k, v in narrow.items() if k != -8} and narrow[-8] == ["type"]
+
+
+def test_running_tables(spark, sf, tmp_path):
+    docs = W.docs_events(spark, sf)
+    docs.repartition(3).write.parquet(str(tmp_path / "in"))
+    whole = discover(docs, "all")
+    read = lambda: S.read_stream(spark, str(tmp_path / "in"), docs.schema)
+    for name, df, want in (("k", S.running_keysets(read()), whole.keysets), ("d", S.running_divisors(read()), whole.divisors), ("b", S.running_bloom(read()), whole.bloom), ("e", S.running_examples(read()), None)):
+        df.writeStream.outputMode("complete").format("memory").queryName(f"running_{name}").trigger(availableNow=True).start().awaitTermination()
+        got = spark.table(f"running_{name}")
+        assert got.count() > 100 if want is None else sorted(map(str, got.collect())) == sorted(map(str, want.select(got.columns).collect()))
+
+
 def test_plans(spark, sf):
     docs = W.docs_events(spark, sf)
     plan = discover(docs, "minimum", engine="variant", max_depth=4).nodes._jdf.queryExecution().executedPlan().toString()
