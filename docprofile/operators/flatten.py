@@ -17,6 +17,8 @@ from ..functions.texts import key_step
 MAX_DEPTH, MAX_TUPLE = 16, 64
 #: Hexadecimal digits of a key set's hash in its label: 64 bits.
 LABEL_DIGITS = 16
+#: Levels of a document that the engine's own parser takes.
+MAX_NESTING = 1000
 #: Distinct key sets whose tags an equivalence of the user's own may give on the Arrow path.
 MAX_TAGS = 200_000
 #: Fact fields that monoids may ask for beyond those of the structure.
@@ -244,6 +246,14 @@ def _paired(v):
     return {_paired(k): _paired(x) for k, x in v.items()} if isinstance(v, dict) else v
 
 
+def _not_too_deep(v) -> None:
+    level, depth = [v], 0
+    while level:
+        if depth > MAX_NESTING:
+            raise ValueError("too deep")
+        level, depth = [y for x in level if isinstance(x, list | dict) for y in (x.values() if isinstance(x, dict) else x)], depth + 1
+
+
 def parse_strict(text):
     """A JSON value; ValueError for what try_parse_json refuses too: repeated keys, NaN, broken, empty or too deep text."""
     import json
@@ -252,6 +262,8 @@ def parse_strict(text):
         raise ValueError("null")
     try:
         v = json.loads(text, object_pairs_hook=_unique_keys, parse_constant=_no_constant)
+        if text.count("[") + text.count("{") > MAX_NESTING:
+            _not_too_deep(v)
         return _paired(v) if "\\ud" in text or "\\uD" in text else v
     except RecursionError:
         raise ValueError("too deep") from None
