@@ -330,33 +330,44 @@ def test_secrets_run_no_python(docs):
 
 
 # 10
-def brute_kn(train, text):
-    uni, pairs = Counter(), Counter()
-    for w in train:
-        uni.update(w)
-        pairs.update(zip(["<s>", *w[:-1]], w, strict=True))
-    N, V = sum(uni.values()), len(uni)
-    conts = Counter(b for _, b in pairs)
-    ctx = defaultdict(list)
-    for (a, _), c in pairs.items():
-        ctx[a].append(c)
-    d2 = kneser_ney.discounts([sum(c == k for c in pairs.values()) for k in (1, 2, 3, 4)])
-    d1 = kneser_ney.discounts([sum(c == k for c in conts.values()) for k in (1, 2, 3, 4)])
-    off = lambda c, d: 0 if c == 0 else d[min(c, 3) - 1]
-    g1, t1 = sum(off(c, d1) for c in conts.values()), len(pairs)
-
-    def p(a, b):
-        p1 = (max(conts[b] - off(conts[b], d1), 0) + g1 / (V + 1)) / t1 if t1 else 1 / (V + 1)
-        if a not in ctx:
-            return p1
-        return (max(pairs[a, b] - off(pairs[a, b], d2), 0) + sum(off(c, d2) for c in ctx[a]) * p1) / sum(ctx[a])
-
-    base = sum(math.log10((uni[w] + 0.5) / (N + 0.5 * (V + 1))) for w in text)
-    return len(text), sum(w in uni for w in text), N, base, sum(math.log10(p(a, b)) for a, b in zip(["<s>", *text[:-1]], text, strict=True)), p, uni
-
-
-@pytest.mark.parametrize("keys", [None, 20_000])
-def test_kneser_ney(spark, docs, odd, keys, monkeypatch):
+def brute_kn(train, order):
+    """p(words before, word) and the words' counts, straight from the definition."""
+    raw = [Counter() for _ in range(order + 1)]
+    for text in train:
+        for i in range(len(text)):
+            for k in range(1, min(order, i + 2) + 1):
+                raw[k][tuple(["<s>", *text][i - k + 2 : i + 2])] += 1
+    adj = [Counter() for _ in range(order + 1)]
+    adj[order] = raw[order]
+    for k in range(1, order):
+        for g in raw[k + 1]:
+            adj[k][g[1:]] += 1
+        adj[k].update({g: c for g, c in raw[k].items() if g[0] == "<s>"})
+    d = [None, *(kneser_ney.discounts([sum(c == q for c in adj[k].values()) for q in (1, 2, 3, 4)]) for k in range(1, order + 1))]
+    off = lambda c, k: 0 if c == 0 else d[k][min(c, 3) - 1]
+    held = [defaultdict(list) for _ in range(order + 1)]
+    for k in range(1, order + 1):
+        for g, c in adj[k].items():
+            held[k][g[:-1]].append(c)
+    V = len(raw[1])
+    sums = [{g: (sum(cs), sum(off(x, k) for x in cs)) for g, cs in h.items()} for k, h in enumerate(held)]
+
+    def p(before, word):
+        out = 1 / (V + 1)
+        for k in range(1, order + 1):
+            if k > len(before) + 1:
+                break
+            ctx = tuple(before[len(before) - k + 1 :])
+            if ctx in sums[k]:
+                c, (total, mass) = adj[k][(*ctx, word)], sums[k][ctx]
+                out = (max(c - off(c, k), 0) + mass * out) / total
+        return out
+
+    return p, raw[1]
+
+
+@pytest.mark.parametrize("order,keys", [(2, None), (3, 4_000), (5, 4_000)])
+def test_kneser_ney(spark, docs, odd, order, keys, monkeypatch):
     if keys:
         monkeypatch.setattr(kneser_ney, "GATHER", 5000)
     split = lambda t: [*re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or "")), "\n"]
@@ -364,19 +375,38 @@ def test_kneser_ney(spark, docs, odd, keys, monkeypatch):
         rows = [(i, split(t)) for i, t in texts(df)]
         train = [w for i, w in rows if i is None or crc(i) % 5 != 1]
         part = df.where("doc_id is null or crc32(cast(cast(doc_id as string) as binary)) % 5 <> 1").select("text")
-        model = kneser_ney.fit(part, range_keys=keys or kneser_ney.RANGE)
-        got = sorted(map(tuple, kneser_ney.score(df, model).collect()), key=repr)
-        want = sorted(((i, i is not None and crc(i) % 5 == 1, *brute_kn(train, w)[:5]) for i, w in rows[:60] + rows[-15:]), key=repr)
-        have = Counter((g[0], g[1], g[2], g[3], g[4], round(g[5], 5), round(g[6], 5)) for g in got)
-        for w in want:
-            assert have[(w[0], w[1], w[2], w[3], w[4], round(w[5], 5), round(w[6], 5))], w
-        _, _, _, _, _, p, uni = brute_kn(train, ["x"])
-        assert sum(p("one", w) for w in uni) + p("one", "no such word") == pytest.approx(1)
+        model = kneser_ney.fit(part, range_keys=keys or kneser_ney.RANGE, order=order)
+        p, uni = brute_kn(train, order)
+        N, V = sum(uni.values()), len(uni)
+        uni = {g[0]: c for g, c in uni.items()}
+        have = Counter((*tuple(g)[:5], round(g.base_score, 5), round(g.score, 5)) for g in kneser_ney.score(df, model).collect())
+        for i, w in rows[:60] + rows[-15:]:
+            base = sum(math.log10((uni.get(x, 0) + 0.5) / (N + 0.5 * (V + 1))) for x in w)
+            full = sum(math.log10(p(["<s>", *w[:j]], x)) for j, x in enumerate(w))
+            want = (i, i is not None and crc(i) % 5 == 1, len(w), sum(x in uni for x in w), N, round(base, 5), round(full, 5))
+            assert have[want], (want, [h for h in have if h[0] == i])
+        for before in (["one"], ["<s>"], rows[0][1][:2], ["no such word", rows[0][1][0]]):
+            assert sum(p(before, w) for w in uni) + p(before, "no such word") == pytest.approx(1)
     empty = kneser_ney.score(odd, kneser_ney.fit(odd.select("text").limit(0)))
     assert all(r.score == 0 and r.train_tokens == 0 for r in empty.collect())
     assert kneser_ney.fit_score(odd.limit(0)).count() == 0
 
 
+def test_names_of_words():
+    import random
+
+    rng = random.Random(4)
+    letters = ["a", "B", "é", "x" * 7, "y" * 9, "z" * 70, " ", "  ", "\n", "\t", "\x0b", "\x1c", "\x00", "\u3000"]
+    texts_ = ["".join(rng.choices(letters, k=rng.randrange(12))) for _ in range(3000)] + [""]
+    names, n = kneser_ney.tokens([t.encode() for t in texts_])
+    words = [w for t in texts_ for w in [*t.encode().lower().split(), None]]
+    assert len(names) == len(words) and n.tolist() == [len(t.encode().split()) + 1 for t in texts_]
+    seen = {}
+    for w, h in zip(words, names.tolist(), strict=True):
+        assert seen.setdefault(w, h) == h
+    assert len(set(seen.values())) == len(seen)
+
+
 def test_word_tokens_random_texts():
     import random
 
