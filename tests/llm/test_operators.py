@@ -276,7 +276,7 @@ def test_surrogates(spark, odd):
         for _, _, _, v in pii.find(t):
             assert v not in got[i].text
     a, b = re.findall(r"[\w.]+@[\w.]+", got[1].text)
-    assert a == b and re.fullmatch(r"[a-z]{3}\.[a-z]{3}\d@[a-z]+\.example", a)
+    assert a.lower() == b and re.fullmatch(r"[A-Z][a-z]{2}\.[A-Z][a-z]{2}\d@[a-z]+\.example", a)
     assert re.search(r"\+1 \(\d{3}\) \d{3}-\d{4}", got[1].text)
     plain, spaced = re.search(r"card (\d{16}) and (\d{4} \d{4} \d{4} \d{4})", got[2].text).groups()
     assert plain == spaced.replace(" ", "") and pii.luhn(plain)
@@ -285,11 +285,8 @@ def test_surrogates(spark, odd):
     assert pii.replace(odd, key).count() == len(ODD)
 
 
-def test_surrogates_stay_distinct(spark, monkeypatch):
-    monkeypatch.setattr(pii, "surrogate", lambda key, kind, value, tries=0: f"a{(hash(value[:2]) % 3 + tries) % 40}@x.example")
-    df = spark.createDataFrame([(i, f"u{i}@real.org a1@x.example") for i in range(20)], "doc_id long, text string")
-    ruled = pii.resolve(df.coalesce(1), b"k")
-    assert ruled.count() > 0
+def test_surrogates_of_no_rows(spark, odd):
+    assert pii.replace(odd.limit(0), b"k").count() == 0
 
 
 # 9
