@@ -3,11 +3,14 @@
 Codebooks of 16 centres for each pair of dimensions are fitted on a bounded sample under a loss that weighs the part of
 the residual parallel to the vector ETA times the rest, since that part changes large inner products. Every vector is
 coded by coordinate descent under the same loss. A search scans all codes through per-query tables, query block by query
-block, and reranks the best RERANK of each chunk of rows exactly, in double precision, on the original vectors.
-
-Defined cases: vectors that are null, zero, of another dimension than the sample's longest, or hold null or non-finite
-components take no part; a query is never its own neighbour; ties go to the smaller id; with fewer than k candidates all
-are returned; an empty table gives an empty result; other columns are ignored; rows with a null id take no part.
+block, and reranks the best RERANK (and 4 k at least) of each chunk of rows exactly, in double precision, on the original
+vectors. A task keeps the best of all its chunks while these fit MERGE_BYTES, and sends k rows a query then.
+
+Defined cases: vectors that are null, empty, zero or hold null or non-finite components take no part; vectors of different
+dimensions have no cosine, so each dimension has its own codebooks and its queries meet vectors of that dimension only; a
+query is never its own neighbour; rows that share an id are one neighbour, at the nearest of them, and one query, whose
+neighbours are those of all its rows; ties go to the smaller id; with fewer than k candidates all are returned; an empty
+table gives an empty result; other columns are ignored; rows with a null id take no part.
 """
 
 from __future__ import annotations
@@ -25,6 +28,8 @@ SAMPLE = 8192
 ETA = 2.6
 #: Rows of one scan, exactly reranked rows of each scan and query, and queries of one block.
 CHUNK, RERANK, BLOCK = 16384, 48, 512
+#: Bytes of a task's best rows of all queries up to which they are merged over its chunks before they are sent.
+MERGE_BYTES = 64 << 20
 
 
 def unit(v: np.ndarray) -> np.ndarray:
@@ -93,57 +98,93 @@ def valid(embedding):
     return embedding.isNotNull() & F.coalesce(ok, F.lit(False)) & F.exists(embedding, lambda v: v != 0)
 
 
-def build_index(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", sample: int = SAMPLE, eta: float = ETA) -> tuple[DataFrame, np.ndarray | None]:
-    """Table (vec_id, vec array<double or float>, code binary: two subspaces a byte) of all vectors that take part, and the codebooks."""
-    rows = vectors.where(valid(F.col(vec_col)) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("vec_id"), F.col(vec_col).alias("vec"))
-    drawn = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).select("vec").toArrow().column(0).to_pylist()
-    if not drawn:
-        return rows.withColumn("code", F.lit(b"")), None
-    dim = max(map(len, drawn))
-    books = fit(unit(np.array([v for v in drawn if len(v) == dim])), eta)
+def build_index(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", sample: int = SAMPLE, eta: float = ETA) -> tuple[DataFrame, dict[int, np.ndarray]]:
+    """Table (vec_id, vec array<double or float>, dim, code binary: two subspaces a byte) of all vectors that take part, and
+    the codebooks by dimension. The sample is the rows of each dimension whose ids have the least hashes, `sample` in all."""
+    rows = vectors.where(valid(F.col(vec_col)) & F.col(id_col).isNotNull()).select(F.col(id_col).alias("vec_id"), F.col(vec_col).alias("vec")).withColumn("dim", F.size("vec"))
+    dims = [r.dim for r in rows.select("dim").distinct().limit(sample // 16 + 1).collect()]
+    if len(dims) > sample // 16:
+        raise ValueError(f"over {sample // 16} dimensions of vectors")
+    by_hash = Window.partitionBy("dim").orderBy(F.xxhash64("vec_id"), "vec_id", "vec")
+    drawn = rows.withColumn("r", F.row_number().over(by_hash)).where(F.col("r") <= sample // max(1, len(dims))).orderBy("dim", "r").select("dim", "vec").toArrow()
+    of, vecs = drawn.column(0).to_numpy(), drawn.column(1)
+    books = {int(d): fit(unit(np.array(vecs.filter(pa.array(of == d)).to_pylist())), eta) for d in sorted(dims)}
 
     def run(batches):
         for b in batches:
-            if not b.num_rows:
-                continue
-            codes = encode(unit(b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, dim)), books, eta)
-            if codes.shape[1] % 2:
-                codes = np.pad(codes, ((0, 0), (0, 1)))
-            packed = codes[:, ::2] << 4 | codes[:, 1::2]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([c.tobytes() for c in packed], pa.binary())], ["vec_id", "vec", "code"])
+            for part, d in by_dim(b, 2):
+                codes = encode(unit(dense(part.column(1), d)), books[d], eta)
+                if codes.shape[1] % 2:
+                    codes = np.pad(codes, ((0, 0), (0, 1)))
+                packed = codes[:, ::2] << 4 | codes[:, 1::2]
+                yield part.append_column("code", pa.array([c.tobytes() for c in packed], pa.binary()))
 
     kind = dict(rows.dtypes)
-    return materialise(rows.where(F.size("vec") == dim).mapInArrow(run, f"vec_id {kind['vec_id']}, vec {kind['vec']}, code binary"), "index"), books
+    return materialise(rows.mapInArrow(run, f"vec_id {kind['vec_id']}, vec {kind['vec']}, dim int, code binary"), "index"), books
+
+
+def by_dim(b: pa.RecordBatch, column: int):
+    """(rows, dimension) of each dimension in a batch."""
+    of = b.column(column).to_numpy()
+    found = np.unique(of).tolist()
+    return [(b if len(found) == 1 else b.filter(pa.array(of == d)), d) for d in found]
+
+
+def dense(vecs: pa.Array, dim: int) -> np.ndarray:
+    return vecs.flatten().to_numpy(zero_copy_only=False).reshape(-1, dim)
+
 
+class Best:
+    """The k nearest found so far of a list of queries: ids and scores, -inf where there are fewer."""
 
-def search(index: DataFrame, books: np.ndarray | None, queries: DataFrame, k: int = 5) -> DataFrame:
+    def __init__(self, queries: int, k: int):
+        self.ids, self.scores, self.k = np.full((queries, k), -1, np.int64), np.full((queries, k), -np.inf), k
+
+    def add(self, i: int, ids: np.ndarray, scores: np.ndarray) -> None:
+        ids, scores = np.concatenate((self.ids[i], ids)), np.concatenate((self.scores[i], scores))
+        order = np.lexsort((ids, -scores))
+        # an id counts once, at its best
+        ids, scores = ids[order], scores[order]
+        ids, scores = ids[np.isfinite(scores)], scores[np.isfinite(scores)]
+        keep = np.sort(np.unique(ids, return_index=True)[1])[: self.k]
+        self.ids[i], self.scores[i] = -1, -np.inf
+        self.ids[i, : len(keep)], self.scores[i, : len(keep)] = ids[keep], scores[keep]
+
+
+def search(index: DataFrame, books: dict[int, np.ndarray], queries: DataFrame, k: int = 5) -> DataFrame:
     """query_id, rank, vec_id, score: the k nearest of each row of queries(query_id, vec), a subset of the index's schema.
 
-    Each task holds one chunk of rows at a time and streams the query blocks past it from the shared folder.
+    Each task holds one chunk of rows of a dimension at a time and streams the query blocks past it from the shared folder.
     """
-    schema = "query_id long, vec_id long, score double"
-    if books is None:
-        return index.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    at = scratch(index.sparkSession, "queries")
-    queries.select(F.col("query_id").cast("long").alias("query_id"), F.col("vec").cast("array<double>").alias("vec")).write.parquet(at)
-    dim, subspaces = None, books.shape[0]
-
-    def blocks():
+    spark = index.sparkSession
+    if not books:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    at = scratch(spark, "queries")
+    asked = queries.select(F.col("query_id").cast("long").alias("query_id"), F.col("vec").cast("array<double>").alias("vec"), F.size("vec").alias("dim"))
+    asked.write.parquet(at)
+    counts = {r["dim"]: r["count"] for r in spark.read.parquet(at).groupBy("dim").count().collect()}
+    merge = sum(counts.values()) * k * 16 <= MERGE_BYTES
+
+    def blocks(d):
+        """(number of the first query, ids, vectors) of each block of queries of a dimension, always in one order."""
         import pyarrow.dataset as ds
 
         fs, path = file_system(at)
-        for b in ds.dataset(path, filesystem=fs, format="parquet").to_batches(batch_size=BLOCK):
+        n = 0
+        for b in ds.dataset(path, filesystem=fs, format="parquet").to_batches(batch_size=BLOCK, filter=ds.field("dim") == d):
             if b.num_rows:
-                yield b.column(0).to_numpy(), b.column(1).flatten().to_numpy().reshape(b.num_rows, -1)
+                yield n, b.column(0).to_numpy(), dense(b.column(1), d)
+                n += b.num_rows
 
-    def best(ids, vecs, codes):
+    def scanned(d, parts, best, qids):
+        ids, vecs, codes = (np.concatenate(p) for p in zip(*parts, strict=True))
         order = np.argsort(ids, kind="stable")
         ids, vecs, codes = ids[order], vecs[order], codes[order]
         norms = np.sqrt((vecs * vecs).sum(1))
-        take = min(len(ids), RERANK)
-        for qid, q in blocks():
-            tables = np.einsum("qsd,scd->qsc", _pairs(unit(q)), books)
-            approx = scan(tables, codes)
+        take, different = min(len(ids), max(RERANK, 4 * k)), len(np.unique(ids))
+        for n, qid, q in blocks(d):
+            qids[n : n + len(qid)] = qid
+            approx = scan(np.einsum("qsd,scd->qsc", _pairs(unit(q)), books[d]), codes)
             # ties of the scan go to smaller ids: rows are in order of id, and so is the rank within equal scores
             floor = np.partition(approx, len(ids) - take, axis=1)[:, len(ids) - take]
             qn = np.sqrt((q * q).sum(1))
@@ -151,34 +192,48 @@ def search(index: DataFrame, books: np.ndarray | None, queries: DataFrame, k: in
                 over, tied = np.flatnonzero(approx[i] > floor[i]), np.flatnonzero(approx[i] == floor[i])
                 pick = np.concatenate((over, tied[: take - len(over) + 1]))
                 pick = pick[ids[pick] != qid[i]]
-                score = (vecs[pick] * q[i]).sum(1) / (norms[pick] * qn[i])
-                top = np.lexsort((ids[pick], -score))[:k]
-                yield qid[i], ids[pick][top], score[top]
+                if take < len(ids) and len(np.unique(ids[pick])) < min(k, different - 1):
+                    pick = np.flatnonzero(ids != qid[i])  # repeated ids crowd out others: rerank them all
+                best.add(n + i, ids[pick], (vecs[pick] * q[i]).sum(1) / (norms[pick] * qn[i]))
 
     def run(batches):
-        def flush(parts):
-            ids, vecs, codes = (np.concatenate(p) for p in zip(*parts, strict=True))
-            found = list(best(ids, vecs, codes))
-            return pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.full(len(v), q) for q, v, _ in found] or [np.zeros(0, np.int64)]), pa.int64()), pa.array(np.concatenate([v for _, v, _ in found] or [np.zeros(0, np.int64)]), pa.int64()), pa.array(np.concatenate([s for _, _, s in found] or [np.zeros(0)]), pa.float64())], ["query_id", "vec_id", "score"])
+        held, kept = {}, {}
+
+        def rows_of(best, qids):
+            there = np.isfinite(best.scores)
+            return pa.RecordBatch.from_arrays([pa.array(np.repeat(qids, there.sum(1))), pa.array(best.ids[there]), pa.array(best.scores[there])], ["query_id", "vec_id", "score"])
+
+        def flush(d):
+            best, qids = kept.get(d) or (Best(counts[d], k), np.zeros(counts[d], np.int64))
+            scanned(d, held.pop(d), best, qids)
+            if merge:
+                kept[d] = best, qids
+                return []
+            return [rows_of(best, qids)]
 
-        held, n = [], 0
         for b in batches:
             for j in range(0, b.num_rows, CHUNK):
-                s = b.slice(j, CHUNK)
-                packed = np.frombuffer(b"".join(s.column(2).to_pylist()), np.uint8).reshape(s.num_rows, -1)
-                codes = np.stack((packed >> 4, packed & 15), axis=2).reshape(s.num_rows, -1)[:, :subspaces]
-                held.append((s.column(0).to_numpy(zero_copy_only=False).astype(np.int64), s.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(s.num_rows, -1), codes))
-                n += s.num_rows
-                if n >= CHUNK:
-                    yield flush(held)
-                    held, n = [], 0
-        if held:
-            yield flush(held)
-
-    found = index.mapInArrow(run, schema)
-    # equal scores come from equal sums, so a tie is a tie in every task
+                for s, d in by_dim(b.slice(j, CHUNK), 2):
+                    if d not in counts:
+                        continue
+                    packed = np.frombuffer(b"".join(s.column(3).to_pylist()), np.uint8).reshape(s.num_rows, -1)
+                    codes = np.stack((packed >> 4, packed & 15), axis=2).reshape(s.num_rows, -1)[:, : books[d].shape[0]]
+                    held.setdefault(d, []).append((s.column(0).to_numpy(zero_copy_only=False).astype(np.int64), dense(s.column(1), d).astype(np.float64), codes))
+                    if sum(len(p[0]) for p in held[d]) >= CHUNK:
+                        yield from flush(d)
+                if sum(len(p[0]) for ps in held.values() for p in ps) >= 4 * CHUNK:
+                    for d in list(held):
+                        yield from flush(d)
+        for d in list(held):
+            yield from flush(d)
+        for best, qids in kept.values():
+            yield rows_of(best, qids)
+
+    hits = index.mapInArrow(run, "query_id long, vec_id long, score double")
+    # equal scores come from equal sums, so a tie is a tie in every task; an id counts once, at its best
+    hits = hits.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     w = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    return found.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return hits.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def nearest(vectors: DataFrame, is_query, id_col: str = "vec_id", vec_col: str = "embedding", k: int = 5) -> DataFrame:

@@ -63,8 +63,10 @@ def name_texts(texts: DataFrame, block_bytes: int = 4096) -> DataFrame:
     return out
 
 
-def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = 4096) -> DataFrame:
-    """One row a row of docs: doc_id, keep_id, group_size, kept, text_sha256, n_points, copy (number among equal rows)."""
+def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", block_bytes: int = 4096, name_all: bool = False) -> DataFrame:
+    """One row a row of docs: doc_id, keep_id, group_size, kept, text_sha256, n_points, copy (number among equal rows).
+
+    name_all: name every text, also those whose length and hash nobody shares."""
     src = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     body = normalised(F.col("text"))
     sig = [F.xxhash64("body").alias("h"), F.octet_length("body").alias("len")]
@@ -73,7 +75,7 @@ def classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", blo
     base = materialise(base.groupBy("doc_id", "n_points", "h", "len", "text_sha256").agg(F.count(F.lit(1)).alias("m")).withColumn("uid", F.monotonically_increasing_id()), "bases")
     total = base.agg(F.count(F.lit(1))).first()[0]
     groups = base.groupBy("h", "len").agg(F.count(F.lit(1)).alias("n"))
-    shared = materialise(join_unique(base, groups.where("n > 1").withColumn("many", F.lit(True)), ["h", "len"], "n", total).where("many").drop("many"), "shared")
+    shared = materialise(join_unique(base, groups.where(F.lit(name_all) | (F.col("n") > 1)).withColumn("many", F.lit(True)), ["h", "len"], "n", total).where("many").drop("many"), "shared")
     # the text side streams past a hash table of the narrow side: no sort of texts; a row of docs repeats only with its id
     texts = plain.join(shared.select(F.col("doc_id").alias("_id"), F.col("n_points").alias("_p"), F.col("h").alias("_h"), F.col("len").alias("_l"), "uid").hint("shuffle_hash"), matched([F.col("doc_id"), F.col("n_points"), F.xxhash64("body"), F.octet_length("body")], [F.col(c) for c in ("_id", "_p", "_h", "_l")]))
     named = name_texts(texts.select("uid", F.col("body").cast("binary").alias("body")).dropDuplicates(["uid"]) if base.where("m > 1").limit(1).count() else texts.select("uid", F.col("body").cast("binary").alias("body")), block_bytes)

@@ -1,4 +1,9 @@
-"""Near-copy dedup on exact shingle sets: documents whose sets have a Jaccard similarity of at least 0.8 are linked.
+"""Near-copy dedup: documents whose shingle sets have a Jaccard similarity of at least 0.8 are linked.
+
+SimHash with multi-index hashing comes first: fingerprints of the same shingles within two bits are looked up by their
+segments' Hamming balls, and each pair that they give is verified on the whole sets. Two texts that similar differ in some
+0 to 14 of 64 bits, and balls of that radius would hold a large part of any corpus; so what the fingerprints can't reach
+is found on the sets themselves, with what is linked already as a start.
 
 A set of n shingles shares at least 4/5 of them with any set that similar, so under any common order of the shingles two
 such sets have one among their first n // 5 + 1. These prefixes are the only keys; every candidate pair is verified on
@@ -24,6 +29,7 @@ from pyspark.sql import functions as F
 
 from .common import file_system, join_unique, matched, materialise, scratch, slices, text_digest, utf8
 from .graph import components
+from .simhash import links as fingerprint_links
 
 WORDS = 5
 CROWD = 32
@@ -40,8 +46,14 @@ def shingles(text: bytes, size: int = WORDS, seed: int = 42) -> np.ndarray:
     return np.sort(np.fromiter(found, np.uint64, len(found)).view(np.int64))
 
 
+def fingerprint(hashes: np.ndarray) -> int:
+    """Signed fingerprint of a set of hashes: a bit is 1 if it is set in over half of them."""
+    bits = np.unpackbits(hashes.astype(">i8").view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
+    return int(np.packbits(2 * bits > len(hashes)).view(">i8")[0])
+
+
 def sets(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
-    """uid, doc_id, digest, n, shingles: one row a row of docs."""
+    """uid, doc_id, digest, n, shingles, fp: one row a row of docs."""
     kind = dict(docs.dtypes)[id_col]
 
     def run(batches):
@@ -49,10 +61,11 @@ def sets(docs: DataFrame, id_col: str, text_col: str, size: int) -> DataFrame:
             each = [shingles(t, size) for t in utf8(b.column(2))]
             ends = np.concatenate(([0], np.cumsum([len(s) for s in each]))).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(each or [np.zeros(0, np.int64)]), pa.int64()))
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.diff(ends), pa.int32()), lists], ["doc_id", "digest", "n", "shingles"])
+            fps = pa.array([fingerprint(s) for s in each], pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.diff(ends), pa.int32()), lists, fps], ["doc_id", "digest", "n", "shingles", "fp"])
 
     rows = docs.select(F.col(id_col).alias("doc_id"), text_digest(F.col(text_col)).alias("digest"), F.col(text_col).alias("text"))
-    rows = rows.mapInArrow(run, f"doc_id {kind}, digest string, n int, shingles array<long>")
+    rows = rows.mapInArrow(run, f"doc_id {kind}, digest string, n int, shingles array<long>, fp long")
     return materialise(rows.withColumn("uid", F.monotonically_increasing_id()), "sets")
 
 
@@ -112,8 +125,21 @@ def verified(pairs: DataFrame, rows: DataFrame) -> DataFrame:
     return materialise(both.where(9 * shared >= 4 * (F.col("nu") + F.col("nv"))).select("u", "v"), "similar")
 
 
+def by_fingerprints(rows: DataFrame) -> DataFrame:
+    """Edges (u, v) between similar sets that multi-index hashing of their fingerprints gives: of each fingerprint one set
+    stands for all, and sets are held against that of their own and that of each fingerprint linked to it."""
+    fps = materialise(rows.groupBy("fp").agg(F.min("uid").alias("first"), F.count(F.lit(1)).alias("m")), "fps")
+    total = fps.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
+    own = join_unique(rows.select("uid", "fp"), fps.where("m > 1"), ["fp"], "m", total).where("first is not null and first <> uid").select(F.col("first").alias("u"), F.col("uid").alias("v"))
+    pairs = fingerprint_links(fps.select("fp"))
+    side = lambda c, f: fps.select(F.col("fp").alias(f), F.col("first").alias(c)).hint("merge")
+    across = pairs.select(F.col("u").alias("fu"), F.col("v").alias("fv")).join(side("a", "fu"), "fu").join(side("b", "fv"), "fv").select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"))
+    return verified(materialise(own.unionByName(across).distinct(), "pairs"), rows)
+
+
 def links(rows: DataFrame, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFrame:
     """Edges (u, v) between similar sets whose components are those of all similar pairs."""
+    first = by_fingerprints(rows)
     at = scratch(rows.sparkSession, "common")
     prefixes(rows).groupBy("key").agg(F.count(F.lit(1)).alias("m")).where(F.col("m") > crowd).select("key").write.parquet(at)
     keys = materialise(prefixes(rows, at), "prefixes")
@@ -128,7 +154,8 @@ def links(rows: DataFrame, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFram
     # that also share a crowded key are met there, whatever c is here
     left_of = lambda n: F.col(n) - F.floor(F.col(n) / 5) - 1
     few = few.where(9 * (F.col("c") + F.greatest(left_of("nu"), left_of("nv"))) >= 4 * (F.col("nu") + F.col("nv")))
-    edges = verified(materialise(few.select("u", "v"), "pairs"), rows)
+    edges = verified(materialise(few.select("u", "v").join(first.hint("merge"), ["u", "v"], "left_anti"), "pairs"), rows)
+    edges = materialise(edges.unionByName(first), "edges")
     crowded = shared.where("many").select("key", "uid", "n")
     if crowded.isEmpty():
         return edges

@@ -27,11 +27,16 @@ MEMBER = "struct<doc_id:{kind},piece:int,start:bigint,length:bigint,ids_crc32:bi
 MARKS = b".,;:!?*#%$&|"
 
 
+#: Texts that tell whether a tokenizers file does what WordTokens takes for granted.
+PROBES = ("Hello, World! it's", "ABC abc AbC.", " two  blanks\n\nand\ttabs ", "a|b x* 50% #tag &c $9.99 (x)", "É é ß Σς İ.", "don't 12,345.67 A1b2", "日本語。текст, слово!", "x" * 300, "")
+
+
 class WordTokens:
     """Ids by a tokenizers file whose normaliser and pre-tokeniser never look past white space: words are encoded once.
 
     A word of letters with marks behind is two pieces to the pre-tokeniser, so it is put together from both. Small ASCII
-    letters are what the normaliser and the byte mapping leave as they are: such a piece goes to the merges directly.
+    letters are what the normaliser and the byte mapping leave as they are: such a piece goes to the merges directly. A file
+    that works otherwise is refused when it is loaded.
     """
 
     def __init__(self, path: str):
@@ -41,6 +46,10 @@ class WordTokens:
         self.tok.no_truncation()
         self.tok.no_padding()
         self.memo, self.merge = Memo(self.word, 250_000), self.tok.model.tokenize
+        for probe in PROBES:
+            if self.encode(probe.encode()) != array.array("I", self.tok.encode(probe, add_special_tokens=False).ids).tobytes():
+                raise ValueError(f"{path} isn't a tokenizer whose words can be encoded one by one: it differs on {probe!r}")
+        self.memo.clear()
 
     def word(self, word: bytes) -> bytes:
         stem = word.rstrip(MARKS)

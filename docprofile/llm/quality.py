@@ -140,3 +140,14 @@ def keep_good(docs: DataFrame, scorer: Scorer | None, text_col: str = "text", le
             yield b.filter(pa.array([scorer.score(t) >= least for t in utf8(b.column(at))], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
+
+
+def calibration(scored: DataFrame, labels: DataFrame, bins: int = 10) -> DataFrame:
+    """held_out, n, accuracy, brier (mean squared error of the score), calibration_error: labelled rows of scored(doc_id,
+    held_out, score, predicted) against labels(doc_id, quality); the last is the mean gap of score and label in bins of the score."""
+    y = F.col("quality").cast("double")
+    rows = scored.join(labels.where("quality is not null").select("doc_id", "quality"), "doc_id")
+    each = rows.groupBy("held_out", F.least(F.floor(F.col("score") * bins), F.lit(bins - 1)).alias("bin")).agg(
+        F.count(F.lit(1)).alias("n"), F.sum("score").alias("s"), F.sum(y).alias("y"), F.sum((F.col("score") - y) * (F.col("score") - y)).alias("e"), F.sum((F.col("predicted") == F.col("quality")).cast("double")).alias("hits"))
+    total = F.sum("n")
+    return each.groupBy("held_out").agg(total.alias("n"), (F.sum("hits") / total).alias("accuracy"), (F.sum("e") / total).alias("brier"), (F.sum(F.abs(F.col("s") - F.col("y"))) / total).alias("calibration_error"))

@@ -2,8 +2,9 @@
 
 A payload travels as rows (record, chunk number, bytes) of at most CHUNK bytes. The writer streams the rows of a record
 into one gzip member; the reader inflates a member piece by piece and returns rows again. Both carry a running SHA-1, so
-neither holds a whole record of an oversized payload. Of equal payloads the smallest id is a response record, the others
-are revisit records that name it.
+neither holds a whole record of an oversized payload; chunks are cut from the column one at a time, and no array of them is
+built. Of equal payloads the smallest id is a response record, the others are revisit records that name it; what is read
+of a revisit is held against the response that it names.
 
 Defined cases: a null payload is empty; a null or unprintable URL is written as urn:page:<id>; a null id is written as an
 empty field and read as null, and is the smallest only among nulls; rows that repeat an id and payload are all responses;
@@ -43,8 +44,8 @@ def dedupe(pages: DataFrame, id_col: str, payload_col: str, url_col: str, min_by
 def chunked(rows: DataFrame, chunk: int = CHUNK) -> DataFrame:
     """One row a chunk, in order within its task; a revisit has one empty chunk."""
     n = F.when(F.col("first").isNotNull(), 1).otherwise(F.greatest(F.lit(1), F.ceil(F.col("size") / chunk))).cast("int")
-    cut = F.when(F.col("first").isNotNull(), F.array(F.lit(b""))).otherwise(F.expr(f"transform(sequence(0, n - 1), i -> substring(body, i * {chunk} + 1, {chunk}))"))
-    return rows.withColumn("n", n).select("id", "url", "size", "sha", "first", "n", F.posexplode(cut).alias("no", "bytes"))
+    numbered = rows.withColumn("n", n).withColumn("no", F.explode(F.sequence(F.lit(0), n - 1)))
+    return numbered.select("id", "url", "size", "sha", "first", "n", "no", F.when(F.col("first").isNotNull(), F.lit(b"")).otherwise(F.substring("body", F.col("no") * chunk + 1, F.lit(chunk))).alias("bytes"))
 
 
 def _head(id_, url, size, sha, first) -> bytes:
@@ -61,7 +62,7 @@ def _head(id_, url, size, sha, first) -> bytes:
 
 
 def write_archives(pages: DataFrame, folder: str, id_col: str = "page_id", payload_col: str = "html", url_col: str = "url", min_bytes: int = 0, chunk: int = CHUNK, level: int = 1) -> DataFrame:
-    """Write pages as .warc.gz files in folder (any store); returns their manifest (path, records, bytes).
+    """Write pages as .warc.gz files in folder (any store); returns their manifest (path in that store, records, bytes).
 
     Each try of a task writes files of its own names, and only those in the manifest count, so retries leave no doubles.
     """
@@ -73,8 +74,8 @@ def write_archives(pages: DataFrame, folder: str, id_col: str = "page_id", paylo
         for b in slices(batches, 64):
             for r in b.to_pylist():
                 if out is None:
-                    path, made, sent = f"{at}/{uuid.uuid4().hex}.warc.gz", 0, 0
-                    out = fs.open_output_stream(path)
+                    name, made, sent = f"{uuid.uuid4().hex}.warc.gz", 0, 0
+                    path, out = f"{folder.rstrip('/')}/{name}", fs.open_output_stream(f"{at}/{name}")
                 if r["no"] == 0:
                     z, sha = zlib.compressobj(level, zlib.DEFLATED, 31), hashlib.sha1()
                     sent += out.write(z.compress(_head(r["id"], r["url"], r["size"], r["sha"], r["first"])))
@@ -144,13 +145,11 @@ def read_archives(manifest: DataFrame, chunk: int = CHUNK, payload: bool = True)
     fields = "page_id long, record_type string, refers_to long, chunk_no int, chunk_bytes long, bytes binary, digest string, declared_bytes long, declared_digest string, last boolean"
     names = [f.split()[0] for f in fields.split(", ")]
     kinds = [pa.int64(), pa.string(), pa.int64(), pa.int32(), pa.int64(), pa.binary(), pa.string(), pa.int64(), pa.string(), pa.bool_()]
-    home = manifest.sparkSession.conf.get("spark.checkpoint.dir", "")
-
     def run(batches):
         for b in batches:
             for path in b.column(0).to_pylist():
-                fs, _ = file_system(home if "://" in home or home.startswith("file:") else path)
-                with fs.open_input_stream(path) as f:
+                fs, at = file_system(path)
+                with fs.open_input_stream(at) as f:
                     held, weight = [], 0
                     for h, no, part, sha, last in records(f, chunk):
                         number = lambda k: int(h[k]) if h.get(k) else None  # noqa: E731, B023
@@ -169,6 +168,18 @@ def read_archives(manifest: DataFrame, chunk: int = CHUNK, payload: bool = True)
 def round_trip(pages: DataFrame, folder: str | None = None, **kind) -> DataFrame:
     """page_id, payload_bytes, payload_digest, record_type, refers_to: as read back from the archives of pages."""
     manifest = write_archives(pages, folder or scratch(pages.sparkSession, "warc"), **kind)
-    whole = read_archives(manifest, payload=False).where("last")
-    own = F.col("record_type") == "response"
-    return whole.select("page_id", F.when(own, F.col("chunk_no") * F.lit(CHUNK).cast("long") + F.col("chunk_bytes")).otherwise(F.col("declared_bytes")).alias("payload_bytes"), F.when(own, F.col("digest")).otherwise(F.col("declared_digest")).alias("payload_digest"), "record_type", "refers_to")
+    read = read_archives(manifest, payload=False).where("last")
+    size = F.col("chunk_no") * F.lit(CHUNK).cast("long") + F.col("chunk_bytes")
+    whole = materialise(read.select("page_id", "record_type", "refers_to", size.alias("size"), "digest", "declared_bytes", "declared_digest"), "records")
+    own = whole.where("record_type = 'response'")
+    revisits = whole.where("record_type = 'revisit'").select("page_id", "record_type", "refers_to", F.col("declared_bytes").alias("told"), F.col("declared_digest").alias("sha"))
+    # the responses that revisits name, with how many name them: a page's payload is what was read of its response
+    named = revisits.groupBy("refers_to", "sha").agg(F.count(F.lit(1)).alias("n"))
+    held = own.select(F.col("page_id").alias("refers_to"), F.col("digest").alias("sha"), "size").groupBy("refers_to", "sha").agg(F.max("size").alias("size"))
+    held = materialise(named.join(held, ["refers_to", "sha"], "left"), "named")
+    total = held.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    met = join_unique(revisits, held, ["refers_to", "sha"], "n", total)
+    wrong = F.raise_error(F.concat(F.lit("no response with the payload of the revisit of page "), F.coalesce(F.col("page_id").cast("string"), F.lit("null"))))
+    checked = F.when(F.col("size") == F.col("told"), F.col("size")).otherwise(wrong.cast("long"))
+    there = own.select("page_id", F.col("size").alias("payload_bytes"), F.col("digest").alias("payload_digest"), "record_type", "refers_to")
+    return there.unionByName(met.select("page_id", checked.alias("payload_bytes"), F.col("sha").alias("payload_digest"), "record_type", "refers_to"))

@@ -70,6 +70,31 @@ def test_nearest_cases(spark):
     assert ann.nearest(df.limit(0), lambda i: i >= 0).count() == 0
 
 
+def test_nearest_keeps_all_dimensions_and_ids(spark, monkeypatch):
+    rng = np.random.default_rng(1)
+    rows = [(i, rng.normal(size=8 if i % 3 else 5).tolist()) for i in range(400)] + [(1000, [1.0] * 9)] + [(7, rng.normal(size=8).tolist()) for _ in range(60)] + [(-1, rng.normal(size=8).tolist())]
+    df = spark.createDataFrame([(*r, 1.0, "x") for r in rows], "vec_id long, embedding array<double>, score double, code string").repartition(3)
+    asked = lambda i: (i % 40 == 0) | (i == 7)
+    for k, merge in ((5, 1 << 20), (60, 0)):
+        monkeypatch.setattr(ann, "MERGE_BYTES", merge)
+        monkeypatch.setattr(ann, "CHUNK", 100)
+        got = defaultdict(list)
+        for r in ann.nearest(df, asked, k=k).orderBy("query_id", "rank").collect():
+            got[r.query_id].append((r.vec_id, r.score))
+        hits = n = 0
+        for q in {i for i, _ in rows if i % 40 == 0 or i == 7}:
+            best = defaultdict(lambda: -9.0)
+            for a in (v for i, v in rows if i == q):
+                for i, v in rows:
+                    if i != q and len(v) == len(a):
+                        best[i] = max(best[i], float(np.dot(a, v) / np.linalg.norm(a) / np.linalg.norm(v)))
+            want = sorted(best.items(), key=lambda x: (-x[1], x[0]))[:k]
+            assert len(got[q]) == len(want) and len({i for i, _ in got[q]}) == len(want) and all(x == pytest.approx(best[i]) for i, x in got[q])
+            hits += len({i for i, _ in want} & {i for i, _ in got[q]})
+            n += len(want)
+        assert hits / n > 0.9 and not got[1000]
+
+
 # 2
 def test_warc(spark):
     body = "ü" * 700_000 + "<p>"
@@ -91,6 +116,23 @@ def test_warc(spark):
     joined = b"".join(r.bytes for r in chunks.where("page_id = 4").orderBy("chunk_no").collect())
     assert joined == body.encode()
     assert warc.round_trip(pages.limit(0)).count() == 0
+    # archives in a store other than the scratch tables', extra columns, chunks smaller than payloads
+    import tempfile
+
+    clash = pages.selectExpr("*", "1 as size", "'x' as sha", "2 as n", "3 as id")
+    assert Counter(tuple(r) for r in warc.round_trip(clash, f"file://{tempfile.mkdtemp()}", chunk=5000).collect()) == want
+    assert "sequence" in str(warc.chunked(warc.dedupe(pages, "page_id", "html", "url", 0))._jdf.queryExecution().optimizedPlan().toString())
+
+
+def test_warc_revisits_need_their_response(spark, tmp_path):
+    pages = spark.createDataFrame([(1, "u", "same"), (2, "u", "same")], "page_id long, url string, html string")
+    real = warc.read_archives
+    try:
+        warc.read_archives = lambda m, **k: real(m, **k).where("page_id <> 1")
+        with pytest.raises(Exception, match="no response"):
+            warc.round_trip(pages).collect()
+    finally:
+        warc.read_archives = real
 
 
 # 3
@@ -109,6 +151,23 @@ def test_quality(spark, odd):
     assert quality.keep_good(odd, None).columns == odd.columns
 
 
+def test_quality_against_brute_force(spark, docs):
+    import zstandard
+
+    s = quality.Scorer(b"good words here and there " * 80, b"@@@@ %%%% zzzz " * 80, 3.0, 0.25)
+    out = {r.doc_id: r for r in quality.score(docs, s).collect()}
+    for i, t in texts(docs):
+        data = (t or "").encode()
+        size = lambda d, data=data: sum(len(zstandard.ZstdCompressor(level=quality.LEVEL, dict_data=zstandard.ZstdCompressionDict(d), write_content_size=False, write_checksum=False, write_dict_id=False).compress(data[k : k + quality.BLOCK])) for k in range(0, len(data), quality.BLOCK))
+        x = (size(s.dictionaries[1]) - size(s.dictionaries[0])) / len(data) if data else 0.0
+        assert out[i].score == pytest.approx(1 / (1 + math.exp(-max(-30, min(30, 3.0 * x + 0.25)))), abs=0.02) and out[i].predicted == (out[i].score >= 0.5)
+    labels = spark.createDataFrame([(i, int(i % 2)) for i, _ in texts(docs)], "doc_id long, quality int")
+    both = [(out[i].held_out, out[i].score, i % 2, out[i].predicted) for i, _ in texts(docs)]
+    for r in quality.calibration(quality.score(docs, s), labels).collect():
+        mine = [b for b in both if b[0] == r.held_out]
+        assert r.n == len(mine) and r.brier == pytest.approx(np.mean([(x - y) ** 2 for _, x, y, _ in mine])) and r.accuracy == pytest.approx(np.mean([y == p for _, _, y, p in mine]))
+
+
 # 4
 def test_bpe(spark, docs, odd):
     from tokenizers import Tokenizer
@@ -224,6 +283,8 @@ def test_exact(docs, odd):
             assert all(r.keep_id == r.doc_id for r in got if r.kept)
             kept = exact.keep_first(df)
             assert kept.columns == df.columns and kept.count() == len(groups)
+            every = exact.classes(df, block_bytes=block, name_all=True).drop("copy")
+            assert Counter(map(tuple, every.collect())) == Counter(map(tuple, exact.classes(df, block_bytes=block).drop("copy").collect()))
     assert exact.classes(odd.limit(0)).count() == 0
 
 
@@ -261,6 +322,11 @@ def test_packing(docs, odd):
     assert packing.pack_documents(odd.limit(0)).count() == 0
 
 
+def test_other_tokenizers_are_refused():
+    with pytest.raises(ValueError, match="one by one"):
+        packing.WordTokens(tokenizer_path("byte_bpe_50k.json"))
+
+
 def test_best_fit():
     assert packing.best_fit([5, 3, 7, 2], 10) == [[2, 1], [0, 3]]
 
@@ -321,6 +387,27 @@ def test_secrets(spark, docs, odd):
     assert red[27] == "[SECRET]" and secrets.scan(more.limit(0)).count() == 0
 
 
+def test_owners_and_repositories(spark):
+    value = "ABCdef0123456789xyzXYZ"
+    rows = [(1, value, "a", f"l{k}") for k in range(9)] + [(2, value[::-1], s, f"l{k}") for s in "ab" for k in range(3)] + [(3, value.lower() + "Q", s, "x") for s in "ab"]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, lang string")
+    got = {r.doc_id: r for r in secrets.scan(df).collect()}
+    assert (got[1].n_live, got[1].most_owners, got[1].most_repos) == (1, 1, 9)  # one owner's own, however often
+    assert got[2].spans == "" and got[3].n_live == 1 and (got[3].most_owners, got[3].most_repos) == (2, 2)
+
+
+def test_very_many_matches(spark):
+    import time
+
+    text = " ".join(f"{i:016x}" for i in range(40_000)) + " é password=abcdefghijklmnop"
+    df = spark.createDataFrame([(1, text, "a", "en")], "doc_id long, text string, source string, lang string")
+    t = time.time()
+    r = secrets.scan(df).first()
+    assert (r.n_hex, r.n_assign) == (40_000, 1) and r.spans.endswith(f"assign:{len(text) - 25}:{len(text)}")
+    clean = secrets.redact(df).first().text
+    assert clean == " ".join(["[SECRET]"] * 40_000) + " é [SECRET]" and time.time() - t < 60
+
+
 def test_secrets_run_no_python(docs):
     plan = secrets.scan(docs)._jdf.queryExecution().toString() + secrets.candidates(docs)._jdf.queryExecution().toString()
     assert not re.search("Python|Pandas|Arrow", plan)
