@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from .discover import discover, facts_of, keysets_of
 from .flatten import fold_arrow
+from .validate import COLUMNS, _split
 
 #: Distinct key sets of one location that the entity splitter takes.
 MAX_KEYSETS = 20_000
@@ -23,6 +24,20 @@ def type_fusion(docs: DataFrame, equivalence: str = "kind", counts: bool = True)
     return rows if counts else rows.select("typed_path", "kind")
 
 
+def fusion_rules(docs: DataFrame, counts: bool = True) -> DataFrame:
+    """The type-fusion schema as a validator's rows. counts: attributes counted as often as their object are required, the
+    others optional, which is what counting types tells."""
+    nodes = discover(docs, "minimum").nodes
+    rows = nodes.select("typed_path", "parent_typed_path", "step", "kind", "n")
+    if counts:
+        each = rows.groupBy(F.col("parent_typed_path").alias("_p"), F.col("step").alias("_s")).agg(F.sum("n").alias("_n"))
+        full = each.join(rows.where("kind = 'object'").select(F.col("typed_path").alias("_p"), "n"), "_p").where("_n = n").groupBy("_p").agg(F.array_sort(F.collect_list("_s")).alias("_steps"))
+        name = lambda s: F.when(s.startswith('."'), F.from_json(F.concat(F.lit("["), F.substring(s, F.lit(2), F.char_length(s)), F.lit("]")), "array<string>")[0]).otherwise(F.substring(s, F.lit(2), F.char_length(s)))
+        rows = rows.join(full.select(F.col("_p").alias("typed_path"), F.transform("_steps", name).alias("required")), "typed_path", "left")
+    kinds = dict(rows.dtypes)
+    return rows.select(*[(F.col(n) if n in kinds else F.lit(None)).cast(t).alias(n) for n, t in (c.strip().split(" ", 1) for c in _split(COLUMNS))])
+
+
 def entity_types(docs: DataFrame) -> list[dict]:
     """Record types of each object location: typed_path, required and properties of each type.
 

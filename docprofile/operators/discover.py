@@ -11,6 +11,7 @@ from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.texts import bucket
 from .flatten import MAX_DEPTH, Equivalence, flatten, flatten_arrow, parse_documents, tags_of
 from .fold import FOLDED, fold_states
 from .monoids import Choice, choose
@@ -210,8 +211,8 @@ def bloom_rates(p: Profile) -> DataFrame:
 
 
 def sampled(docs: DataFrame, fraction: float, seed: int = 0) -> DataFrame:
-    """A hash filter on doc_id below the parse, so documents left out are never parsed."""
-    return docs.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1_000_000)) < int(fraction * 1_000_000))
+    """A hash filter on doc_id below the parse, so documents left out are never parsed. Any engine with md5 draws the same."""
+    return docs.where(bucket(F.col("doc_id"), seed, 1_000_000) < int(fraction * 1_000_000))
 
 
 def discover(docs: DataFrame, monoids="simple", equivalence: Equivalence = "kind", engine: str = "arrow", tuples: bool = False, tree_fanin: int | None = None, sample_fraction: float | None = None, seed: int = 0, max_depth: int = MAX_DEPTH, examples_engine: str = "slots", scale: int = 0, facts: DataFrame | None = None, bloom_expected: int | str = BLOOM_EXPECTED, bloom_fpp: float = BLOOM_FPP) -> Profile:

@@ -5,7 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.texts import key_step
 from .discover import Profile, discover, facts_of
+from .flatten import canonical_text, parse_documents
 
 
 def widen_bounds(p: Profile, mass: float = 0.05) -> DataFrame:
@@ -17,19 +19,28 @@ def widen_bounds(p: Profile, mass: float = 0.05) -> DataFrame:
     return rows.select("typed_path", "number_max", F.when(at_top / F.col("n") > mass, F.col("number_max")).otherwise(limit).alias("widened"))
 
 
-def functional_dependencies(docs: DataFrame, most: int = 50) -> DataFrame:
-    """a, b of top-level scalar attributes where a's value fixes b's: as many distinct a as distinct (a, b), by sketches."""
-    f = facts_of(docs, ("text",)).where("parent_typed_path = '$<object>' and text is not null").select("doc_id", "path", "text")
-    paths = [r.path for r in f.select("path").distinct().orderBy("path").limit(most).collect()]
-    wide = f.groupBy("doc_id").pivot("path", paths).agg(F.first("text")) if paths else f.limit(0)
-    pairs = [(a, b) for a in paths for b in paths if a != b]
-    if not pairs:
-        return docs.sparkSession.createDataFrame([], "a string, b string")
-    col = lambda c: F.col(f"`{c}`")
-    d = wide.agg(*[F.approx_count_distinct(col(a), 0.01).alias(f"d{i}") for i, a in enumerate(paths)], *[F.approx_count_distinct(F.when(col(a).isNotNull() & col(b).isNotNull(), F.hash(col(a), col(b)).cast("long") * 2**31 + F.hash(col(b), col(a))), 0.01).alias(f"p{k}") for k, (a, b) in enumerate(pairs)])
-    at = {a: i for i, a in enumerate(paths)}
-    rows = F.array(*[F.struct(F.lit(a).alias("a"), F.lit(b).alias("b"), F.col(f"d{at[a]}").alias("one"), F.col(f"p{k}").alias("two")) for k, (a, b) in enumerate(pairs)])
-    return d.select(F.explode(rows).alias("r")).select("r.*").where(F.abs(F.col("two") - F.col("one")) <= 0.03 * F.col("one")).select("a", "b")
+def _scalars(docs: DataFrame) -> DataFrame:
+    """doc_id, all array<struct<path, h>>: the top-level scalar attributes of each document, with hashes of their values. No shuffle."""
+    good, _ = parse_documents(docs)
+    leaf = F.schema_of_variant
+    entries = F.filter(F.map_entries(F.try_variant_get("doc", "$", "map<string,variant>")), lambda e: ~F.is_variant_null(e["value"]) & ~leaf(e["value"]).startswith("OBJECT") & ~leaf(e["value"]).startswith("ARRAY"))
+    return good.select("doc_id", F.transform(entries, lambda e: F.struct(F.concat(F.lit("$"), key_step(e["key"])).alias("path"), F.xxhash64(canonical_text(e["value"])).alias("h"))).alias("all"))
+
+
+def functional_dependencies(docs: DataFrame, exact: bool = True, error: float = 0.01) -> DataFrame:
+    """a, b of top-level scalar attributes where a's value fixes b's, over the documents that have both.
+
+    Sketches first: as many distinct a as distinct (a, b), for all pairs at once, which are rows and not columns; then, if
+    exact, the pairs that are left are tested value by value. The work grows with the pairs that documents hold.
+    """
+    rows = _scalars(docs)
+    pairs = rows.select(F.explode("all").alias("a"), "all").select("a", F.explode("all").alias("b")).where("a.path <> b.path").select(F.col("a.path").alias("a"), F.col("b.path").alias("b"), F.col("a.h").alias("ha"), F.col("b.h").alias("hb"))
+    likely = pairs.groupBy("a", "b").agg(F.approx_count_distinct("ha", error).alias("one"), F.approx_count_distinct(F.xxhash64("ha", "hb"), error).alias("two")).where(F.abs(F.col("two") - F.col("one")) <= 3 * error * F.col("one")).select("a", "b")
+    if not exact:
+        return likely
+    # of each value of a whether its b's are one; equal values are combined before they are shuffled
+    per = pairs.join(likely, ["a", "b"], "left_semi").groupBy("a", "b", "ha").agg((F.min("hb") == F.max("hb")).alias("fixed"))
+    return per.groupBy("a", "b").agg(F.bool_and("fixed").alias("fixed")).where("fixed").select("a", "b")
 
 
 def variants_over_time(docs: DataFrame, window_of, equivalence: str = "label") -> DataFrame:

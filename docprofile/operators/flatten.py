@@ -64,7 +64,7 @@ def _named(nodes: Column, equivalence: Equivalence) -> Column:
     return F.transform(nodes, one)
 
 
-def _canonical(v: Column) -> Column:
+def canonical_text(v: Column) -> Column:
     """Text of a value in which equal numbers are equal."""
     leaf = F.schema_of_variant(v)
     number = leaf.startswith("BIGINT") | leaf.startswith("DECIMAL") | (leaf == "DOUBLE") | (leaf == "FLOAT")
@@ -100,10 +100,10 @@ def flatten(docs: DataFrame, equivalence: Equivalence = "kind", values: tuple[st
                 "num": num,
                 "exact": F.when(n["kind"] == "number", F.try_variant_get(n["v"], "$", "decimal(38,9)")),
                 "str": F.when(n["kind"] == "string", F.try_variant_get(n["v"], "$", "string")),
-                "text": F.when(~n["kind"].isin("object", "array"), _canonical(n["v"])),
+                "text": F.when(~n["kind"].isin("object", "array"), canonical_text(n["v"])),
                 "keys": F.array_sort(F.transform(n["ents"], lambda e: e["key"])),
                 "arr_len": F.when(n["kind"] == "array", F.size(n["arr"])),
-                "uniq": F.when(n["kind"] == "array", F.size(F.array_distinct(F.transform(n["arr"], _canonical))) == F.size(n["arr"])),
+                "uniq": F.when(n["kind"] == "array", F.size(F.array_distinct(F.transform(n["arr"], canonical_text))) == F.size(n["arr"])),
             }
             more = F.coalesce(F.size(n["ents"]), F.lit(0)) + F.coalesce(F.size(n["arr"]), F.lit(0)) if last else F.lit(0)
             return F.struct(n["path"].alias("path"), n["tp"].alias("typed_path"), n["ptp"].alias("parent_typed_path"), n["step"].alias("step"), n["kind"].alias("kind"), n["tag"].alias("tag"), (more > 0).alias("truncated"), *[fields[k].alias(k) for k in values])

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 import time
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.texts import bucket
 from . import baselines
-from .discover import Profile, discover, facts_of
+from .discover import Profile, bloom_contains, bloom_rates, discover, facts_of
 from .generate import generate
 from .validate import RULES, validate
 
@@ -73,12 +73,12 @@ def acceptance(docs: DataFrame, monoids="simple", share: int = 90, seed: int = 0
 
 
 def baseline_report(docs: DataFrame, truth: DataFrame, n: int = 1000, seed: int = 0) -> DataFrame:
-    """variant, accuracy_sampled, accuracy_random, overfit of the three baseline schemas."""
+    """variant, accuracy_sampled, accuracy_random, overfit of the baseline schemas."""
     train, test = split(docs, 90, seed)
     p = discover(docs, ["examples"])
     bad = {g: reject_filter(generate(p, n, g, seed), truth) for g in ("sampled", "random")}
     out = None
-    for name, make in (("type fusion", lambda d: (lambda x: validate(x, discover(d, "minimum")))), ("entity split", lambda d: baselines.entity_validator(d, closed=False)), ("entity split closed", lambda d: baselines.entity_validator(d, closed=True))):
+    for name, make in (("type fusion", lambda d: (lambda x: validate(x, baselines.fusion_rules(d, False)))), ("type fusion with counts", lambda d: (lambda x: validate(x, baselines.fusion_rules(d)))), ("entity split", lambda d: baselines.entity_validator(d, closed=False)), ("entity split closed", lambda d: baselines.entity_validator(d, closed=True))):
         check = make(train)
         cols = {"accuracy_sampled": check(bad["sampled"]), "accuracy_random": check(bad["random"]), "overfit": check(test)}
         row = None
@@ -103,7 +103,9 @@ def seconds(df: DataFrame) -> float:
 
 
 def profile_seconds(p: Profile) -> float:
-    return sum(seconds(d) for d in (p.nodes, p.keysets, p.examples, p.divisors, p.bloom) if d is not None)
+    out = sum(seconds(d) for d in (p.nodes, p.keysets, p.examples, p.divisors, p.bloom) if d is not None)
+    p.release()
+    return out
 
 
 def bench_batch(docs: DataFrame, presets=("minimum", "simple", "all"), shares_=(1, 50, 90), seed: int = 0) -> list[dict]:
@@ -114,6 +116,12 @@ def bench_batch(docs: DataFrame, presets=("minimum", "simple", "all"), shares_=(
         for preset in presets:
             out.append({"share": share, "method": preset, "seconds": profile_seconds(discover(train, preset))})
         out.append({"share": share, "method": "type fusion", "seconds": seconds(baselines.type_fusion(train))})
+        t = time.time()
+        try:
+            baselines.entity_types(train)
+            out.append({"share": share, "method": "entity split", "seconds": time.time() - t})
+        except ValueError:  # over its bound of key sets
+            out.append({"share": share, "method": "entity split", "seconds": None})
     return out
 
 
@@ -122,9 +130,25 @@ def linearity(rows: DataFrame) -> DataFrame:
     return rows.groupBy("method").agg(F.regr_slope("seconds", "share").alias("slope"), F.regr_r2("seconds", "share").alias("r2"))
 
 
-def sketch_error(docs: DataFrame, equivalence="kind") -> DataFrame:
-    """typed_path, exact, estimate, error: HyperLogLog against the exact number of distinct values."""
-    facts = facts_of(docs, ("text",), equivalence).where("text is not null")
-    each = facts.groupBy("typed_path").agg(F.count_distinct("text").alias("exact"), F.hll_sketch_estimate(F.hll_sketch_agg("text", F.lit(12))).alias("estimate"))
-    return each.withColumn("error", F.abs(F.col("estimate") - F.col("exact")) / F.col("exact"))
-
+def sketch_error(docs: DataFrame, equivalence="kind", bloom_expected: int = 10_000, fpp: float = 0.01, asked: int = 20_000) -> DataFrame:
+    """sketch, typed_path, exact, estimate, error of each sketch: HyperLogLog against the number of distinct values; a
+    membership filter's rate by its bits against that of `asked` texts that no document holds; a histogram's running
+    shares against those of all values, at its worst bin."""
+    p = discover(docs, ["hll", "histogram", "bloom"], equivalence, bloom_expected=bloom_expected, bloom_fpp=fpp)
+    facts = facts_of(docs, ("text", "num"), equivalence)
+    exact = facts.where("text is not null and kind in ('number', 'string')").groupBy("typed_path").agg(F.count_distinct("text").cast("double").alias("exact"))
+    hll = exact.join(p.finished().select("typed_path", F.col("distinct").cast("double").alias("estimate")), "typed_path")
+    hll = hll.select(F.lit("hll").alias("sketch"), "typed_path", "exact", "estimate", (F.abs(F.col("estimate") - F.col("exact")) / F.col("exact")).alias("error"))
+    strange = docs.sparkSession.range(asked).select(F.concat(F.lit("no such value "), "id").alias("text"))
+    paths = p.bloom.select("typed_path").distinct()
+    found = bloom_contains(p.bloom, paths.crossJoin(strange), bloom_expected, fpp)  # paths, schema-sized, times `asked`
+    rate = found.groupBy("typed_path").agg(F.avg(F.col("member").cast("double")).alias("exact")).join(bloom_rates(p).select("typed_path", F.col("rate").alias("estimate")), "typed_path")
+    rate = rate.select(F.lit("bloom").alias("sketch"), "typed_path", "exact", "estimate", F.abs(F.col("estimate") - F.col("exact")).alias("error"))
+    bins = p.nodes.where("bins is not null").select("typed_path", F.posexplode("bins").alias("k", "b"), F.aggregate("bins", F.lit(0.0), lambda a, b: a + b["y"]).alias("all"))
+    upto = Window.partitionBy("typed_path").orderBy("k")  # at most 100 bins a path
+    bins = bins.select("typed_path", F.col("b.x").alias("x"), ((F.sum("b.y").over(upto) - F.col("b.y") / 2) / F.col("all")).alias("share"))
+    values = facts.where("num is not null").groupBy("typed_path", "num").agg(F.count(F.lit(1)).cast("double").alias("c"))
+    below = bins.join(values, "typed_path").groupBy("typed_path", "x", "share").agg((F.sum(F.when(F.col("num") < F.col("x"), F.col("c")).when(F.col("num") == F.col("x"), F.col("c") / 2).otherwise(0.0)) / F.sum("c")).alias("true"))
+    cdf = below.groupBy("typed_path").agg(F.max(F.struct(F.abs(F.col("share") - F.col("true")).alias("e"), "true", "share")).alias("w"))
+    cdf = cdf.select(F.lit("histogram").alias("sketch"), "typed_path", F.col("w.true").alias("exact"), F.col("w.share").alias("estimate"), F.col("w.e").alias("error"))
+    return hll.unionByName(rate).unionByName(cdf)

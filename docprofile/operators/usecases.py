@@ -130,9 +130,9 @@ def structural_outliers(p: Profile, eps: float = 0.01) -> DataFrame:
 
 
 def document_outliers(docs: DataFrame, p: Profile, z: float = 3.0) -> DataFrame:
-    """doc_id, outliers: the outlying values of each document, at most 1,000 listed of one document."""
+    """doc_id, outliers, n: the outlying values of each document, as many as it has."""
     each = value_outliers(docs, p, z)
-    return each.groupBy("doc_id").agg(F.slice(F.sort_array(F.collect_list(F.struct("typed_path", "value"))), 1, 1000).alias("outliers"), F.count(F.lit(1)).alias("n"))
+    return each.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("typed_path", "value"))).alias("outliers"), F.count(F.lit(1)).alias("n"))
 
 
 def outlier_score(docs: DataFrame, p: Profile, z: float = 3.0, weight: float = 1.0) -> DataFrame:

@@ -166,10 +166,28 @@ def merge_profiles(spark, d):
     return D.merge_profiles(*halves).nodes.select("typed_path", "path", "kind", "n", "number_min", "number_max")
 
 
-@query(facts(EVENTS + " where ('0x' || substr(md5(event_id || ':0'), 1, 8))::bigint % 100 < 10") + MINIMAL)
+@query(facts(EVENTS + " where ('0x' || substr(md5(event_id || ':0'), 1, 8))::bigint % 1000000 < 100000") + MINIMAL)
 def sampled_discovery(spark, d):
-    docs = W.docs_events(spark, d)
-    return _minimal(discover(docs.where(bucket(F.col("doc_id"), 0) < 10), "minimum"))
+    return _minimal(discover(W.docs_events(spark, d), "minimum", sample_fraction=0.1))
+
+
+DEEP = 13
+
+
+@query(f"""with e as (select count(*) as n, sum(event_id % 2)::bigint as odd from events)
+select '$' || repeat('.k', i::int) as path, case when i = {DEEP} then 'number' else 'object' end as kind, case when i = {DEEP} then '' when i % 2 = 0 then 'even' else 'odd' end as level, n from e, range({DEEP + 1}) t(i)""")
+def user_equivalence_deep(spark, d):
+    open_, close = "".join('{"k":' for _ in range(DEEP)), "}" * DEEP
+    docs = table(spark, d, "events").select(F.col("event_id").alias("doc_id"), F.concat(F.lit(open_), F.col("event_id").cast("string"), F.lit(close)).alias("json"))
+    n = discover(docs, "minimum", lambda kind, keys: F.when(kind == "object", F.array_join(keys, "+"))).nodes
+    depth = F.size(F.split("path", r"\.")) - 1
+    return n.where("kind = 'number' or tag = 'object#k'").select("path", "kind", F.when(F.col("kind") == "number", "").when(depth % 2 == 0, "even").otherwise("odd").alias("level"), "n")
+
+
+@query(facts(EVENTS) + MINIMAL)
+def discover_string_ids(spark, d):
+    docs = W.docs_events(spark, d).select(F.when(F.col("doc_id") % 3 > 0, F.concat(F.lit("e-"), F.col("doc_id"))).alias("doc_id"), "json")
+    return _minimal(discover(docs, "simple"))
 
 
 @query(facts(EVENTS) + "select event_type, typed_path, count(*) as n from node join events on doc_id = event_id group by cube (event_type, typed_path)")
@@ -262,6 +280,16 @@ def stats_moments_merged(spark, d):
     return _stats(D.merge_all([discover(docs.where(F.col("doc_id") % 3 == k), ["stats"]) for k in range(3)]))
 
 
+SECONDS = """select event_id as doc_id, ('{"t":' || floor(epoch(ts))::bigint || '}')::json as j from events"""
+
+
+@query(facts(SECONDS) + STATS_SQL.replace("round(avg(num), 4) as mean, round(stddev_pop(num), 4)", "round(avg(num), 1) as mean, round(stddev_pop(num), 1)"))
+def stats_large_offset(spark, d):
+    docs = table(spark, d, "events").select(F.col("event_id").alias("doc_id"), F.concat(F.lit('{"t":'), F.unix_timestamp(F.col("ts").cast("timestamp")).cast("string"), F.lit("}")).alias("json")).repartition(7)
+    got = discover(docs, ["stats"]).finished().where("kind = 'number'")
+    return got.select("typed_path", "n", *[F.round(c, k).alias(c) for c, k in (("mean", 1), ("stddev", 1), ("skewness", 4), ("kurtosis", 4))])
+
+
 @query("""with v as (unpivot (select l_orderkey::double as l_orderkey, l_partkey::double as l_partkey, l_suppkey::double as l_suppkey, l_linenumber::double as l_linenumber, l_quantity, l_extendedprice, l_discount, l_tax, l_linenumber * 6.0 as qty_pack from lineitem) on columns(*) into name k value x)
 select '$<object>.' || k || '<number>' as typed_path, case when bool_and(x = floor(x)) then list_reduce(list(distinct x::bigint), lambda a, b: gcd(a, b)) end as divisor, bool_and(x = floor(x)) as integers from v group by k""")
 def multiple_of(spark, d):
@@ -295,7 +323,8 @@ def dependencies_mutual(spark, d):
     return D.dependencies(discover(docs_labelled(spark, d), ["dependencies"]).keysets, "mutual")
 
 
-@query("select '$<object>' as typed_path, 'quality,toxic' as keys")
+@query(facts(LABELLED, then=DEPENDS) + """, m as (select p.typed_path, a, b from pairs p join c on c.typed_path = p.typed_path and c.key = a join c c2 on c2.typed_path = p.typed_path and c2.key = b join o on o.typed_path = p.typed_path where together = c.n and c.n = c2.n and c.n < objects)
+select typed_path, string_agg(a, ',' order by a) as keys from (select typed_path, a, least(a, min(b)) as g from m group by typed_path, a) group by typed_path, g""")
 def attribute_groups(spark, d):
     got = D.attribute_groups(discover(docs_labelled(spark, d), ["dependencies"]).keysets)
     return spark.createDataFrame([(p, ",".join(k)) for p, k in got], "typed_path string, keys string")
@@ -358,10 +387,23 @@ def bloom_subset(spark, d):
     return portable.bloom_subset(portable.bloom_bits(facts_of(docs_labelled(spark, d), ("text",))))
 
 
-@query(facts(LABELLED) + "select distinct typed_path, " + NUMBER_TEXT + " as text, true as member from node where typed_path = '$<object>.doc_id<number>'")
+@query(facts(LABELLED) + ", v as (select distinct typed_path, " + NUMBER_TEXT + """ as text from node where typed_path = '$<object>.doc_id<number>')
+select typed_path, text, true as member from v union all select typed_path, 'no ' || text, false from v""")
 def bloom_membership(spark, d):
-    f = facts_of(docs_labelled(spark, d), ("text",)).where("typed_path = '$<object>.doc_id<number>'")
-    return D.bloom_contains(D.bloom_of(f), f.select("typed_path", "text").distinct())
+    # the filter has room for a thousand times these values, so that a false member isn't to be expected
+    p = discover(docs_labelled(spark, d), ["bloom"], bloom_expected=10_000_000)
+    v = facts_of(docs_labelled(spark, d), ("text",)).where("typed_path = '$<object>.doc_id<number>'").select("typed_path", "text").distinct()
+    return D.bloom_contains(p.bloom, v.unionByName(v.withColumn("text", F.concat(F.lit("no "), "text"))), 10_000_000)
+
+
+@query(facts(LABELLED, then=BLOOM) + "select typed_path, true as within from v group by typed_path")
+def bloom_rate(spark, d):
+    """The measured rate of false members is at most twice the one that was asked for."""
+    docs = docs_labelled(spark, d)
+    p = discover(docs, ["bloom"], bloom_expected="estimate")
+    asked = spark.range(20_000).select(F.concat(F.lit("no such value "), "id").alias("text"))
+    found = D.bloom_contains(p.bloom, p.bloom.select("typed_path").distinct().crossJoin(asked), p.options["bloom_expected"])  # paths of a schema
+    return found.groupBy("typed_path").agg((F.avg(F.col("member").cast("double")) <= 2 * D.BLOOM_FPP).alias("within"))
 
 
 @query()
@@ -495,7 +537,7 @@ def structure_graph_full(spark, d):
     return baselines.structure_graph(W.docs_threads(spark, d), reduced=False)[0].withColumn("documents", F.array_join("documents", ","))
 
 
-@query("select '$<object>' as typed_path, 'doc_id,lang' as required, 'doc_id,lang,quality,toxic' as properties")
+@query(facts(LABELLED, then=DEPENDS) + "select typed_path, string_agg(key, ',' order by key) filter (n = objects) as required, string_agg(key, ',' order by key) as properties from c join o using (typed_path) group by typed_path")
 def entity_split(spark, d):
     e = baselines.entity_split(docs_labelled(spark, d))
     return e.select("typed_path", F.array_join("required", ",").alias("required"), F.array_join("properties", ",").alias("properties"))
@@ -512,6 +554,59 @@ def adhoc_presence(spark, d):
     return baselines.adhoc(W.docs_events(spark, d), {"user": "$.user_id", "kind": "$.event_type"})
 
 
+PROPS_DOCS = """select event_id as doc_id, props::json as j from events"""
+
+
+def _preset(name: str):
+    """A query of what a preset says of a collection."""
+    def put(spark, d):
+        p = discover(W.docs_props(spark, d), name).finished()
+        more = [F.round(c, 6).alias(c) for c in ("mean", "stddev")] if name == "all" else []
+        return p.select("typed_path", "n", "number_min", "number_max", "integers", "divisor", *more)
+
+    put.__name__ = f"preset_{name}"
+    return put
+
+
+# --- the collections ---
+def _flat(source: str, columns: dict[str, str], of: str = "$<object>") -> str:
+    return " union all ".join([f"select '{of}' as typed_path, count(*) as n from {source}", *[f"select '{of}.{c}<{kind}>', count({c}) from {source}" for c, kind in columns.items()]])
+
+
+def _counts(name: str):
+    """A query of a collection's typed paths and counts."""
+    def put(spark, d):
+        return discover(W.WORKLOADS[name](spark, d), "minimum").nodes.select("typed_path", "n")
+
+    put.__name__ = f"collection_{name}"
+    return put
+
+
+WORDS = "(select coalesce(sum(len(list_filter(regexp_split_to_array(lower(text), '[^\\p{L}]+')[1:5], lambda w: w <> ''))), 0)::bigint from documents)"
+query("select typed_path, n from (" + " union all ".join((
+    _flat("documents", {"doc_id": "number", "lang": "string", "source": "string", "n_chars": "number"}),
+    "select '$<object>.keywords<array>', count(text) from documents", f"select '$<object>.keywords<array>[*]<string>', {WORDS}",
+    _flat("(select l.* from labels l join documents d using (doc_id))", {"quality": "number", "toxic": "number"}, "$<object>.labels<object>"))) + ") where n > 0")(_counts("articles"))
+query("select typed_path, n from (" + " union all ".join((
+    _flat("supplier", {"s_suppkey": "number", "s_name": "string", "s_acctbal": "number"}), _flat("(select n_name as nation, r_name as region from supplier join nation on s_nationkey = n_nationkey join region on n_regionkey = r_regionkey)", {"nation": "string", "region": "string"}, "$<object>.place<object>"),
+    "select '$<object>.parts<array>', count(*) from supplier", "select '$<object>.parts<array>[*]<number>', sum(least(20, k))::bigint from (select count(distinct l_partkey) as k from lineitem join supplier on l_suppkey = s_suppkey group by l_suppkey)")) + ") where n > 0")(_counts("suppliers"))
+query("""with h as (select distinct user_id, strftime(ts, '%a') || '-' || hour(ts) as h from events) select '$<object>' as typed_path, count(distinct coalesce(user_id, -1)) as n from h union all select '$<object>.user_id<number>', count(distinct user_id) from h
+union all select '$<object>.hours<object>', count(distinct coalesce(user_id, -1)) from h union all select '$<object>.hours<object>."' || h || '"<number>', count(*) from h group by h""")(_counts("checkins"))
+query(_flat("part", {"p_partkey": "number", "p_name": "string", "p_brand": "string", "p_type": "string", "p_size": "number", "p_retailprice": "number"}))(_counts("parts"))
+query(_flat("conversations", {"conv_id": "number", "turn": "number", "role": "string", "text": "string"}))(_counts("turns"))
+query("select typed_path, n from (" + " union all ".join((
+    _flat("(select *, c_mktsegment as segment, 0 as n_orders from customer)", {"c_custkey": "number", "c_name": "string", "c_acctbal": "number", "segment": "string", "n_orders": "number"}),
+    "select '$<object>.orders<array>', count(*) from customer", "select '$<object>.orders<array>[*]<number>', sum(least(1000, k))::bigint from (select count(*) as k from orders join customer on o_custkey = c_custkey group by o_custkey)")) + ") where n > 0")(_counts("customers"))
+query("select typed_path, n from (" + _flat("(select page_id, url, length(html) as html_len, nullif(regexp_extract(html, '<html lang=\"([a-z]+)\"', 1), '') as lang from pages)", {"page_id": "number", "url": "string", "html_len": "number", "lang": "string"}) + ") where n > 0")(_counts("pages"))
+query(_flat("region", {"r_regionkey": "number", "r_name": "string"}))(_counts("regions"))
+query(_flat("nation", {"n_nationkey": "number", "n_name": "string", "n_regionkey": "number"}))(_counts("nations"))
+query(_flat("benchmark", {"item_id": "number", "text": "string"}))(_counts("benchmark"))
+query(facts(PROPS_DOCS) + """select typed_path, count(*) as n, min(num) as number_min, max(num) as number_max, bool_and(num = floor(num)) as integers, case when kind = 'number' then list_reduce(list(distinct num::bigint), lambda a, b: gcd(a, b)) end as divisor, count(distinct num) filter (kind = 'number') as values
+from node group by typed_path, kind""".replace(", count(distinct num) filter (kind = 'number') as values", ""))(_preset("simple"))
+query(facts(PROPS_DOCS) + """select typed_path, count(*) as n, min(num) as number_min, max(num) as number_max, bool_and(num = floor(num)) as integers, case when kind = 'number' then list_reduce(list(distinct num::bigint), lambda a, b: gcd(a, b)) end as divisor,
+round(avg(num), 6) as mean, round(stddev_pop(num), 6) as stddev from node group by typed_path, kind""")(_preset("all"))
+
+
 # --- uses ---
 @query("""select 'l_partkey in p_partkey' as name, count(*) as missing from (select distinct l_partkey from lineitem) where l_partkey not in (select p_partkey from part)
 union all select 'o_orderkey in l_orderkey', count(*) from orders where o_orderkey not in (select l_orderkey from lineitem)
@@ -575,16 +670,19 @@ def ks_histogram(spark, d):
     return usecases.ks_test(*parts, "$.payload.amount")
 
 
-@query()
+OUTLYING = "(select doc_id, typed_path, num, abs(num - m) / s as dev from (select *, avg(num) over w as m, stddev_pop(num) over w as s from node where kind = 'number' window w as (partition by typed_path)) where s > 0 and abs(num - m) / s > 2)"
+
+
+@query(facts(EVENTS) + "select doc_id, count(*) as n, string_agg(typed_path, ';' order by typed_path, num) as paths from " + OUTLYING + " group by doc_id")
 def document_outliers(spark, d):
     docs = W.docs_events(spark, d)
-    return usecases.document_outliers(docs, discover(docs, ["stats"]), 2.0)
+    return usecases.document_outliers(docs, discover(docs, ["stats"]), 2.0).select("doc_id", "n", F.array_join(F.transform("outliers", lambda o: o["typed_path"]), ";").alias("paths"))
 
 
-@query()
+@query(facts(EVENTS) + "select doc_id, round(sum(dev - 2), 5) as score from " + OUTLYING + " group by doc_id")
 def document_outlier_score(spark, d):
     docs = W.docs_events(spark, d)
-    return usecases.outlier_score(docs, discover(docs, ["stats"]), 2.0)
+    return usecases.outlier_score(docs, discover(docs, ["stats"]), 2.0).select("doc_id", F.round("score", 5).alias("score"))
 
 
 @query()
@@ -622,6 +720,21 @@ def stream_profile(spark, d):
     return spark.table(name).select("typed_path", "path", "kind", "n")
 
 
+@query(facts(PROPS) + """, k as (select typed_path, any_value(kind) as kind, count(*) as n, min(num) as number_min, max(num) as number_max, count(distinct num) as values, round(avg(num), 6) as mean, round(stddev_pop(num), 6) as stddev from node group by typed_path)
+select typed_path, kind, n, number_min, number_max, mean, stddev, case when kind = 'number' then 'integers' end as what from k""")
+def stream_all(spark, d):
+    """Every monoid over a feed, folded batch by batch."""
+    fold = S.Fold(spark, f"{_home(spark)}/fold-{uuid.uuid4().hex}", "all")
+    S.fold_stream(_events_stream(spark, d).select("doc_id", "json"), fold).awaitTermination()
+    p = fold.load().finished()
+    return p.select("typed_path", "kind", "n", "number_min", "number_max", F.round("mean", 6).alias("mean"), F.round("stddev", 6).alias("stddev"), F.when(F.col("integers"), "integers").alias("what"))
+
+
+def _home(spark) -> str:
+    """The folder that the session names for its tables."""
+    return (spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")).rstrip("/")
+
+
 @query("""select strftime(date_trunc('day', ts), '%Y-%m-%d') as day, count(*) as n from events group by 1""")
 def stream_windows(spark, d):
     name = f"windows_{uuid.uuid4().hex}"
@@ -631,9 +744,13 @@ def stream_windows(spark, d):
 
 
 # --- extensions ---
-@query()
+PART_COLUMNS = ("p_partkey", "p_name", "p_brand", "p_type", "p_size", "p_retailprice")
+FD_SQL = " union all ".join(f"select '$.{a}' as a, '$.{b}' as b where (select coalesce(max(k), 0) from (select count(distinct {b}) as k from part where {b} is not null group by {a})) = 1" for a in PART_COLUMNS for b in PART_COLUMNS if a != b)
+
+
+@query(FD_SQL)
 def functional_dependencies(spark, d):
-    return extensions.functional_dependencies(W.docs_nations(spark, d))
+    return extensions.functional_dependencies(W.docs_parts(spark, d))
 
 
 @query("select event_type, count(distinct typed_path) as variants from (" + facts(EVENTS, LABEL) + " select doc_id, typed_path from node where step = '$') join events on doc_id = event_id group by event_type")
@@ -649,9 +766,17 @@ def pattern_skeletons(spark, d):
     return extensions.skeletons(docs_names(spark, d))
 
 
-@query()
+ROUTES = """select s_suppkey as doc_id, ('{"s_suppkey":' || s_suppkey || ',"from":{"key":' || s_nationkey || ',"name":' || to_json(n_name)::varchar || '},"to":{"key":' || n_regionkey || ',"name":' || to_json(s_name)::varchar || '}}')::json as j from supplier join nation on s_nationkey = n_nationkey"""
+
+
+@query(facts(ROUTES) + """select shape, array_to_string(list_sort(list(parent_typed_path)), ';') as paths from (select parent_typed_path, array_to_string(list_sort(list(step || ':' || kind)), ',') as shape
+from (select distinct parent_typed_path, step, kind from node where parent_typed_path like '%<object>') group by parent_typed_path) group by shape having count(*) > 1""")
 def shared_definitions(spark, d):
-    return extensions.shared_definitions(discover(W.docs_threads(spark, d), "minimum"))
+    n = table(spark, d, "nation")
+    j = table(spark, d, "supplier").join(n, F.col("s_nationkey") == F.col("n_nationkey"))
+    place = lambda key, name: F.struct(F.col(key).alias("key"), F.col(name).alias("name"))
+    docs = j.select(F.col("s_suppkey").alias("doc_id"), F.to_json(F.struct("s_suppkey", place("s_nationkey", "n_name").alias("from"), place("n_regionkey", "s_name").alias("to"))).alias("json"))
+    return extensions.shared_definitions(discover(docs, "minimum")).select("shape", F.array_join("paths", ";").alias("paths"))
 
 
 @query("select '$<object>.by_brand<object>' as typed_path, count(distinct p_brand) as keys from lineitem join orders on l_orderkey = o_orderkey join part on l_partkey = p_partkey")
