@@ -124,7 +124,7 @@ def label_schema_variant_engine(spark, d):
 @query(facts(EVENTS) + """select case when kind = 'object' and path = '$' then '$<object#' || case when list_contains(keys, 'payload') then 'with' else 'without' end || '>' else path end as shape, count(*) as n
 from node where path = '$' group by all""")
 def user_equivalence(spark, d):
-    p = discover(W.docs_events(spark, d), "minimum", lambda kind, keys: F.when(kind == "object", F.when(F.array_contains(keys, "payload"), "with").otherwise("without")), engine="variant", max_depth=2)
+    p = discover(W.docs_events(spark, d), "minimum", lambda kind, keys: F.when(kind == "object", F.when(F.array_contains(keys, "payload"), "with").otherwise("without")))
     return p.nodes.where("path = '$'").select(F.col("typed_path").alias("shape"), "n")
 
 
