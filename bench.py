@@ -49,6 +49,7 @@ def main() -> None:
         t = time.time()
         f()
         out[name] = round(time.time() - t, 3)
+        print(name, out[name], file=sys.stderr, flush=True)
 
     for name in docs:
         n = docs[name].count()
@@ -66,6 +67,11 @@ def main() -> None:
         s, r = stream_seconds(spark, f"{home}/events", monoids)
         out[f"stream_{preset.replace(' ', '_')}"] = round(s, 3)
         streams[preset] = round(r)
+    fold = S.Fold(spark, f"{home}/fold", "all")
+    t = time.time()
+    S.fold_stream(spark.readStream.schema("doc_id long, json string").parquet(f"{home}/events"), fold).awaitTermination()
+    out["stream_all"] = round(time.time() - t, 3)
+    streams["all"] = round(docs["events"].count() / (time.time() - t))
     shares = []
     for k in (1, 50, 90):
         part, _ = measures.split(docs["lines"], k)
