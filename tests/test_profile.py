@@ -379,7 +379,7 @@ def test_validators_agree(spark, sf):
     for docs, equivalence in ((W.docs_manifests(spark, sf), "kind"), (W.docs_threads(spark, sf), "label")):
         train, test = measures.split(docs, 50)
         p = discover(train, measures.FULL, equivalence)
-        test = test.unionByName(rows(spark, [{"name": 3}, "{", {"conv_id": -1, "turns": [{"a": 1}, 2]}, [1, 1]]).select(F.col("doc_id") - 9, "json"))
+        test = test.unionByName(rows(spark, [{"name": 3}, "{", {"conv_id": -1, "turns": [{"a": 1}, 2]}, [1, 1]]).select((F.col("doc_id") - 9).alias("doc_id"), "json"))
         for closed in (True, False):
             by_join = validate_facts(test, facts_of(test, NEEDS, equivalence), schema_rows(p), closed).collect()
             narrow = {r.doc_id: r.rules for r in validate(test, p, closed).collect()}
