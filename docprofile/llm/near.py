@@ -10,9 +10,9 @@ such sets have one among their first n // 5 + 1. These prefixes are the only key
 the whole sets in integers, so no similar pair is missed and none is made up. The order is by hash, but shingles that
 stand in more than CROWD prefixes come last: a line that many texts share is a key only of texts of little else.
 
-A key that more than CROWD sets still share isn't listed pair by pair at once. Its sets are first compared with one of
-them, a few times over with another one; keys whose sets are then all in one component are done, and of the others only
-pairs of different components are listed and verified. That last step is exact too, and is as long as such pairs are many.
+A key that more than CROWD sets still share is never listed pair by pair. Its sets are first compared with one of them,
+and keys whose sets are then all in one component are done. The sets of the others are told by their differences from
+what most of the group hold, and looked up by these, level by level (crowd_pairs); that is exact, too.
 
 Defined cases: a shingle is five words (a text of fewer is one shingle) after bytes.lower() and bytes.split(), and is
 named by its 64-bit hash; null text counts as empty; texts without words equal each other; a row is told by its id and
@@ -33,8 +33,8 @@ from .simhash import links as fingerprint_links
 
 WORDS = 5
 CROWD = 32
-#: Comparisons of a crowded key's sets with one of them before pairs are listed.
-ROUNDS = 3
+#: Comparisons of a crowded key's sets with one of them before their differences are looked up.
+ROUNDS = 1
 
 
 def shingles(text: bytes, size: int = WORDS, seed: int = 42) -> np.ndarray:
@@ -137,6 +137,66 @@ def by_fingerprints(rows: DataFrame) -> DataFrame:
     return verified(materialise(own.unionByName(across).distinct(), "pairs"), rows)
 
 
+def outermost(at: DataFrame) -> DataFrame:
+    """Rows of those keys that aren't wholly inside the group of one other key: a key is left out if all its sets have
+    one and the same least key, for that one's group holds each of its pairs."""
+    least = at.groupBy("uid").agg(F.min("key").alias("least"))
+    keys = at.select("key", "uid").join(least.hint("merge"), "uid").groupBy("key").agg(F.min("least").alias("low"), F.max("least").alias("high"))
+    return at.join(keys.where("low < high or low = key").select("key").hint("merge"), "key", "left_semi")
+
+
+def crowd_pairs(left: DataFrame, rows: DataFrame, crowd: int) -> DataFrame:
+    """Pairs (u, v) that hold a path between any two similar sets of one key of left(key, uid, n, root), unless they are
+    of one root already; a group's pairs are never listed.
+
+    Sets of one key are told by how they differ from the group's core, the shingles that over half of them hold. Two sets
+    differ from each other by no more than both do from the core, so sets near it are linked by way of the one nearest.
+    Similar sets that this doesn't prove similar share some of these differences: a prefix filter on the differences gives
+    new keys, each of at most half of the group. Groups of up to `crowd` are listed, greater ones go the same way again.
+    """
+    total = lambda df: df.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
+    at, found = outermost(left).join(rows.select("uid", F.col("shingles").alias("d")).hint("merge"), "uid"), None
+    while True:
+        at = materialise(at.select("key", "uid", "n", "root", "d"), "crowd")
+        if at.isEmpty():
+            break
+        size = at.groupBy("key").agg(F.count(F.lit(1)).alias("m"))
+        held = at.select("key", F.explode("d").alias("e")).groupBy("key", "e").agg(F.count(F.lit(1)).alias("c"))
+        core = held.join(size.hint("merge"), "key").where(2 * F.col("c") > F.col("m")).groupBy("key").agg(F.collect_list("e").alias("core"))
+        core = materialise(size.join(core.hint("merge"), "key", "left"), "core")
+        core = core.withColumn("core", F.coalesce("core", F.array().cast("array<long>")))
+        apart = join_unique(at, core, ["key"], "m", total(core)).withColumn("d", F.concat(F.array_except("d", "core"), F.array_except("core", "d")))
+        apart = materialise(apart.select("key", "uid", "n", "root", "d", (9 * F.size("d") - F.col("n")).alias("far")), "apart")
+        best = materialise(apart.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min(F.struct("far", "uid", "root")).alias("best")), "best")
+        apart = join_unique(apart, best, ["key"], "m", total(best))
+        sum_ = F.col("far") + F.col("best.far")
+        star = apart.where((sum_ <= 0) & (F.col("root") != F.col("best.root"))).select(F.least("uid", "best.uid").alias("u"), F.greatest("uid", "best.uid").alias("v"))
+        # two similar sets have at least (far + far') / 18 differences in common, so at least this many
+        each = apart.select("key", "uid", "n", "root", F.greatest(F.lit(1), F.ceil(sum_ / 18)).cast("int").alias("need"), F.explode("d").alias("e"))
+        often = each.groupBy("key", "e").agg(F.count(F.lit(1)).alias("f")).where("f > 1")
+        # differences that one set has alone come first in the common order and make no key
+        each = each.join(often.hint("merge"), ["key", "e"]).groupBy("key", "uid", "n", "root", "need").agg(F.array_sort(F.collect_list(F.struct("f", "e"))).alias("all"))
+        each = each.where("size(all) >= need").select("key", "uid", "n", "root", F.explode(F.expr("slice(all, 1, size(all) - need + 1)")).alias("x"))
+        subs = materialise(each.select("key", F.xxhash64("key", "x.e").alias("sub"), "uid", "n", "root").distinct(), "subs")
+        size = subs.groupBy("sub").agg(F.count(F.lit(1)).alias("m"), F.min("root").alias("low"), F.max("root").alias("high")).where("m > 1 and low < high")
+        size = materialise(size.select("sub", "m", (F.col("m") > crowd).alias("many")), "sizes")
+        subs = materialise(join_unique(subs, size, ["sub"], "m", total(size)).where("many is not null"), "open")
+        few = subs.where("not many").groupBy("sub").agg(F.collect_list(F.struct("uid", "n", "root")).alias("all"))
+        few = few.select(F.explode("all").alias("a"), "all").select("a", F.explode("all").alias("b"))
+        few = few.where((F.col("a.uid") < F.col("b.uid")) & (F.col("a.root") != F.col("b.root")) & close(F.col("a.n"), F.col("b.n")))
+        pairs = star.unionByName(few.select(F.col("a.uid").alias("u"), F.col("b.uid").alias("v"))).distinct()
+        pairs = materialise(pairs, "found")
+        found = pairs if found is None else found.unionByName(pairs)
+        again = outermost(subs.where("many").select(F.col("sub").alias("key"), "uid", "n", "root", F.col("key").alias("of")))
+        at = again.join(apart.select(F.col("key").alias("of"), "uid", "d").hint("merge"), ["of", "uid"])
+    return found.distinct() if found is not None else rows.sparkSession.createDataFrame([], "u long, v long")
+
+
+def close(a, b):
+    """Sizes of sets that may be similar."""
+    return (5 * a >= 4 * b) & (5 * b >= 4 * a)
+
+
 def links(rows: DataFrame, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFrame:
     """Edges (u, v) between similar sets whose components are those of all similar pairs."""
     first = by_fingerprints(rows)
@@ -146,9 +206,8 @@ def links(rows: DataFrame, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFram
     size = materialise(keys.groupBy("key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").withColumn("many", F.col("m") > crowd), "keys")
     total = size.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
     shared = materialise(join_unique(keys, size, ["key"], "m", total).where("many is not null"), "shared")
-    near = lambda a, b: (5 * a >= 4 * b) & (5 * b >= 4 * a)
     few = shared.where("not many").groupBy("key").agg(F.array_sort(F.collect_list(F.struct("uid", "n"))).alias("all"))
-    few = few.select(F.explode("all").alias("a"), "all").select("a", F.explode("all").alias("b")).where((F.col("a.uid") < F.col("b.uid")) & near(F.col("a.n"), F.col("b.n")))
+    few = few.select(F.explode("all").alias("a"), "all").select("a", F.explode("all").alias("b")).where((F.col("a.uid") < F.col("b.uid")) & close(F.col("a.n"), F.col("b.n")))
     few = few.groupBy(F.col("a.uid").alias("u"), F.col("b.uid").alias("v"), F.col("a.n").alias("nu"), F.col("b.n").alias("nv")).agg(F.count(F.lit(1)).alias("c"))
     # up to where the first prefix of the two ends they share these c; beyond it at most what that set has left. Pairs
     # that also share a crowded key are met there, whatever c is here
@@ -174,14 +233,11 @@ def links(rows: DataFrame, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFram
             return edges
         # the next in an order of this round's own
         one = left.groupBy("key").agg(F.min(F.struct(F.xxhash64("uid", F.lit(k)).alias("o"), "uid", "n", "root")).alias("r"))
-        pairs = left.join(one.hint("merge"), "key").where((F.col("root") != F.col("r.root")) & near(F.col("n"), F.col("r.n")))
+        pairs = left.join(one.hint("merge"), "key").where((F.col("root") != F.col("r.root")) & close(F.col("n"), F.col("r.n")))
         pairs = materialise(pairs.select(F.least("uid", "r.uid").alias("u"), F.greatest("uid", "r.uid").alias("v")).distinct(), "pairs")
         edges = materialise(edges.unionByName(verified(pairs, rows)), "edges")
         left = open_(edges)
-    other = left.select("key", *[F.col(c).alias(f"_{c}") for c in ("uid", "n", "root")])
-    pairs = left.join(other.hint("merge"), "key").where((F.col("uid") < F.col("_uid")) & (F.col("root") != F.col("_root")) & near(F.col("n"), F.col("_n")))
-    pairs = materialise(pairs.select(F.col("uid").alias("u"), F.col("_uid").alias("v")).distinct(), "pairs")
-    return materialise(edges.unionByName(verified(pairs, rows)), "edges")
+    return materialise(edges.unionByName(verified(materialise(crowd_pairs(left, rows, crowd), "pairs"), rows)), "edges")
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = WORDS, crowd: int = CROWD, rounds: int = ROUNDS) -> DataFrame:
