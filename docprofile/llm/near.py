@@ -145,6 +145,19 @@ def outermost(at: DataFrame) -> DataFrame:
     return at.join(keys.where("low < high or low = key").select("key").hint("merge"), "key", "left_semi")
 
 
+def gathered(at: DataFrame) -> DataFrame:
+    """Rows of at(key, uid, n, root) under fewer keys: each key's group goes whole into that of the key which is the most
+    frequent one in most of its sets, so the many keys of one family of texts become few groups."""
+    often = at.groupBy("key").agg(F.count(F.lit(1)).alias("m"))
+    order = F.struct(F.col("m").alias("m"), F.col("key").alias("key"))
+    ranked = materialise(join_unique(at, often.withColumn("c", F.col("m")), ["key"], "m", at.count()).withColumnRenamed("c", "m"), "ranked")
+    lead = ranked.groupBy("uid").agg(F.max(order).alias("lead")).select("uid", F.col("lead.key").alias("lead"))
+    votes = ranked.select("key", "uid").join(lead.hint("merge"), "uid").groupBy("key", "lead").agg(F.count(F.lit(1)).alias("c"))
+    to = votes.groupBy("key").agg(F.sum("c").alias("m"), F.max(F.struct("c", "lead")).alias("most")).select("key", "m", F.col("most.lead").alias("to"))
+    moved = join_unique(at, materialise(to, "leaders"), ["key"], "m", at.count())
+    return moved.select(F.col("to").alias("key"), "uid", "n", "root").distinct()
+
+
 def crowd_pairs(left: DataFrame, rows: DataFrame, crowd: int) -> DataFrame:
     """Pairs (u, v) that hold a path between any two similar sets of one key of left(key, uid, n, root), unless they are
     of one root already; a group's pairs are never listed.
@@ -155,7 +168,7 @@ def crowd_pairs(left: DataFrame, rows: DataFrame, crowd: int) -> DataFrame:
     new keys, each of at most half of the group. Groups of up to `crowd` are listed, greater ones go the same way again.
     """
     total = lambda df: df.agg(F.coalesce(F.sum("m"), F.lit(0))).first()[0]
-    at, found = outermost(left).join(rows.select("uid", F.col("shingles").alias("d")).hint("merge"), "uid"), None
+    at, found = gathered(left).join(rows.select("uid", F.col("shingles").alias("d")).hint("merge"), "uid"), None
     while True:
         at = materialise(at.select("key", "uid", "n", "root", "d"), "crowd")
         if at.isEmpty():
