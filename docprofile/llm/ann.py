@@ -4,7 +4,9 @@ Codebooks of 16 centres for each pair of dimensions are fitted on a bounded samp
 the residual parallel to the vector ETA times the rest, since that part changes large inner products. Every vector is
 coded by coordinate descent under the same loss. A search scans all codes through per-query tables, query block by query
 block, and reranks the best RERANK (and 4 k at least) of each chunk of rows exactly, in double precision, on the original
-vectors. A task keeps the best of all its chunks while these fit MERGE_BYTES, and sends k rows a query then.
+vectors. A row's cosine is off its scanned score by no more than the length of its residual, so an exact check follows:
+every row of the chunk that could still reach the k-th best found so far is reranked, too, and nothing near is missed on
+any distribution of vectors; where codes tell rows badly apart, more rows are reranked. A task keeps the best of all its chunks while these fit MERGE_BYTES, and sends k rows a query then.
 
 Defined cases: vectors that are null, empty, zero or hold null or non-finite components take no part; vectors of different
 dimensions have no cosine, so each dimension has its own codebooks and its queries meet vectors of that dimension only; a
@@ -32,11 +34,20 @@ CHUNK, RERANK, BLOCK = 16384, 48, 512
 MERGE_BYTES = 64 << 20
 
 
+#: More than float32 sums of the scan are off by, and than double sums of the same products in another order are.
+SCAN_SLACK, SUM_SLACK = 1e-4, 1e-9
+
+
 def unit(v: np.ndarray) -> np.ndarray:
-    v = v.astype(np.float64)
+    v = scaled(v.astype(np.float64))
     return (v / np.linalg.norm(v, axis=1, keepdims=True)).astype(np.float32)
 
 
+def scaled(v: np.ndarray) -> np.ndarray:
+    """Rows times powers of two that bring their largest components near one: cosines stay, squares don't over- or underflow."""
+    return np.ldexp(v, -np.frexp(np.abs(v).max(axis=1, keepdims=True))[1])
+
+
 def _pairs(x: np.ndarray) -> np.ndarray:
     """(n, d) to (n, subspaces, 2), padded with a zero if d is odd."""
     if x.shape[1] % 2:
@@ -93,6 +104,12 @@ def scan(tables: np.ndarray, codes: np.ndarray) -> np.ndarray:
     return out
 
 
+def residuals(x: np.ndarray, codes: np.ndarray, books: np.ndarray) -> np.ndarray:
+    """Lengths of what the codes leave of unit vectors."""
+    p = _pairs(x)
+    return np.sqrt(((p - books[np.arange(p.shape[1])[None], codes]) ** 2).sum((1, 2)))
+
+
 def valid(embedding):
     ok = F.forall(embedding, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf"))))
     return embedding.isNotNull() & F.coalesce(ok, F.lit(False)) & F.exists(embedding, lambda v: v != 0)
@@ -173,14 +190,17 @@ def search(index: DataFrame, books: dict[int, np.ndarray], queries: DataFrame, k
         n = 0
         for b in ds.dataset(path, filesystem=fs, format="parquet").to_batches(batch_size=BLOCK, filter=ds.field("dim") == d):
             if b.num_rows:
-                yield n, b.column(0).to_numpy(), dense(b.column(1), d)
+                yield n, b.column(0).to_numpy(), scaled(dense(b.column(1), d))
                 n += b.num_rows
 
+    # rows are scaled alike wherever they are read, so equal vectors have equal sums
     def scanned(d, parts, best, qids):
         ids, vecs, codes = (np.concatenate(p) for p in zip(*parts, strict=True))
         order = np.argsort(ids, kind="stable")
         ids, vecs, codes = ids[order], vecs[order], codes[order]
         norms = np.sqrt((vecs * vecs).sum(1))
+        units = vecs / norms[:, None]
+        reach = (residuals(units.astype(np.float32), codes, books[d]) + SCAN_SLACK).astype(np.float32)
         take, different = min(len(ids), max(RERANK, 4 * k)), len(np.unique(ids))
         for n, qid, q in blocks(d):
             qids[n : n + len(qid)] = qid
@@ -195,6 +215,13 @@ def search(index: DataFrame, books: dict[int, np.ndarray], queries: DataFrame, k
                 if take < len(ids) and len(np.unique(ids[pick])) < min(k, different - 1):
                     pick = np.flatnonzero(ids != qid[i])  # repeated ids crowd out others: rerank them all
                 best.add(n + i, ids[pick], (vecs[pick] * q[i]).sum(1) / (norms[pick] * qn[i]))
+                # what the scan can't rule out; a dot product first, so few are summed in the order that tells ties
+                least = best.scores[n + i, -1] - SUM_SLACK
+                open_ = np.flatnonzero(approx[i] + reach >= least)
+                rest = open_[units[open_] @ (q[i] / qn[i]) >= least]
+                rest = np.setdiff1d(rest[ids[rest] != qid[i]], pick)
+                if len(rest):
+                    best.add(n + i, ids[rest], (vecs[rest] * q[i]).sum(1) / (norms[rest] * qn[i]))
 
     def run(batches):
         held, kept = {}, {}
@@ -218,7 +245,7 @@ def search(index: DataFrame, books: dict[int, np.ndarray], queries: DataFrame, k
                         continue
                     packed = np.frombuffer(b"".join(s.column(3).to_pylist()), np.uint8).reshape(s.num_rows, -1)
                     codes = np.stack((packed >> 4, packed & 15), axis=2).reshape(s.num_rows, -1)[:, : books[d].shape[0]]
-                    held.setdefault(d, []).append((s.column(0).to_numpy(zero_copy_only=False).astype(np.int64), dense(s.column(1), d).astype(np.float64), codes))
+                    held.setdefault(d, []).append((s.column(0).to_numpy(zero_copy_only=False).astype(np.int64), scaled(dense(s.column(1), d).astype(np.float64)), codes))
                     if sum(len(p[0]) for p in held[d]) >= CHUNK:
                         yield from flush(d)
                 if sum(len(p[0]) for ps in held.values() for p in ps) >= 4 * CHUNK:
