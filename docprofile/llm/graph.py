@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import join_unique, materialise
+from .common import discard, join_unique, materialise
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -23,5 +23,6 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         large = materialise(large.where("u <> v").distinct(), "large")
         low = large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n"))
         small = join_unique(large, low, ["u"], "n", now["c"]).where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        e = materialise(small.unionByName(low.select("u", F.col("m").alias("v"))).distinct(), "small")
+        past, e = e, materialise(small.unionByName(low.select("u", F.col("m").alias("v"))).distinct(), "small")
+        discard(past, large)
     return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
